@@ -193,7 +193,7 @@ def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_
 
     bundles = dealt.select("doc_id", "text", "block").mapInArrow(bundle, "block int, docs binary")
 
-    def ask(key, t: pd.DataFrame) -> pd.DataFrame:
+    def ask(key: tuple, t: pd.DataFrame) -> pd.DataFrame:
         block, _ = _unpack(t["docs"])
         keys, counts = _counted(block, _fold(block.crc, held, modulus, folds), folds)
         part = _part(keys, ranges)
@@ -210,7 +210,7 @@ def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_
 
     asked = bundles.groupBy("block").applyInPandas(ask, "part int, block int, keys binary, counts binary")
 
-    def answer(key, t: pd.DataFrame) -> pd.DataFrame:
+    def answer(key: tuple, t: pd.DataFrame) -> pd.DataFrame:
         keys = [_numbers(k) for k in t["keys"]]
         lengths = [len(k) for k in keys]
         counts = np.concatenate([_numbers(c, np.int64).reshape(folds, -1) for c in t["counts"]], axis=1)
@@ -241,7 +241,7 @@ def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_
     stats = answers.where("kind != 'answer'").groupBy("kind", "a", "part").agg(F.sum("x").alias("x"), F.sum("y").alias("y")).toPandas()  # bounded by bins and folds
     totals = Totals(stats, folds)
 
-    def weigh(key, docs: pd.DataFrame, told: pd.DataFrame) -> pd.DataFrame:
+    def weigh(key: tuple, docs: pd.DataFrame, told: pd.DataFrame) -> pd.DataFrame:
         block, ids = _unpack(docs["docs"])
         fold = _fold(block.crc, held, modulus, folds)
         told = told.sort_values("part")

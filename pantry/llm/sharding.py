@@ -18,7 +18,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pantry.llm import text as tx
@@ -26,28 +26,26 @@ from pantry.llm.ranks import running
 from pantry.session import materialize
 
 PLACES = (1 << 31) - 1
+DIMS = 4
 
 
 @dataclass
 class Node:
-    """A leaf holds shards [first, first + shards); an inner node sends keys up to ``at`` of ``dim`` left."""
+    """A leaf of the tree so far: shards [first, first + shards), to be cut at ``at`` of dimension ``dim``."""
 
     first: int
     shards: int
-    dim: int = -1
+    dim: int = 0
     at: int = 0
-    left: Node | None = None
-    right: Node | None = None
+    want: float = 0.0
+    whole: int = 0
+    low: int = 0
+    high: int = 0
+    below: int = 0
 
 
-def _descend(node: Node, dims: list[str], leaf) -> Column:
-    if node.left is None:
-        return F.lit(leaf(node))
-    return F.when(F.col(dims[node.dim]) <= node.at, _descend(node.left, dims, leaf)).otherwise(_descend(node.right, dims, leaf))
-
-
-def _keyed(df: DataFrame, doc_id: str, text: str, source: str, lang: str) -> tuple[DataFrame, list[str]]:
-    """(doc_id, size, text_crc32, tie, k0..k3)."""
+def _keyed(df: DataFrame, doc_id: str, text: str, source: str, lang: str) -> DataFrame:
+    """(doc_id, size, text_crc32, tie, keys: a long for each dimension)."""
     body = tx.whole(F.col(text))
     slim = df.select(
         F.col(doc_id).alias("doc_id"),
@@ -68,67 +66,59 @@ def _keyed(df: DataFrame, doc_id: str, text: str, source: str, lang: str) -> tup
         (F.coalesce(F.col("doc_id"), F.lit(low or 0)) - F.lit(low or 0)) / F.lit(float(span)) * PLACES,
     ]
     tie = F.shiftrightunsigned("tie", 32)
-    dims = [f"k{i}" for i in range(len(places))]
-    keys = (F.shiftleft(F.least(F.floor(p), F.lit(PLACES)).cast("long"), 32).bitwiseOR(tie).alias(d) for p, d in zip(places, dims))
-    return slim.select("doc_id", "size", "text_crc32", "tie", *keys), dims
+    keys = F.array(*(F.shiftleft(F.least(F.floor(p), F.lit(PLACES)).cast("long"), 32).bitwiseOR(tie) for p in places))
+    return slim.select("doc_id", "size", "text_crc32", "tie", keys.alias("keys"))
+
+
+def _small(rows: DataFrame, values: list[tuple], schema: str) -> DataFrame:
+    """A driver's table of at most one row a shard."""
+    return rows.sparkSession.createDataFrame(values, schema)
 
 
-def _split_level(rows: DataFrame, dims: list[str], leaves: list[Node], node: Column, bins: int, slack: float) -> None:
-    """Split every given node at its weighted median."""
-    rows = rows.withColumn("_n", node)
-    spans = rows.groupBy("_n").agg(F.sum("size").alias("bytes"), *(f(d).alias(f"{n}_{d}") for d in dims for n, f in (("lo", F.min), ("hi", F.max))))
-    want, bounds, whole = {}, {}, {}
+def _medians(rows: DataFrame, nodes: list[Node], bins: int, slack: float) -> None:
+    """Set ``dim`` and ``at`` of each node: the weighted median of its widest dimension."""
+    key = [F.col("keys")[d] for d in range(DIMS)]
+    spans = rows.groupBy("node").agg(F.sum("size").alias("bytes"), F.array(*(F.min(k) for k in key)).alias("low"), F.array(*(F.max(k) for k in key)).alias("high"))
+    by, open_ = {x.first: x for x in nodes}, {}
     for r in spans.collect():  # one row a node
-        leaf = next((x for x in leaves if x.first == r["_n"]), None)
-        if leaf is None:
-            continue
-        leaf.dim = max(range(len(dims)), key=lambda i: (r[f"hi_{dims[i]}"] >> 32) - (r[f"lo_{dims[i]}"] >> 32))
-        d = dims[leaf.dim]
-        want[leaf.first], whole[leaf.first] = r["bytes"] * (leaf.shards // 2) / leaf.shards, r["bytes"]
-        bounds[leaf.first] = (r[f"lo_{d}"], r[f"hi_{d}"], 0)
-    open_ = dict.fromkeys(want)
-    by = {x.first: x for x in leaves}
+        if x := by.get(r["node"]):
+            x.dim = max(range(DIMS), key=lambda d: (r["high"][d] >> 32) - (r["low"][d] >> 32))
+            x.low, x.high, x.below = r["low"][x.dim], r["high"][x.dim], 0
+            x.want, x.whole = r["bytes"] * (x.shards // 2) / x.shards, r["bytes"]
+            open_[x.first] = x
     while open_:
-        key, lo, hi = F.lit(None).cast("long"), F.lit(None).cast("long"), F.lit(None).cast("long")
-        for n in open_:
-            here = F.col("_n") == n
-            key, lo, hi = F.when(here, F.col(dims[by[n].dim])).otherwise(key), F.when(here, F.lit(bounds[n][0])).otherwise(lo), F.when(here, F.lit(bounds[n][1])).otherwise(hi)
-        inside = rows.select("_n", "size", key.alias("_k"), lo.alias("_lo"), hi.alias("_hi")).where((F.col("_k") >= F.col("_lo")) & (F.col("_k") <= F.col("_hi")))
-        place = F.floor((F.col("_k") - F.col("_lo")).cast("double") / ((F.col("_hi") - F.col("_lo")).cast("double") + 1) * bins)
-        binned = inside.groupBy("_n", F.least(place, F.lit(bins - 1)).alias("_b")).agg(F.sum("size").alias("bytes"), F.min("_k").alias("lo"), F.max("_k").alias("hi"))
-        before = F.coalesce(F.sum("bytes").over(Window.partitionBy("_n").orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-        aim = F.lit(None).cast("double")
-        for n in open_:
-            aim = F.when(F.col("_n") == n, F.lit(float(want[n] - bounds[n][2]))).otherwise(aim)
-        at = binned.withColumn("before", before).withColumn("aim", aim)
-        at = at.where((F.col("before") < F.col("aim")) & (F.col("before") + F.col("bytes") >= F.col("aim")))
-        found = at.collect()  # one row a node
-        for n in open_.keys() - {r["_n"] for r in found}:
-            by[n].at = bounds[n][1]
+        asked = _small(rows, [(x.first, x.dim, x.low, x.high, x.want - x.below) for x in open_.values()], "node int, dim int, low long, high long, aim double")
+        inside = rows.join(F.broadcast(asked), "node").withColumn("key", F.get("keys", F.col("dim"))).where("key >= low and key <= high")
+        place = F.floor((F.col("key") - F.col("low")).cast("double") / ((F.col("high") - F.col("low")).cast("double") + 1) * bins)
+        binned = inside.groupBy("node", "aim", F.least(place, F.lit(bins - 1)).alias("bin")).agg(F.sum("size").alias("bytes"), F.min("key").alias("lo"), F.max("key").alias("hi"))
+        before = F.coalesce(F.sum("bytes").over(Window.partitionBy("node").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+        found = binned.withColumn("before", before).where("before < aim and before + bytes >= aim").collect()  # one row a node
+        for n in open_.keys() - {r["node"] for r in found}:
+            by[n].at = by[n].high
             del open_[n]
         for r in found:
-            n, below = r["_n"], bounds[r["_n"]][2] + r["before"]
-            if r["lo"] == r["hi"] or r["bytes"] <= slack * whole[n]:
-                # the bin goes where the halves come out nearer
-                goes_left = below + r["bytes"] / 2 <= want[n]
-                by[n].at = r["hi"] if goes_left else r["lo"] - 1
-                del open_[n]
+            x = by[r["node"]]
+            below = x.below + r["before"]
+            if r["lo"] == r["hi"] or r["bytes"] <= slack * x.whole:
+                x.at = r["hi"] if below + r["bytes"] / 2 <= x.want else r["lo"] - 1  # to where the halves come out nearer
+                del open_[x.first]
             else:
-                bounds[n] = (r["lo"], r["hi"], below)
-    for leaf in leaves:
-        half = leaf.shards // 2
-        leaf.left, leaf.right = Node(leaf.first, half), Node(leaf.first + half, leaf.shards - half)
+                x.low, x.high, x.below = r["lo"], r["hi"], below
 
 
 def shard(df: DataFrame, shards: int = 16, target_bytes: int | None = None, bins: int = 4096, slack: float = 0.0005, doc_id: str = "doc_id", text: str = "text", source: str = "source", lang: str = "lang") -> DataFrame:
     """(doc_id, size, text_crc32, shard, slot); with ``target_bytes`` as many shards as hold that much."""
-    rows, dims = _keyed(df, doc_id, text, source, lang)
+    rows = _keyed(df, doc_id, text, source, lang)
     if target_bytes:
         shards = max(1, -(-(rows.agg(F.sum("size")).first()[0] or 0) // target_bytes))
-    root = Node(0, shards)
-    leaves = [root] if shards > 1 else []
-    while leaves:
-        _split_level(rows, dims, leaves, _descend(root, dims, lambda x: x.first), bins, slack)
-        leaves = [x for leaf in leaves for x in (leaf.left, leaf.right) if x.shards > 1]
-    out = rows.select("doc_id", "size", "text_crc32", "tie", _descend(root, dims, lambda x: x.first).cast("int").alias("shard"), F.lit(1).cast("long").alias("_one"))
+    rows = rows.withColumn("node", F.lit(0))
+    nodes = [Node(0, shards)] if shards > 1 else []
+    while nodes:
+        _medians(rows, nodes, bins, slack)
+        cuts = _small(rows, [(x.first, x.dim, x.at, x.first + x.shards // 2) for x in nodes], "node int, dim int, at long, upper int")
+        upper = F.when(F.get("keys", F.col("dim")) > F.col("at"), F.col("upper")).otherwise(F.col("node"))
+        rows = rows.join(F.broadcast(cuts), "node", "left").withColumn("node", upper).drop("dim", "at", "upper")
+        halves = [Node(f, n) for x in nodes for f, n in ((x.first, x.shards // 2), (x.first + x.shards // 2, x.shards - x.shards // 2))]
+        nodes = [x for x in halves if x.shards > 1]
+    out = rows.select("doc_id", "size", "text_crc32", "tie", F.col("node").alias("shard"), F.lit(1).cast("long").alias("_one"))
     return running(out, ["shard"], "tie", "_one", "slot", ties=("doc_id",)).drop("_one", "tie")
