@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import gc
+import pathlib
 import tempfile
 import uuid
+import zipfile
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -47,3 +49,17 @@ def release(spark: SparkSession) -> None:
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given tables."""
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def ship(spark: SparkSession) -> None:
+    """Make the package importable in the executors' Python, once a context."""
+    sc = spark.sparkContext
+    if getattr(sc, "_pantry_shipped", False):
+        return
+    home = pathlib.Path(__file__).parent
+    target = pathlib.Path(tempfile.mkdtemp(prefix="pantry-")) / "pantry.zip"
+    with zipfile.ZipFile(target, "w") as out:
+        for p in sorted(home.rglob("*.py")):
+            out.write(p, p.relative_to(home.parent))
+    sc.addPyFile(str(target))
+    sc._pantry_shipped = True
