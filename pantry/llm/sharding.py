@@ -72,7 +72,10 @@ def _keyed(df: DataFrame, doc_id: str, text: str, source: str, lang: str) -> Dat
 
 def _small(rows: DataFrame, values: list[tuple], schema: str) -> DataFrame:
     """A driver's table of at most one row a shard."""
-    return rows.sparkSession.createDataFrame(values, schema)
+    names = ", ".join(f"{name}" for name, _ in (f.split() for f in schema.split(", ")))
+    kinds = [f.split()[1] for f in schema.split(", ")]
+    cells = ", ".join("(" + ", ".join(f"CAST({v!r} AS {k})" for v, k in zip(row, kinds)) + ")" for row in values)
+    return rows.sparkSession.sql(f"SELECT * FROM VALUES {cells} AS t({names})")
 
 
 def _medians(rows: DataFrame, nodes: list[Node], bins: int, slack: float) -> None:
@@ -106,7 +109,7 @@ def _medians(rows: DataFrame, nodes: list[Node], bins: int, slack: float) -> Non
                 x.low, x.high, x.below = r["lo"], r["hi"], below
 
 
-def shard(df: DataFrame, shards: int = 16, target_bytes: int | None = None, bins: int = 4096, slack: float = 0.0005, doc_id: str = "doc_id", text: str = "text", source: str = "source", lang: str = "lang") -> DataFrame:
+def shard(df: DataFrame, shards: int = 16, target_bytes: int | None = None, bins: int = 1024, slack: float = 0.0005, doc_id: str = "doc_id", text: str = "text", source: str = "source", lang: str = "lang") -> DataFrame:
     """(doc_id, size, text_crc32, shard, slot); with ``target_bytes`` as many shards as hold that much."""
     rows = _keyed(df, doc_id, text, source, lang)
     if target_bytes:
