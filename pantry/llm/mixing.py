@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pantry.llm import text as tx
-from pantry.llm.ranks import cell_of
+from pantry.llm.ranks import bits_for, cell_of
 from pantry.session import materialize
 
 ADDED = ("size", "source_size", "target", "taken")
@@ -30,8 +30,8 @@ ADDED = ("size", "source_size", "target", "taken")
 def quality_weight(text: Column) -> Column:
     """Share of the characters that are neither digits nor symbols, 0.05 at least."""
     body = tx.whole(text)
-    plain = F.char_length(F.translate(body, "0123456789#*$%&|<>{}[]=_~^\\", ""))
-    return F.greatest(F.try_divide(plain.cast("double"), F.char_length(body)), F.lit(0.05))
+    odd = F.regexp_count(body, F.lit(r"[0-9#*$%&|<>{}\[\]=_~^\\]"))
+    return F.greatest(F.lit(1.0) - F.coalesce(F.try_divide(odd.cast("double"), F.char_length(body)), F.lit(0.0)), F.lit(0.05))
 
 
 def targets(sources: DataFrame, source: str = "source", size: str = "source_size", weights: tuple[float, ...] = (5, 2, 1), most: float = 3.0) -> DataFrame:
@@ -64,13 +64,14 @@ def mix(
     most: float = 3.0,
     quality: Column | None = None,
     seed: int = 0,
-    bits: int = 14,
+    bits: int | None = None,
     doc_id: str = "doc_id",
     source: str = "source",
     text: str = "text",
 ) -> DataFrame:
     """``df`` with ``size``, ``source_size``, ``target`` and ``taken`` (words, repeats counted)."""
     cols = [c for c in df.columns if c not in ADDED]
+    bits = bits or bits_for(df.count())
     u = tx.unit_interval(F.xxhash64(F.lit(seed), F.col(doc_id), F.col(text)))
     key = -F.log(u) / (quality if quality is not None else quality_weight(F.col(text)))
     rows = df.select(F.struct(*(F.col(f"`{c}`") for c in cols)).alias("_row"), F.col(source).alias("_s"), tx.n_words(F.col(text)).alias("size"), key.alias("_key"))

@@ -16,6 +16,11 @@ def cell_of(key: Column, bits: int) -> Column:
     return F.shiftright(key, 64 - bits) + F.lit(1 << (bits - 1)).cast("long")
 
 
+def bits_for(rows: int, in_cell: int = 512, most: int = 20) -> int:
+    """Bits that leave about ``in_cell`` rows of a table in a cell."""
+    return max(4, min(most, (max(1, rows // in_cell)).bit_length()))
+
+
 def running(df: DataFrame, groups: list[str], key: str, value: str, out: str, bits: int = 10, ties: tuple[str, ...] = ()) -> DataFrame:
     """Add ``out``: sum of ``value`` over the rows of the group before this one, by ``key`` then ``ties``.
 
