@@ -29,7 +29,7 @@ UNITS: tuple[Unit, ...] = (
     Unit("tbsp", "household", 15, ("tbsp", "tb", "tbs", "tbl", "tablespoon")),
     Unit("tsp", "household", 5, ("tsp", "teaspoon")),
     Unit("oz", "household", 28.35, ("oz", "ounce")),
-    Unit("lb", "household", 453.59, ("lb", "pound")),
+    Unit("lb", "household", 453.59, ("lb", "lbs", "pound")),
     Unit("pint", "household", 473.18, ("pint", "pt")),
     Unit("quart", "household", 946.35, ("quart", "qt")),
     Unit("pinch", "approx", 0.36, ("pinch",)),

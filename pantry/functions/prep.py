@@ -99,7 +99,7 @@ def lemmas(c: Column) -> Column:
         c = sub(c, rf"\b{w}\b", base)
     c = sub(c, r"\b(\p{L}{2,})ies\b", "$1y")
     c = sub(c, r"\b(\p{L}+(?:sh|ch|ss|x|zz))es\b", "$1")
-    return sub(c, r"\b(\p{L}+[^\W\dsuiSUI])s\b", "$1")
+    return sub(c, r"\b(\p{L}{2,}[^\W\dsuiSUI])s\b", "$1")
 
 
 def redundant(c: Column, words=lx.REDUNDANT, phrases=lx.REDUNDANT_PHRASES) -> Column:

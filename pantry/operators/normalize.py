@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from pantry.functions import prep, rules
 from pantry.functions.lexicons import Lexicons
+from pantry.session import materialize
 
 TRIPLE = ("part_no", "qty", "qty_kind", "unit", "unit_kind", "food", "food_key", "is_food", "rules_fired")
 
@@ -64,9 +65,13 @@ def distinct_texts(df: DataFrame, text: str = "text") -> DataFrame:
 
 
 def normalize_lines(df: DataFrame, text: str = "text", lex: Lexicons | None = None) -> DataFrame:
-    """``df`` with TRIPLE, one row a part: rules run over distinct texts, which are joined back."""
+    """``df`` with TRIPLE, one row a part: rules run over distinct texts, which are joined back.
+
+    The distinct texts' results are written once: they are small beside the lines, and filters that a
+    later join infers would otherwise be pushed into the chain of rules and repeat it.
+    """
     done = triples(distinct_texts(df, text), text, lex)
-    done = done.select(F.col(text).alias("_text"), *TRIPLE)
+    done = materialize(done.select(F.col(text).alias("_text"), *TRIPLE), "texts")
     return df.join(done, F.col(text).eqNullSafe(F.col("_text"))).drop("_text")
 
 
