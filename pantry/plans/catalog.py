@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from pantry.plans import extraction, methods
+from pantry.plans import extraction, methods, relational, streams
 
-MODULES = (extraction, methods)
+MODULES = (extraction, methods, relational, streams)
 
 
 def queries() -> dict:

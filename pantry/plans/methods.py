@@ -140,9 +140,9 @@ def grams_share(spark: SparkSession, sf_dir: str) -> DataFrame:
     return nutrients.shares(views.weighed(spark, sf_dir)).select("line_key", F.round("share", 4).alias("share"))
 
 
-@query(f"WITH {RECIPES} SELECT recipe_id, n_lines, {', '.join(f'round({t}, 4) AS {t}' for t in TARGETS)} FROM r")
+@query(f"WITH {RECIPES} SELECT recipe_id, n_lines, {', '.join(f'round({t} + 1e-9, 4) AS {t}' for t in TARGETS)} FROM r")
 def recipe_nutrients(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return views.recipes(spark, sf_dir).select("recipe_id", "n_lines", *(F.round(t, 4).alias(t) for t in TARGETS))
+    return views.recipes(spark, sf_dir).select("recipe_id", "n_lines", *(F.round(F.col(t) + 1e-9, 4).alias(t) for t in TARGETS))
 
 
 @query(f"WITH {WEIGHED} SELECT line_key, {', '.join(TARGETS)} FROM g")
