@@ -111,6 +111,25 @@ def negative_sampling(df: DataFrame, dim: int, window: int, mode: str, epochs: i
     return vectors, lines, losses
 
 
+def _row_solver(sent, own_key: str, other_key: str, dim: int, ridge: float, x_max: float, power: float):
+    """The ridge problem of one word; its ridge pulls to the word's last solution, so no turn can undo another."""
+
+    def solve(t: pd.DataFrame) -> pd.DataFrame:
+        ids, far, own = sent.value
+        f = far[[ids[w] for w in t[other_key]]]
+        x = t["weight"].to_numpy(float)
+        weight = np.minimum(1, (x / x_max) ** power)
+        z = np.hstack([f[:, :dim], np.ones((len(f), 1))])
+        y = np.log(x) - f[:, dim]
+        start = own[ids[t[own_key].iloc[0]]]
+        left = (z * weight[:, None]).T @ z + ridge * np.eye(dim + 1)
+        best = np.linalg.solve(left, (z * weight[:, None]).T @ y + ridge * start)
+        loss = float((weight * (z @ best - y) ** 2).sum())
+        return pd.DataFrame({"word": [t[own_key].iloc[0]], "vec": [best], "loss": [loss]})
+
+    return solve
+
+
 def glove(df: DataFrame, dim: int, window: int, rounds: int = 4, seed: int = 1, ridge: float = 0.05, x_max: float = 100.0, power: float = 0.75) -> tuple[DataFrame, list[float]]:
     """Weighted least squares on log co-occurrence by alternating solves: (word, vec) and the loss a round.
 
@@ -128,21 +147,7 @@ def glove(df: DataFrame, dim: int, window: int, rounds: int = 4, seed: int = 1,
     for turn in range(2 * rounds):
         mine, other = turn % 2, 1 - turn % 2
         own_key, other_key = (("w1", "w2"), ("w2", "w1"))[mine]
-        sent = spark.sparkContext.broadcast((id_of, sides[other], sides[mine]))
-
-        def solve(t: pd.DataFrame, sent=sent, own_key=own_key, other_key=other_key) -> pd.DataFrame:
-            ids, far, own = sent.value
-            f = far[[ids[w] for w in t[other_key]]]
-            x = t["weight"].to_numpy(float)
-            weight = np.minimum(1, (x / x_max) ** power)
-            z = np.hstack([f[:, :dim], np.ones((len(f), 1))])
-            y = np.log(x) - f[:, dim]
-            start = own[ids[t[own_key].iloc[0]]]
-            left = (z * weight[:, None]).T @ z + ridge * np.eye(dim + 1)
-            best = np.linalg.solve(left, (z * weight[:, None]).T @ y + ridge * start)
-            loss = float((weight * (z @ best - y) ** 2).sum())
-            return pd.DataFrame({"word": [t[own_key].iloc[0]], "vec": [best], "loss": [loss]})
-
+        solve = _row_solver(spark.sparkContext.broadcast((id_of, sides[other], sides[mine])), own_key, other_key, dim, ridge, x_max, power)
         rows = cooc.groupBy(own_key).applyInPandas(solve, "word string, vec array<double>, loss double").toLocalIterator()
         total = 0.0
         for r in rows:

@@ -473,7 +473,7 @@ def nested_search(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = []
     for f in stats:
         c = regress.grid_search(stats, "ridge", 0, (f,))
-        rows.append((f, float(c["lam"]), stats[f].sse(0, *regress.fit_ridge(regress.total(stats, (f,)), 0, **c)) / stats[f].n))
+        rows.append((f, float(c["lam"]), float(stats[f].sse(0, *regress.fit_ridge(regress.total(stats, (f,)), 0, **c)) / stats[f].n)))
     return spark.createDataFrame(rows, "fold int, lambda double, mse double")
 
 
@@ -503,7 +503,7 @@ def predict_by_food(spark: SparkSession, sf_dir: str) -> DataFrame:
     return regress.predict_by_food(lines, scores, b0).join(direct, "recipe_id")
 
 
-def report(spark: SparkSession, sf_dir: str, dim: int = 16, by: tuple[str, ...] = ("corpus",), lam: float = 1e-4, x: str = "dh", scale: float = 1.0) -> DataFrame:
+def report(spark: SparkSession, sf_dir: str, dim: int = 64, by: tuple[str, ...] = ("corpus",), lam: float = 1e-4, x: str = "dh", scale: float = 1.0) -> DataFrame:
     """Average accuracy of one merge by collection and target: a model a collection and fold."""
     f = materialize(views.recipe_features(spark, sf_dir, dim).withColumn("cell", F.concat_ws("|", "corpus", "fold")), "features")
     stats = regress.collect_stats(regress.gram(f, x, dim, by="cell"), dim, "cell")
