@@ -5,6 +5,7 @@ from __future__ import annotations
 import gc
 import pathlib
 import tempfile
+import time
 import uuid
 import zipfile
 
@@ -41,9 +42,15 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
 
 
 def release(spark: SparkSession) -> None:
-    """Let Spark drop the shuffle files of plans that nothing refers to any more."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    """Let Spark drop the shuffle files of plans that nothing refers to any more.
+
+    Its cleaner acts on what a collection of the driver's garbage has found unreferenced, in its own
+    thread; a second collection gets what the first one made unreachable.
+    """
+    for _ in range(2):
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.7)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
