@@ -10,8 +10,7 @@ a histogram of ratios (1/64 wide in the logarithm, each bin with its mean ratio)
 Counts never meet a hot key or a driver. Documents are dealt into blocks by hash. A block asks, for each
 range of 64-bit n-gram hashes, for the sorted distinct hashes that it holds, with its own counts; the
 range's task adds all blocks' counts and answers each block with the totals in the order it asked. So
-"the" is one hash a block, however frequent. Texts travel as compressed blocks; an answered block
-writes, for each document, the few numbers a token that the weights still need, and the last step
+"the" is one hash a block, however frequent. An answered block writes, for each document, the few numbers a token that the weights still need, and the last step
 applies the learned weights. All of it grows with the corpus and none with a vocabulary on one machine.
 
 Two n-grams whose 63-bit hashes agree would share a count: for 10^9 different n-grams that is
@@ -27,6 +26,7 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -80,26 +80,23 @@ def _fold(crc: np.ndarray, held: int, modulus: int, folds: int) -> np.ndarray:
 
 
 def _planes(x: np.ndarray) -> bytes:
-    """64-bit numbers by byte planes: sorted keys and small counts then compress well."""
-    return np.ascontiguousarray(x.view(np.uint8).reshape(-1, 8).T).tobytes()
+    """64-bit numbers by byte planes, compressed: of sorted keys and small counts little is left."""
+    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 8).T).tobytes())
 
 
 def _numbers(b: bytes, kind=np.uint64) -> np.ndarray:
-    return np.ascontiguousarray(np.frombuffer(b, np.uint8).reshape(8, -1).T).view(kind).ravel()
+    plain = zstandard.ZstdDecompressor().decompress(b)
+    return np.ascontiguousarray(np.frombuffer(plain, np.uint8).reshape(8, -1).T).view(kind).ravel()
 
 
-def _pack(ids: list, texts: list[str]) -> bytes:
-    table = pa.table({"id": pa.array(ids), "text": pa.array(texts, pa.large_string())})
-    sink = pa.BufferOutputStream()
-    with pa.ipc.new_stream(sink, table.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
-        out.write_table(table)
-    return sink.getvalue().to_pybytes()
+def _steps(keys: np.ndarray) -> bytes:
+    """Ascending keys as their differences."""
+    return _planes(np.diff(keys, prepend=np.uint64(0)))
 
 
-def _unpack(parts) -> Block:
-    tables = sorted((pa.ipc.open_stream(p).read_all() for p in parts), key=lambda t: (str(t["id"][0]), len(t)))
-    t = pa.concat_tables(tables, promote_options="permissive").combine_chunks()
-    return Block(t["id"].to_pylist(), t["text"].chunk(0) if t["text"].num_chunks else pa.array([], pa.large_string())), t["id"]
+def _block(t: pa.Table) -> Block:
+    texts = t.column("text").combine_chunks()
+    return Block(t.column("doc_id").to_pylist(), texts.cast(pa.large_string()))
 
 
 def _counted(block: Block, fold: np.ndarray, folds: int) -> tuple[np.ndarray, np.ndarray]:
@@ -159,7 +156,7 @@ def _ratios(pair, context, lower) -> np.ndarray:
     return np.where(context > 0, pair / np.maximum(context, 1) / lower, 0.0)
 
 
-def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_mb: int = 12, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_mb: int = 5, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row.
 
     Rows whose crc32(doc_id) leaves ``held`` by ``modulus`` are held out of training.
@@ -172,46 +169,25 @@ def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_
     ranges = max(1, blocks)
     dealt = slim.withColumn("block", F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).cast("int"))
 
-    def bundle(batches):
-        held_: dict[int, tuple[list, list]] = {}
-        weight = 0
-        for b in batches:
-            ids, texts, to = b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()
-            for i, t, k in zip(ids, texts, to):
-                mine = held_.setdefault(k, ([], []))
-                mine[0].append(i)
-                mine[1].append(t)
-                weight += len(t) + 64
-            if weight > 48 << 20:
-                yield _bundled(held_)
-                held_, weight = {}, 0
-        if held_:
-            yield _bundled(held_)
-
-    def _bundled(some):
-        return pa.RecordBatch.from_arrays([pa.array(list(some), pa.int32()), pa.array([_pack(*some[k]) for k in some], pa.binary())], ["block", "docs"])
-
-    bundles = dealt.select("doc_id", "text", "block").mapInArrow(bundle, "block int, docs binary")
-
-    def ask(key: tuple, t: pd.DataFrame) -> pd.DataFrame:
-        block, _ = _unpack(t["docs"])
+    def ask(t: pa.Table) -> pa.Table:
+        block = _block(t)
         keys, counts = _counted(block, _fold(block.crc, held, modulus, folds), folds)
         part = _part(keys, ranges)
         at = np.searchsorted(part, np.arange(ranges + 1))
         used = np.flatnonzero(np.diff(at))
-        return pd.DataFrame(
+        return pa.table(
             {
-                "part": used.astype(np.int32),
-                "block": np.int32(key[0]),
-                "keys": [_planes(keys[at[p] : at[p + 1]]) for p in used],
-                "counts": [_planes(np.ascontiguousarray(counts[:, at[p] : at[p + 1]]).ravel()) for p in used],
+                "part": pa.array(used.astype(np.int32)),
+                "block": pa.array(np.full(len(used), t.column("block")[0].as_py(), np.int32)),
+                "keys": pa.array([_steps(keys[at[p] : at[p + 1]]) for p in used], pa.binary()),
+                "counts": pa.array([_planes(np.ascontiguousarray(counts[:, at[p] : at[p + 1]]).ravel()) for p in used], pa.binary()),
             }
         )
 
-    asked = bundles.groupBy("block").applyInPandas(ask, "part int, block int, keys binary, counts binary")
+    asked = dealt.groupBy("block").applyInArrow(ask, "part int, block int, keys binary, counts binary")
 
     def answer(key: tuple, t: pd.DataFrame) -> pd.DataFrame:
-        keys = [_numbers(k) for k in t["keys"]]
+        keys = [np.cumsum(_numbers(k), dtype=np.uint64) for k in t["keys"]]
         lengths = [len(k) for k in keys]
         counts = np.concatenate([_numbers(c, np.int64).reshape(folds, -1) for c in t["counts"]], axis=1)
         all_ = np.concatenate(keys)
@@ -241,11 +217,12 @@ def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_
     stats = answers.where("kind != 'answer'").groupBy("kind", "a", "part").agg(F.sum("x").alias("x"), F.sum("y").alias("y")).toPandas()  # bounded by bins and folds
     totals = Totals(stats, folds)
 
-    def weigh(key: tuple, docs: pd.DataFrame, told: pd.DataFrame) -> pd.DataFrame:
-        block, ids = _unpack(docs["docs"])
+    def weigh(docs: pa.Table, told: pa.Table) -> pa.Table:
+        block = _block(docs)
         fold = _fold(block.crc, held, modulus, folds)
-        told = told.sort_values("part")
-        counts = np.concatenate([_numbers(c, np.int64).reshape(folds, -1) for c in told["counts"]], axis=1)
+        order = np.argsort(told.column("part").to_numpy())
+        answered = told.column("counts").to_pylist()
+        counts = np.concatenate([_numbers(answered[i], np.int64).reshape(folds, -1) for i in order], axis=1)
         pairs, spot = np.unique(block.pairs, return_inverse=True)
         keys = np.concatenate([block.word_keys, block.pair_keys(pairs)])
         by_key = np.empty_like(counts)
@@ -258,17 +235,17 @@ def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_
         bucket = _bucket(all_context)
         add = lambda x: np.add.reduceat(x, block.starts) if len(block.starts) else x[:0]
         ends = block.starts + block.lengths
-        rows = pd.DataFrame(
+        rows = pa.table(
             {
-                "kind": "doc",
-                "doc_id": ids.to_pandas(types_mapper={pa.int64(): pd.Int64Dtype(), pa.int32(): pd.Int32Dtype()}.get),
-                "held_out": fold < 0,
-                "n_tokens": block.lengths,
-                "n_known": add((all_word > 0).astype(np.int64)),
-                "base": add(np.log10(all_word + 1.0)),
-                "lower": add(np.log10(lower)),
-                "ratios": [ratio[a:b].tobytes() for a, b in zip(block.starts, ends)],
-                "buckets": [bucket[a:b].tobytes() for a, b in zip(block.starts, ends)],
+                "kind": pa.array(["doc"] * len(fold)),
+                "doc_id": docs.column("doc_id").combine_chunks(),
+                "held_out": pa.array(fold < 0),
+                "n_tokens": pa.array(block.lengths),
+                "n_known": pa.array(add((all_word > 0).astype(np.int64))),
+                "base": pa.array(add(np.log10(all_word + 1.0))),
+                "lower": pa.array(add(np.log10(lower))),
+                "ratios": pa.array([ratio[a:b].tobytes() for a, b in zip(block.starts, ends)], pa.binary()),
+                "buckets": pa.array([bucket[a:b].tobytes() for a, b in zip(block.starts, ends)], pa.binary()),
             }
         )
         of_token = np.repeat(fold, block.lengths)
@@ -279,12 +256,13 @@ def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_
             r = _ratios(p, c, totals.lower(w, totals.n - totals.per_fold[f]))
             code = _bucket(c).astype(np.int64) * 100_000 + np.where(r > 0, np.floor(np.log(np.maximum(r, 1e-300)) * BIN) + 50_000, 0).astype(np.int64)
             u, at = np.unique(code, return_inverse=True)
-            bins.append(pd.DataFrame({"kind": "bin", "held_out": False, "n_tokens": u, "base": np.bincount(at, minlength=len(u)).astype(float), "lower": np.bincount(at, r, len(u))}))
-        return pd.concat([rows, *bins], ignore_index=True)[["kind", "doc_id", "held_out", "n_tokens", "n_known", "base", "lower", "ratios", "buckets"]]
+            n = len(u)
+            bins.append(pa.table({"kind": pa.array(["bin"] * n), "doc_id": pa.nulls(n, rows.schema.field("doc_id").type), "held_out": pa.array(np.zeros(n, bool)), "n_tokens": pa.array(u), "n_known": pa.array(np.zeros(n, np.int64)), "base": pa.array(np.bincount(at, minlength=n).astype(float)), "lower": pa.array(np.bincount(at, r, n)), "ratios": pa.nulls(n, pa.binary()), "buckets": pa.nulls(n, pa.binary())}))
+        return pa.concat_tables([rows, *bins]).combine_chunks()
 
     shape = f"kind string, doc_id {id_kind}, held_out boolean, n_tokens long, n_known long, base double, lower double, ratios binary, buckets binary"
     told = answers.where("kind = 'answer'").select("block", "part", "counts")
-    weighed = materialize(bundles.groupBy("block").cogroup(told.groupBy("block")).applyInPandas(weigh, shape), "lm-weighed")
+    weighed = materialize(dealt.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(weigh, shape), "lm-weighed")
     release(spark)
     hist = weighed.where("kind = 'bin'").groupBy("n_tokens").agg(F.sum("base").alias("n"), F.sum("lower").alias("r")).toPandas()  # bounded by buckets and bins
     weights = np.zeros(256)
