@@ -20,6 +20,8 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -35,13 +37,24 @@ def _usable(vector: Column) -> Column:
     return vector.isNotNull() & F.forall(vector, finite)
 
 
-def _matrix(column, dim: int) -> np.ndarray:
-    out = np.zeros((len(column), dim), np.int64)
-    for i, v in enumerate(column):
-        out[i, : len(v)] = v
+def _padded(lists: pa.ListArray, dim: int, kind: str) -> np.ndarray:
+    """Rows of ``dim`` integers, shorter vectors filled with zeros."""
+    lengths = pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
+    flat = pc.list_flatten(lists).to_numpy(zero_copy_only=False)
+    out = np.zeros((len(lists), dim), kind)
+    row = np.repeat(np.arange(len(lists)), lengths)
+    out[row, np.arange(len(flat)) - np.repeat(np.cumsum(lengths) - lengths, lengths)] = flat
     return out
 
 
+def _rows(m: np.ndarray) -> pa.Array:
+    return pa.array([r.tobytes() for r in np.ascontiguousarray(m)], pa.binary())
+
+
+def _matrix(column, dim: int, kind: str) -> np.ndarray:
+    return np.frombuffer(b"".join(column), kind).reshape(-1, dim).astype(np.int64)
+
+
 def _products(q: np.ndarray, x: np.ndarray) -> np.ndarray:
     """Exact integer products, through doubles where no sum can leave their exact range."""
     most = float(np.abs(q).max(initial=0)) * float(np.abs(x).max(initial=0)) * max(1, q.shape[1])
@@ -58,27 +71,32 @@ def _best(ids: np.ndarray, scores: np.ndarray, k: int) -> np.ndarray:
     return near[np.lexsort((ids[near], -scores[near]))[:k]]
 
 
-def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int = 32, scale: int = 256, vec_id: str = "vec_id", vector: str = "embedding", block: int = 16384, query_block: int = 512) -> DataFrame:
-    """(query_id, rank, vec_id, score): the k rows with the highest products for each row where ``queries`` holds."""
+def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int | None = None, scale: int = 256, vec_id: str = "vec_id", vector: str = "embedding", block: int = 8192, query_block: int = 256) -> DataFrame:
+    """(query_id, rank, vec_id, score): the k rows with the highest products for each row where ``queries`` holds.
+
+    Without ``pivots`` there is one for every 64 queries, 64 at most: a query group fills a block.
+    """
+    spark = df.sparkSession
     rows = df.where(F.col(vec_id).isNotNull() & _usable(F.col(vector))).select(F.col(vec_id).cast("long").alias("id"), quantised(F.col(vector), scale).alias("v"), F.coalesce(queries, F.lit(False)).alias("asks"))
-    size = rows.agg(F.max(F.size("v")).alias("dim"), F.count("*").alias("n"), F.sum(F.col("asks").cast("long")).alias("q")).first()
+    most = F.max(F.greatest(F.coalesce(F.array_max("v"), F.lit(0)), -F.coalesce(F.array_min("v"), F.lit(0))))
+    size = rows.agg(F.max(F.size("v")).alias("dim"), F.count("*").alias("n"), F.sum(F.col("asks").cast("long")).alias("q"), most.alias("most")).first()
     dim, n, n_q = max(1, size["dim"] or 1), size["n"], size["q"] or 0
+    kind = "<i2" if (size["most"] or 0) < 1 << 15 else "<i4" if size["most"] < 1 << 31 else "<i8"
+    pivots = pivots or max(1, min(64, n_q // 64))
     # A bounded sample of pivots, the same at every run.
-    p = _matrix([r["v"] for r in rows.orderBy(F.xxhash64("id"), "id").limit(pivots).collect()], dim).astype(float)
-    p = p if len(p) else np.zeros((1, dim))
+    chosen = pa.array([r["v"] for r in rows.orderBy(F.xxhash64("id"), "id").limit(pivots).collect()], pa.list_(pa.int64()))
+    p = _padded(chosen, dim, "<i8").astype(float) if len(chosen) else np.zeros((1, dim))
     p2 = (p**2).sum(1)
 
-    def near(v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        d2 = (v**2).sum(1)[:, None] - 2 * v @ p.T + p2
-        g = d2.argmin(1)
-        return g, np.linalg.norm(v - p[g], axis=1)
-
-    def assign(parts):
-        for t in parts:
-            g, d = near(_matrix(t["v"], dim).astype(float)) if len(t) else (np.zeros(0, int), np.zeros(0))
-            yield t.assign(g=g.astype(np.int32), d=d)
+    def assign(batches):
+        for b in batches:
+            m = _padded(b.column("v"), dim, kind)
+            v = m.astype(float)
+            d2 = (v**2).sum(1)[:, None] - 2 * v @ p.T + p2
+            g = d2.argmin(1)
+            yield pa.RecordBatch.from_arrays([b.column("id"), _rows(m), b.column("asks"), pa.array(g.astype(np.int32)), pa.array(np.linalg.norm(v - p[g], axis=1))], ["id", "v", "asks", "g", "d"])
 
-    placed = materialize(rows.mapInPandas(assign, "id long, v array<long>, asks boolean, g int, d double"), "knn-placed")
+    placed = materialize(rows.mapInArrow(assign, "id long, v binary, asks boolean, g int, d double"), "knn-placed")
 
     def summarise(parts):
         near_, far = {}, {}
@@ -100,7 +118,7 @@ def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int = 32, scale: i
 
     def thresholds(parts):
         for t in parts:
-            q = _matrix(t["v"], dim).astype(float)
+            q = _matrix(t["v"], dim, kind).astype(float)
             norm = np.linalg.norm(q, axis=1)
             low = (q @ p.T)[:, group_of] - norm[:, None] * near_d
             # One of the k + 1 counted vectors may be the query's own row.
@@ -110,30 +128,31 @@ def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int = 32, scale: i
     groups = asked.mapInPandas(thresholds, "g int, low double, d double").groupBy("g").agg(F.min("low").alias("low"), F.max("d").alias("r"), F.count("*").alias("n")).collect()  # one row a pivot
     at = np.array([g["g"] for g in groups], int)
     low, radius = np.array([g["low"] for g in groups]), np.array([g["r"] for g in groups])
-    parts_q = {int(g["g"]): max(1, -(-g["n"] // query_block)) for g in groups}
     parts_x = max(1, -(-n // block))
 
-    def send(parts):
-        for t in parts:
-            x = _matrix(t["v"], dim).astype(float)
-            norm = np.linalg.norm(x, axis=1)
-            most = x @ p[at].T + norm[:, None] * radius
-            margin = 1e-9 * (norm[:, None] * (np.linalg.norm(p[at], axis=1) + radius) + 1)
-            row, col = np.nonzero(most + margin >= low - margin)
-            yield pd.DataFrame({"h": at[col].astype(np.int32), "id": t["id"].to_numpy()[row], "v": t["v"].to_numpy()[row]})
-
-    sent = placed.select("id", "v").mapInPandas(send, "h int, id long, v array<long>")
-    blocks_of_q = F.lit(1)
-    for g, m in parts_q.items():
-        blocks_of_q = F.when(F.col("h") == g, F.lit(m)).otherwise(blocks_of_q)
-    sent = sent.withColumn("bx", F.pmod(F.xxhash64("id", "v"), F.lit(parts_x)).cast("int")).withColumn("bq", F.explode(F.sequence(F.lit(0), blocks_of_q - 1)))
-    asked = asked.withColumnRenamed("g", "h").withColumn("bq", F.pmod(F.xxhash64("id"), blocks_of_q).cast("int")).withColumn("bx", F.explode(F.sequence(F.lit(0), F.lit(parts_x - 1))))
+    def send(batches):
+        for b in batches:
+            for start in range(0, b.num_rows, 1024):
+                some = b.slice(start, 1024)
+                x = _matrix(some.column("v").to_pylist(), dim, kind).astype(float)
+                norm = np.linalg.norm(x, axis=1)
+                reach = x @ p[at].T + norm[:, None] * radius
+                margin = 1e-9 * (norm[:, None] * (np.linalg.norm(p[at], axis=1) + radius) + 1)
+                row, col = np.nonzero(reach + margin >= low - margin)
+                sent_ = some.take(pa.array(row))
+                yield pa.RecordBatch.from_arrays([pa.array(at[col].astype(np.int32)), sent_.column("id"), sent_.column("v")], ["h", "id", "v"])
+
+    sent = placed.select("id", "v").mapInArrow(send, "h int, id long, v binary")
+    cuts = spark.createDataFrame([(int(g["g"]), max(1, -(-g["n"] // query_block))) for g in groups], "h int, blocks int")
+    cuts = F.broadcast(cuts)  # one row a pivot
+    sent = sent.join(cuts, "h").withColumn("bx", F.pmod(F.xxhash64("id", "v"), F.lit(parts_x)).cast("int")).withColumn("bq", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    asked = asked.withColumnRenamed("g", "h").join(cuts, "h").withColumn("bq", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).withColumn("bx", F.explode(F.sequence(F.lit(0), F.lit(parts_x - 1))))
 
     def solve(q: pd.DataFrame, x: pd.DataFrame) -> pd.DataFrame:
         out = []
         if len(q) and len(x):
-            a, ids = _matrix(q["v"], dim), x["id"].to_numpy()
-            scores = _products(a, _matrix(x["v"], dim))
+            ids = x["id"].to_numpy()
+            scores = _products(_matrix(q["v"], dim, kind), _matrix(x["v"], dim, kind))
             for i, own in enumerate(q["id"].to_numpy()):
                 others = np.flatnonzero(ids != own)
                 best = others[_best(ids[others], scores[i, others], k)]
@@ -141,6 +160,6 @@ def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int = 32, scale: i
         return pd.concat(out) if out else pd.DataFrame({"query_id": np.zeros(0, int), "vec_id": np.zeros(0, int), "score": np.zeros(0, int)})
 
     key = ["h", "bq", "bx"]
-    found = asked.groupBy(key).cogroup(sent.groupBy(key)).applyInPandas(solve, "query_id long, vec_id long, score long")
+    found = asked.select(*key, "id", "v").groupBy(key).cogroup(sent.select(*key, "id", "v").groupBy(key)).applyInPandas(solve, "query_id long, vec_id long, score long")
     order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
