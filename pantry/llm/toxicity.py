@@ -62,7 +62,7 @@ def sigmoid(z: np.ndarray) -> np.ndarray:
     return 0.5 * (1 + np.tanh(z / 2))
 
 
-def fit(row: np.ndarray, term: np.ndarray, y: np.ndarray, weight: np.ndarray, hash_bits: int, factors: int = 8, least_chi2: float = 12.0, l2: float = 0.002, steps: int = 300, rate: float = 0.05, seed: int = 7) -> Model:
+def fit(row: np.ndarray, term: np.ndarray, y: np.ndarray, weight: np.ndarray, hash_bits: int, factors: int = 8, least_chi2: float = 12.0, l2: float = 0.0005, steps: int = 600, rate: float = 0.05, seed: int = 7) -> Model:
     """Adam over all rows at once; the same rows in the same order give the same model."""
     size, n = 1 << hash_bits, len(y)
     share = float((y * weight).sum() / weight.sum())
@@ -71,7 +71,7 @@ def fit(row: np.ndarray, term: np.ndarray, y: np.ndarray, weight: np.ndarray, ha
     p = y.mean()
     with np.errstate(all="ignore"):
         chi2 = (hit - all_ * p) ** 2 / (all_ * p * (1 - p)) * n / np.maximum(n - all_, 1)
-    chosen = np.flatnonzero((all_ >= 5) & (chi2 >= least_chi2))
+    chosen = np.flatnonzero((all_ >= 3) & (chi2 >= least_chi2))
     place[chosen] = np.arange(len(chosen))
     m = Model(hash_bits, place, float(np.log(share / (1 - share))), np.zeros(len(chosen)), np.random.default_rng(seed).normal(0, 0.05, (len(chosen), factors)))
     at = place[term]
@@ -107,7 +107,9 @@ def train(docs: DataFrame, labels: DataFrame, learns: Column, max_rows: int = 40
     """The model from the labelled documents whose id satisfies ``learns``."""
     known = labels.where(F.col(label).isNotNull() & F.col(doc_id).isNotNull() & learns).groupBy(F.col(doc_id).alias("_id")).agg(F.max(F.col(label).cast("int")).alias("_y"))
     totals = {r["_y"]: r["n"] for r in known.groupBy("_y").agg(F.count("*").alias("n")).collect()}
-    of_class = lambda y: known.where(F.col("_y") == y).orderBy(F.xxhash64("_id"), "_id").limit(max_rows)
+    # Of a large class only hashes below a cut compete, so that no partition sends max_rows rows to the driver.
+    cut = lambda y: 1.3 * max_rows / max(1, totals.get(y, 0))
+    of_class = lambda y: known.where((F.col("_y") == y) & (tx.unit_interval(F.xxhash64("_id")) < cut(y))).orderBy(F.xxhash64("_id"), "_id").limit(max_rows)
     sample = of_class(1).unionByName(of_class(0))
     ids = [(r["_id"], r["_y"]) for r in sample.collect()]  # at most 2 * max_rows ids
     empty = Model(hash_bits, np.full(1 << hash_bits, -1), 0.0, np.zeros(0), np.zeros((0, 1)))
