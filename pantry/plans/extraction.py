@@ -100,8 +100,7 @@ for _rule in EXT:
 @query(f"WITH {LINES} SELECT corpus, count(*) AS n_lines, count(DISTINCT recipe_id) AS n_recipes, sum(q)::BIGINT AS sum_q FROM tr WHERE corpus = 'A' GROUP BY corpus")
 def src_structured(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = views.structured(spark, sf_dir).where("corpus = 'A'")
-    q = render.lines_base(spark, sf_dir).select("line_key", "q")
-    return df.join(q, "line_key").groupBy("corpus").agg(F.count("*").alias("n_lines"), F.countDistinct("recipe_id").alias("n_recipes"), F.sum("q").alias("sum_q"))
+    return df.groupBy("corpus").agg(F.count("*").alias("n_lines"), F.countDistinct("recipe_id").alias("n_recipes"), F.sum("q").alias("sum_q"))
 
 
 for _c in "BCDEF":
@@ -129,19 +128,22 @@ def explode_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return c.groupBy("conv_id", "turn").agg(F.count("*").alias("n_lines"), F.sum(F.char_length("line")).alias("n_chars"))
 
 
-def translate(df: DataFrame, lexicon: DataFrame, text: str = "text", lang: str = "lang", key: str = "line_key") -> DataFrame:
+def translate(df: DataFrame, lexicon: DataFrame, text: str = "text", lang: str = "lang") -> DataFrame:
     """Words of the line's language replaced through (lang, foreign, word); unknown words pass.
 
-    Words are looked up by an equality join and put back in order, so a lexicon of any size works.
+    Distinct texts are translated once. Words are looked up by an equality join and put back in order,
+    so a lexicon of any size works.
     """
-    words = df.select(key, lang, F.posexplode(F.split(text, " ")).alias("i", "w"))
-    l = lexicon.select(F.col("lang").alias("_l"), F.col("foreign").alias("_f"), F.col("word").alias("_w"))  # noqa: E741
-    bare = F.regexp_extract("w", r"^(.*?)([,.;]*)$", 1)
-    met = words.withColumn("_b", bare).withColumn("_t", F.regexp_extract("w", r"^(.*?)([,.;]*)$", 2))
-    met = met.join(l, (F.col(lang) == F.col("_l")) & (F.col("_b") == F.col("_f")), "left")
-    new = met.withColumn("w", F.concat(F.coalesce("_w", "_b"), "_t"))
-    back = new.groupBy(key).agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("i", "w"))), lambda x: x["w"]), " ").alias("_text"))
-    return df.drop(text).join(back, key).withColumnRenamed("_text", text)
+    once = df.select(F.col(lang).alias("_lang"), F.col(text).alias("_old")).distinct()
+    shape = r"^(.*?)([,.;]*)$"
+    words = once.select("_lang", "_old", F.posexplode(F.split("_old", " ")).alias("i", "w"))
+    words = words.withColumn("_bare", F.regexp_extract("w", shape, 1)).withColumn("_tail", F.regexp_extract("w", shape, 2))
+    known = lexicon.select(F.col("lang").alias("_l"), F.col("foreign").alias("_f"), F.col("word").alias("_w"))
+    met = words.join(known, (F.col("_lang") == F.col("_l")) & (F.col("_bare") == F.col("_f")), "left")
+    new = F.struct("i", F.concat(F.coalesce("_w", "_bare"), "_tail").alias("w"))
+    back = met.groupBy("_lang", "_old").agg(F.array_join(F.transform(F.array_sort(F.collect_list(new)), lambda x: x["w"]), " ").alias("_new"))
+    out = df.join(back, (F.col(lang) == F.col("_lang")) & (F.col(text) == F.col("_old")), "left")
+    return out.select(*(F.coalesce("_new", F.col(text)).alias(text) if c == text else F.col(c) for c in df.columns))
 
 
 @query(f"WITH {LINES} SELECT line_key, part_no, qty, unit, food FROM tw WHERE corpus IN ('B', 'E')")
@@ -263,20 +265,14 @@ def normalize_by_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
     return views.triples(spark, sf_dir).groupBy("corpus").agg(F.count("*").alias("n"), F.count("qty").alias("with_qty"), F.count("unit").alias("with_unit"), F.round(F.sum("qty"), 4).alias("sum_qty"))
 
 
-def expected(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(line_key, t, corpus, qty, unit, food) of the first part, from the numbers."""
-    df = views.structured(spark, sf_dir).join(render.lines_base(spark, sf_dir).select("line_key", "t"), "line_key")
-    t, f = F.col("t"), F.col("food")
-    fused = F.when(f.endswith("widget"), F.replace(f, F.lit(" "), F.lit(""))).otherwise(f)
-    food = F.when(t == 17, fused).when(t == 18, F.concat(F.lit("3.5% "), f)).when(t == 19, F.concat(F.lit("clove "), f)).otherwise(f)
-    return df.select("line_key", "t", "corpus", "qty", "unit", food.alias("food"))
-
-
 @query(f"WITH {LINES} SELECT corpus, t, count(*) AS n, 1.0::DOUBLE AS qty_right, 1.0::DOUBLE AS unit_right, 1.0::DOUBLE AS food_right FROM tr GROUP BY corpus, t")
 def extract_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Share of lines whose parts are exactly right, by template and collection."""
-    want = expected(spark, sf_dir).select("line_key", F.col("qty").alias("_q"), F.col("unit").alias("_u"), F.col("food").alias("_f"))
-    got = views.triples(spark, sf_dir).where("part_no = 0").join(want, "line_key")
+    t, f = F.col("t"), F.col("f")
+    fused = F.when(f.endswith("widget"), F.replace(f, F.lit(" "), F.lit(""))).otherwise(f)
+    food = F.when(t == 17, fused).when(t == 18, F.concat(F.lit("3.5% "), f)).when(t == 19, F.concat(F.lit("clove "), f)).otherwise(f)
+    lines = views.answers(render.ingredient_lines(spark, sf_dir)).withColumnsRenamed({"qty": "_q", "unit": "_u"}).withColumn("_f", food)
+    got = normalize_lines(lines.select("corpus", "t", "text", "_q", "_u", "_f")).where("part_no = 0")
     right = lambda a, b: F.avg(F.col(a).eqNullSafe(F.col(b)).cast("double"))
     return got.groupBy("corpus", "t").agg(F.count("*").alias("n"), right("qty", "_q").alias("qty_right"), right("unit", "_u").alias("unit_right"), right("food", "_f").alias("food_right"))
 

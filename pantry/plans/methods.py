@@ -135,9 +135,9 @@ def grams_portion(spark: SparkSession, sf_dir: str) -> DataFrame:
     return views.weighed(spark, sf_dir).where("unit is null").select("line_key", "grams")
 
 
-@query(f"WITH {WEIGHED} SELECT line_key, round(100 * grams / sum(grams) OVER (PARTITION BY recipe_id), 4) AS share FROM g")
+@query(f"WITH {WEIGHED} SELECT line_key, round(100 * grams / sum(grams) OVER (PARTITION BY recipe_id) + 1e-9, 4) AS share FROM g")
 def grams_share(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return nutrients.shares(views.weighed(spark, sf_dir)).select("line_key", F.round("share", 4).alias("share"))
+    return nutrients.shares(views.weighed(spark, sf_dir)).select("line_key", F.round(F.col("share") + 1e-9, 4).alias("share"))
 
 
 @query(f"WITH {RECIPES} SELECT recipe_id, n_lines, {', '.join(f'round({t} + 1e-9, 4) AS {t}' for t in TARGETS)} FROM r")
@@ -156,9 +156,9 @@ def recipe_losses(spark: SparkSession, sf_dir: str) -> DataFrame:
     return nutrients.losses(orders, views.weighed(spark, sf_dir))
 
 
-@query(f"WITH {RECIPES} SELECT recipe_id, round(2.5 * sodium, 4) AS salt FROM r")
+@query(f"WITH {RECIPES} SELECT recipe_id, round(2.5 * sodium + 1e-9, 4) AS salt FROM r")
 def salt(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return views.recipes(spark, sf_dir).select("recipe_id", F.round(bands.salt(F.col("sodium")), 4).alias("salt"))
+    return views.recipes(spark, sf_dir).select("recipe_id", F.round(bands.salt(F.col("sodium")) + 1e-9, 4).alias("salt"))
 
 
 @query(f"WITH {RECIPES} SELECT corpus, count(*) AS n, round(avg(0.5 / (fat + 0.5)), 6) AS fat_error, round(avg(0.25 / (protein + 0.25)), 6) AS protein_error FROM r WHERE corpus IN ('A', 'C', 'E') GROUP BY corpus")

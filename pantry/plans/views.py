@@ -23,9 +23,8 @@ def triples(spark: SparkSession, sf_dir: str, templates: tuple[int, ...] | None
     return normalize_lines(text_lines(spark, sf_dir, templates))
 
 
-def structured(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Lines whose quantity and unit are columns already, as the structured collection has them."""
-    df = render.lines_base(spark, sf_dir)
+def answers(df: DataFrame) -> DataFrame:
+    """Add the quantity and unit (``qty``, ``unit``) that a line's text is rendered from."""
     t, q = F.col("t"), F.col("q").cast("double")
     widget = F.col("f").endswith("widget")
     qty = (
@@ -34,7 +33,13 @@ def structured(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
     own = F.get(F.array(*(F.lit(s[0]) for s in render.SPELT)), F.col("u"))
     unit = F.when(t == 2, "g").when(t == 12, "oz").when(t == 11, "packet").when(t.isin(4, 7, 15, 17, 19), None).otherwise(own)
-    return df.select("recipe_id", "corpus", "pos", "line_key", "l_partkey", qty.alias("qty"), unit.alias("unit"), F.col("f").alias("food"), food_key(F.col("f")).alias("food_key"), "name_idx")
+    return df.withColumn("qty", qty).withColumn("unit", unit)
+
+
+def structured(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lines whose quantity and unit are columns already, as the structured collection has them."""
+    df = answers(render.lines_base(spark, sf_dir))
+    return df.select("recipe_id", "corpus", "pos", "line_key", "l_partkey", "q", "t", "qty", "unit", F.col("f").alias("food"), food_key(F.col("f")).alias("food_key"), "name_idx")
 
 
 def weighed(spark: SparkSession, sf_dir: str) -> DataFrame:
