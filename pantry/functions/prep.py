@@ -87,16 +87,21 @@ def halves(c: Column) -> Column:
     return sub(c, r"\bhalf (?:a|of|from)\b", "1/2")
 
 
+def respell(c: Column, words: dict[str, str], mark: str = "") -> Column:
+    """Tokens that are keys of ``words`` become their values: a set test a token, a look-up only for hits."""
+    table = F.create_map(*(F.lit(x) for w, v in words.items() for x in (w, mark + v)))
+    swap = lambda t: F.when(t.isin(*words), F.try_element_at(table, t)).otherwise(t)
+    return F.array_join(F.transform(F.split(c, " "), swap), " ")
+
+
 def number_words(c: Column) -> Column:
-    for w, n in lx.NUMBER_WORDS.items():
-        c = sub(c, rf"\b{w}\b", str(n))
+    c = respell(c, {w: str(n) for w, n in lx.NUMBER_WORDS.items()})
     return sub(c, rf"{START}({INT}) and (?:a half|1/2){STOP}", "$1 1/2")
 
 
 def lemmas(c: Column) -> Column:
-    """Irregular words, then plural endings of words of four letters or more."""
-    for w, base in lx.IRREGULAR.items():
-        c = sub(c, rf"\b{w}\b", base)
+    """Of tokens: irregular words, then plural endings of words of four letters or more."""
+    c = respell(c, lx.IRREGULAR)
     c = sub(c, r"\b(\p{L}{2,})ies\b", "$1y")
     c = sub(c, r"\b(\p{L}+(?:sh|ch|ss|x|zz))es\b", "$1")
     return sub(c, r"\b(\p{L}{2,}[^\W\dsuiSUI])s\b", "$1")
@@ -122,6 +127,6 @@ def prepare(text: Column, lex: lx.Lexicons | None = None) -> Column:
     lex = lex or lx.Lexicons()
     c = F.lower(vulgar(F.coalesce(text, F.lit(""))))
     c = plus_sign(ampersand(percent(ranges(brackets(shield_brands(c, lex.brands))))))
-    c = number_words(halves(slash(c)))
-    c = squeeze(specials(lemmas(squeeze(c))))
+    c = squeeze(specials(halves(slash(c))))
+    c = lemmas(number_words(c))
     return articles(redundant(c, lex.redundant, lex.phrases), lex.units)

@@ -11,7 +11,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 from pantry.functions import lexicons as lx
-from pantry.functions.prep import FLOAT, FRAC, INT, NUM, START, STOP, any_of, articles, squeeze, sub
+from pantry.functions.prep import FLOAT, FRAC, INT, NUM, START, STOP, any_of, articles, respell, squeeze, sub
 
 U = r"@\S+"
 Q = r"<[^>]*>"
@@ -28,14 +28,8 @@ def count(c: Column, pattern: str) -> Column:
 
 
 def tag_units(c: Column, units: dict[str, str] | None = None) -> Column:
-    """Dictionary entities become ``@canonical``: one pass that marks, one a spelling that differs."""
-    units = units or lx.surfaces()
-    c = sub(c, rf"{START}({any_of(units)}){STOP}", "@$1")
-    for name in sorted(set(units.values())):
-        others = [s for s, n in units.items() if n == name and s != name]
-        if others:
-            c = sub(c, rf"{START}@{any_of(others)}{STOP}", f"@{name}")
-    return c
+    """Dictionary entities become ``@canonical``."""
+    return respell(c, units or lx.surfaces(), "@")
 
 
 def tag_pairs(c: Column, pairs=None) -> Column:
