@@ -202,10 +202,12 @@ def l2(a: Column, b: Column) -> Column:
     return F.sqrt(F.aggregate(F.zip_with(a, b, lambda x, y: (x.cast("double") - y.cast("double")) * (x.cast("double") - y.cast("double"))), F.lit(0.0), lambda s, x: s + x))
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, k: int, key: str = "vec_id", vec: str = "embedding") -> DataFrame:
-    """(query, rank, key, cosine): exact; the queries are a short list that the caller vouches for."""
+def nearest(vectors: DataFrame, queries: DataFrame, k: int, key: str = "vec_id", vec: str = "embedding", most: int = 10_000) -> DataFrame:
+    """(query, rank, key, cosine): exact; at most ``most`` queries, which is what makes the broadcast safe."""
     from pyspark.sql import Window
 
+    if queries.count() > most:
+        raise ValueError(f"more than {most} queries; ask in parts")
     q = queries.select(F.col(key).alias("query"), F.col(vec).alias("_q"))
     pairs = vectors.join(F.broadcast(q), F.col(key) != F.col("query")).select("query", key, F.round(cosine(F.col("_q"), F.col(vec)), 6).alias("cosine"))
     w = Window.partitionBy("query").orderBy(F.col("cosine").desc(), key)

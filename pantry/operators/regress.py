@@ -201,6 +201,46 @@ def fit_forest(df: DataFrame, x: str, target: str, depth: int = 5, trees: int =
     return RandomForestRegressor(featuresCol="_v", labelCol=target, maxDepth=depth, numTrees=trees, seed=seed).fit(df.withColumn("_v", array_to_vector(x)))
 
 
+def grid_search_tree(df: DataFrame, x: str, target: str, depths=GRID["depth"], folds: int = 5, parallelism: int = 4) -> list[tuple[int, float]]:
+    """(depth, mean RMSE over the given folds) for every depth; folds are trained side by side."""
+    from pyspark.ml.evaluation import RegressionEvaluator
+    from pyspark.ml.functions import array_to_vector
+    from pyspark.ml.regression import DecisionTreeRegressor
+    from pyspark.ml.tuning import CrossValidator, ParamGridBuilder
+
+    tree = DecisionTreeRegressor(featuresCol="_v", labelCol=target, seed=1)
+    grid = ParamGridBuilder().addGrid(tree.maxDepth, list(depths)).build()
+    search = CrossValidator(estimator=tree, estimatorParamMaps=grid, evaluator=RegressionEvaluator(labelCol=target), numFolds=folds, foldCol="fold", parallelism=parallelism)
+    return list(zip(depths, search.fit(df.withColumn("_v", array_to_vector(x))).avgMetrics))
+
+
+def random_search_forest(df: DataFrame, x: str, target: str, n: int, seed: int = 1, space: dict[str, tuple] | None = None) -> list[tuple[int, int, float]]:
+    """(trees, depth, RMSE on fold 0) of ``n`` candidates trained on the other folds."""
+    from pyspark.ml.evaluation import RegressionEvaluator
+
+    out = []
+    for c in random_candidates(space or {"trees": (5, 10, 20), "depth": (3, 5, 8)}, n, seed):
+        model = fit_forest(df.where("fold <> 0"), x, target, c["depth"], c["trees"])
+        out.append((c["trees"], c["depth"], RegressionEvaluator(labelCol=target).evaluate(model.transform(_as_vector(df.where("fold = 0"), x)))))
+    return out
+
+
+def random_search_mlp(df: DataFrame, x: str, target: str, stats: dict[int, Stats], at: int, n: int, seed: int = 1, epochs: int = 20) -> list[tuple[int, float, float]]:
+    """(hidden units, rate, last training loss in units of the target's variance) of ``n`` candidates."""
+    train = total(stats, (0,))
+    out = []
+    for c in random_candidates({"hidden": (8, 16, 32), "rate": (0.01, 0.05, 0.1)}, n, seed):
+        losses = fit_mlp(df.where("fold <> 0"), x, target, train, at, c["hidden"], epochs, c["rate"])[1]
+        out.append((c["hidden"], c["rate"], losses[-1]))
+    return out
+
+
+def _as_vector(df: DataFrame, x: str) -> DataFrame:
+    from pyspark.ml.functions import array_to_vector
+
+    return df.withColumn("_v", array_to_vector(x))
+
+
 def predict_ml(model, df: DataFrame, x: str, out: str) -> DataFrame:
     from pyspark.ml.functions import array_to_vector
 

@@ -1,10 +1,12 @@
-"""Joins that Spark lacks as operators: as-of and range, both through equalities and one sort."""
+"""Operators that Spark lacks: as-of and range joins through equalities and one sort, a rank over a whole table."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from pantry.session import materialize
+
 
 def asof_join(left: DataFrame, right: DataFrame, key: str, at: str, values: list[str], right_at: str | None = None) -> DataFrame:
     """``left`` with the latest ``values`` of ``right`` at or before its time, by key: a union and one sort a key."""
@@ -27,3 +29,18 @@ def range_join(left: DataFrame, right: DataFrame, point: str, low: str, high: st
 def top_k_per_group(df: DataFrame, group: str, order: str, k: int, ties: str) -> DataFrame:
     w = Window.partitionBy(group).orderBy(F.col(order).desc(), F.col(ties))
     return df.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
+
+
+def global_rank(df: DataFrame, order: list[Column], out: str) -> DataFrame:
+    """Add ``out``, the place from 0 in the whole table's order, without a task that sees all rows.
+
+    A sort deals rows into ranges; each range is numbered by itself and begins where the ranges before it
+    end. The offsets' table has one row a range.
+    """
+    dealt = materialize(df.orderBy(*order).withColumn("_range", F.spark_partition_id()), "ranked")
+    sizes = dealt.groupBy("_range").agg(F.count("*").alias("_n"))
+    before = Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
+    starts = sizes.select("_range", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
+    place = F.row_number().over(Window.partitionBy("_range").orderBy(*order)) - 1
+    ranked = dealt.withColumn("_place", place).join(F.broadcast(starts), "_range")
+    return ranked.withColumn(out, F.col("_start") + F.col("_place")).drop("_range", "_start", "_place")

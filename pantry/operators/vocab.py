@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pantry.functions.prep import tokens
+from pantry.operators.relational import global_rank
 
 
 def training_tokens(foods: DataFrame, food: str = "food") -> DataFrame:
@@ -17,7 +18,7 @@ def training_tokens(foods: DataFrame, food: str = "food") -> DataFrame:
 def vocabulary(df: DataFrame, min_count: int = 1) -> DataFrame:
     """(word, n, word_id) by count, then word."""
     n = df.select(F.explode("tokens").alias("word")).groupBy("word").agg(F.count("*").alias("n")).where(F.col("n") >= min_count)
-    return n.withColumn("word_id", F.row_number().over(Window.orderBy(F.col("n").desc(), "word")) - 1)
+    return global_rank(n, [F.col("n").desc(), F.col("word")], "word_id")
 
 
 def cooccurrence(df: DataFrame, window: int, weighting: str = "inverse") -> DataFrame:

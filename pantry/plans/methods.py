@@ -193,7 +193,7 @@ def food_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return p.select(F.concat_ws("|", "p_name", "k").alias("food_key"), F.concat(F.split("p_name", " "), F.split("k", " ")).alias("tokens"))
 
 
-@query(f"WITH {_TOKENS} SELECT word, n, (row_number() OVER (ORDER BY n DESC, word) - 1)::INT AS word_id FROM (SELECT unnest(w) AS word, count(*) AS n FROM tk GROUP BY 1)", "vocab")
+@query(f"WITH {_TOKENS} SELECT word, n, row_number() OVER (ORDER BY n DESC, word) - 1 AS word_id FROM (SELECT unnest(w) AS word, count(*) AS n FROM tk GROUP BY 1)", "vocab")
 def vocab_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vocab.vocabulary(food_tokens(spark, sf_dir))
 
@@ -483,6 +483,24 @@ def random_candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([tuple(c.values()) for c in regress.random_candidates(space, 10, 7)], "trees int, depth int, hidden int")
 
 
+@query()
+def tree_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    f = materialize(views.recipe_features(spark, sf_dir, 8), "features")
+    return spark.createDataFrame([(d, float(e)) for d, e in regress.grid_search_tree(f, "dh", "fat", depths=(3, 5))], "depth int, rmse double")
+
+
+@query()
+def forest_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    f = materialize(views.recipe_features(spark, sf_dir, 8), "features")
+    return spark.createDataFrame([(t, d, float(e)) for t, d, e in regress.random_search_forest(f, "dh", "fat", 3)], "trees int, depth int, rmse double")
+
+
+@query()
+def mlp_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    f, stats = _statistics(spark, sf_dir, 8)
+    return spark.createDataFrame([(h, float(r), float(x)) for h, r, x in regress.random_search_mlp(f, "dh", "fat", stats, 0, 2, epochs=5)], "hidden int, rate double, loss double")
+
+
 @query()
 def refit(spark: SparkSession, sf_dir: str) -> DataFrame:
     _, stats = _statistics(spark, sf_dir, 8)

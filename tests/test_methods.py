@@ -149,3 +149,25 @@ def test_training_repeats(spark, sf_dir):
 def test_tolerance_ranges(spark):
     y = spark.createDataFrame([(5.0,), (10.0,), (40.0,), (41.0,)], "y double")
     assert [r[0] for r in y.select(bands.tolerance("fat", F.col("y"))).collect()] == pytest.approx([1.5, 2.0, 8.0, 8.0])
+
+
+def test_global_rank(spark):
+    from pantry.operators.relational import global_rank
+
+    df = spark.range(500).select((F.col("id") * 7919 % 500).alias("v")).repartition(5)
+    assert global_rank(df, [F.col("v").desc()], "at").where("at <> 499 - v").count() == 0
+
+
+def test_filters_and_columns_reach_the_scan(spark, sf_dir):
+    from pantry.plans.catalog import queries
+
+    plan = queries()["filter_cmp"](spark, sf_dir)._jdf.queryExecution().executedPlan().toString()
+    assert "PushedFilters: [IsNotNull(p_size), GreaterThan(p_size,10), LessThanOrEqual(p_size,30)]" in plan
+    assert "p_retailprice" not in plan
+
+
+def test_searches(spark, sf_dir):
+    grid = methods.tree_grid(spark, sf_dir).collect()
+    assert [r.depth for r in grid] == [3, 5] and all(r.rmse > 0 for r in grid)
+    assert methods.forest_search(spark, sf_dir).count() == 3
+    assert methods.mlp_search(spark, sf_dir).count() == 2
