@@ -104,7 +104,8 @@ def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int | None = None,
             for g, d in t.groupby("g")["d"]:
                 near_[g] = np.sort(np.concatenate([near_.get(g, np.zeros(0)), d.to_numpy()]))[: k + 1]
                 far[g] = max(far.get(g, 0.0), d.max())
-        yield pd.DataFrame({"g": list(near_), "near": list(near_.values()), "far": list(far.values())})
+        if near_:
+            yield pd.DataFrame({"g": list(near_), "near": list(near_.values()), "far": list(far.values())})
 
     def join_summaries(t: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame({"g": t["g"][:1], "near": [np.sort(np.concatenate(list(t["near"])))[: k + 1]], "far": [t["far"].max()]})
