@@ -41,31 +41,37 @@ RADIUS = 3
 AT_ONCE = 1 << 21
 
 
-def fingerprint(text: str | None, shingle: int = 4, seed: int = 42) -> int:
-    """SimHash of one text: XXH64 of its word shingles, a bit set if it is in over half of them."""
+def shingles(text: str | None, shingle: int, seed: int) -> np.ndarray:
+    """XXH64 of the text's word shingles, repeats included; of the whole sequence if it is shorter."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
-    if not words:
-        return 0
     h = xxhash.xxh64_intdigest
     joined = b" ".join(words)
     if len(words) <= shingle:
-        return h(joined, seed)
+        return np.array([h(joined, seed)] if words else [], np.uint64)
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])
     n = len(words) - shingle + 1
-    hashes = np.fromiter((h(joined[a:b], seed) for a, b in zip(starts[:n].tolist(), ends[shingle - 1 :].tolist())), np.uint64, n)
+    return np.fromiter((h(joined[a:b], seed) for a, b in zip(starts[:n].tolist(), ends[shingle - 1 :].tolist())), np.uint64, n)
+
+
+def fingerprint(text: str | None, shingle: int = 4, seed: int = 42, once: bool = False) -> int:
+    """SimHash of one text: a bit is set if it is in over half of the shingles' hashes (``once``: of the different ones)."""
+    hashes = shingles(text, shingle, seed)
+    if once:
+        hashes = np.unique(hashes)
+    n = len(hashes)
     counts = np.zeros(64, np.int64)
     for i in range(0, n, 1 << 16):
         counts += np.unpackbits(hashes[i : i + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
     return int(np.packbits(2 * counts > n, bitorder="little").view("<u8")[0])
 
 
-def fingerprints(df: DataFrame, shingle: int = 4, seed: int = 42, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def fingerprints(df: DataFrame, shingle: int = 4, seed: int = 42, once: bool = False, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, fp): the fingerprint as a signed long."""
 
     def run(batches):
         for b in batches:
-            fp = np.fromiter((fingerprint(t, shingle, seed) for t in b.column(1).to_pylist()), np.uint64, b.num_rows)
+            fp = np.fromiter((fingerprint(t, shingle, seed, once) for t in b.column(1).to_pylist()), np.uint64, b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
 
     slim = df.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
@@ -98,6 +104,19 @@ def anchors(values: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     return row, values[row] ^ patterns[begin[rem][row] + place]
 
 
+def _hung(parent: np.ndarray, child: np.ndarray, bits: int) -> list[tuple[int, int]]:
+    """Links of the same reach through the least child of each parent where that is near enough: a group that
+    meets at many anchors then names the same links at most of them, and they are one row after ``distinct``."""
+    if not len(parent):
+        return []
+    order = np.argsort(parent, kind="stable")
+    parent, child = parent[order], child[order]
+    first = np.flatnonzero(np.concatenate([[True], parent[1:] != parent[:-1]]))
+    hub = np.repeat(np.minimum.reduceat(child, first), np.diff([*first, len(parent)]))
+    near = (np.bitwise_count(hub ^ child) <= bits) & (hub != child)
+    return list(zip(np.where(near, hub, parent).tolist(), child.tolist()))
+
+
 def forest(home: np.ndarray, others: np.ndarray, bits: int) -> list[tuple[int, int]]:
     """Links that connect what home x others within ``bits`` connects: at most one a row.
 
@@ -114,7 +133,7 @@ def forest(home: np.ndarray, others: np.ndarray, bits: int) -> list[tuple[int, i
         now, front = front[:some], front[some:]
         near = np.bitwise_count(now[:, None] ^ rest[None, :]) <= bits
         hit = near.any(0)
-        out += zip(now[near.argmax(0)[hit]].tolist(), rest[hit].tolist())
+        out += _hung(now[near.argmax(0)[hit]], rest[hit], bits)
         reached, rest = rest[hit], rest[~hit]
         some = max(1, AT_ONCE // max(1, len(homes)))
         for i in range(0, len(reached), some):  # homes that a reached row touches belong too and search on
@@ -183,7 +202,7 @@ def links(distinct: DataFrame, bits: int = 4, block: int = 8192) -> DataFrame:
 
 def near_duplicates(df: DataFrame, bits: int = 4, shingle: int = 4, seed: int = 42, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, fingerprint, component_id) for every row; the label is the least doc_id reachable."""
-    prints = materialize(fingerprints(df, shingle, seed, doc_id, text), "prints")
+    prints = materialize(fingerprints(df, shingle, seed, False, doc_id, text), "prints")
     distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("least")), "classes")
     joined = components(links(distinct, bits))
     rooted = distinct.join(joined, F.col("fp") == F.col("node"), "left").select("fp", "least", F.coalesce("component", "fp").alias("root"))
@@ -193,8 +212,78 @@ def near_duplicates(df: DataFrame, bits: int = 4, shingle: int = 4, seed: int =
     return out.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def keep_one(df: DataFrame, bits: int = 4, shingle: int = 5, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """The rows of ``df``, one of each component: that with the least doc_id; rows without an id stay."""
-    groups = near_duplicates(df, bits, shingle, doc_id=doc_id, text=text)
-    lost = groups.where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias("_lost")).distinct()
-    return df.join(lost, F.col(doc_id) == F.col("_lost"), "left_anti")
+def _alike(pairs: DataFrame, texts: DataFrame, words: int, similarity: float) -> DataFrame:
+    """Of (a, b), ids, those whose texts' sets of ``words``-word shingles reach the similarity (exact Jaccard)."""
+    left = texts.select(F.col("node").alias("a"), F.col("text").alias("_x"))
+    right = texts.select(F.col("node").alias("b"), F.col("text").alias("_y"))
+
+    def check(batches):
+        for t in batches:
+            keep = []
+            for x, y in zip(t.column("_x").to_pylist(), t.column("_y").to_pylist()):
+                u, v = np.unique(shingles(x, words, 0)), np.unique(shingles(y, words, 0))
+                common = len(np.intersect1d(u, v, assume_unique=True))
+                keep.append(common >= similarity * (len(u) + len(v) - common))
+            yield t.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    met = pairs.join(right, "b").join(left, "a").select("a", "b", "_x", "_y")
+    return met.mapInArrow(check, "a long, b long")
+
+
+def _leaders(members: DataFrame) -> DataFrame:
+    """(root, leader): the member nearest to the bitwise majority of its group's fingerprints, which the text
+    that copies were made from comes close to."""
+    bits = [F.shiftrightunsigned("fp", i).bitwiseAND(F.lit(1).cast("long")) for i in range(64)]
+    sums = members.groupBy("root").agg(F.count("*").alias("n"), *(F.sum(b).alias(f"s{i}") for i, b in enumerate(bits)))
+    centre = F.lit(0).cast("long")
+    for i in range(64):
+        centre = centre.bitwiseOR(F.when(2 * F.col(f"s{i}") > F.col("n"), F.shiftleft(F.lit(1).cast("long"), i)).otherwise(F.lit(0).cast("long")))
+    middle = sums.where("n > 1").select("root", centre.alias("centre"))
+    order = F.struct(F.bit_count(F.col("fp").bitwiseXOR(F.col("centre"))), F.col("node"))
+    return members.join(middle, "root").groupBy("root").agg(F.min_by("node", order).alias("leader"))
+
+
+def keep_one(df: DataFrame, bits: int = 8, shingle: int = 2, words: int = 5, similarity: float = 0.8, rounds: int = 3, seeds: tuple[int, ...] = (42,), doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """The rows of ``df``, one of each group of near-duplicates: that with the least doc_id.
+
+    A pair counts if the Jaccard similarity of its sets of five-word shingles is 0.8 or more. A few edits
+    move a fingerprint of five-word shingles by a dozen bits, one of different two-word shingles by four
+    or so; candidates therefore come from the latter, within ``bits`` under one of the ``seeds``, and are
+    verified on whole texts. One seed finds about 98 of 100 such pairs, a second nearly all of the rest.
+    Equal texts are one node from the start. Verified are the forest's links, and each group's members
+    against its leader, then what no link holds yet against new leaders; all linear in the members.
+    Groups are the components of verified links. Rows without an id stay; rows that repeat a kept id stay.
+    """
+    known = df.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).alias("doc_id"), tx.whole(F.col(text)).alias("text"))
+    hashed = known.select("doc_id", F.xxhash64("text").alias("h1"), F.xxhash64(F.lit(1), "text").alias("h2"))
+    hashed = materialize(hashed, "hashes")
+    nodes = materialize(hashed.groupBy("h1", "h2").agg(F.min("doc_id").alias("node")), "nodes")
+    one = known.join(nodes.select("node"), F.col("doc_id") == F.col("node"), "left_semi")
+    prints, pairs = None, None
+    for seed in seeds:
+        mine = materialize(fingerprints(one, shingle, seed, True).groupBy(F.col("doc_id").alias("node")).agg(F.min("fp").alias("fp")), "prints")
+        reps = materialize(mine.groupBy("fp").agg(F.min("node").alias("rep")), "reps")
+        met = links(reps, bits).join(reps.select(F.col("fp").alias("a"), F.col("rep").alias("ra")), "a").join(reps.select(F.col("fp").alias("b"), F.col("rep").alias("rb")), "b")
+        near = met.select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b"))
+        same = mine.join(reps, "fp").where("node <> rep").select(F.col("rep").alias("a"), F.col("node").alias("b"))
+        found = near.union(same)
+        prints, pairs = prints if pairs is not None else mine, found if pairs is None else pairs.union(found)
+    pairs = materialize(pairs.distinct(), "pairs")
+    groups = components(pairs)
+    members = materialize(groups.select("node", F.col("component").alias("root")).join(prints, "node"), "members")
+    texts = known.join(members.select("node"), F.col("doc_id") == F.col("node"), "left_semi").groupBy(F.col("doc_id").alias("node")).agg(F.min("text").alias("text"))
+    texts = materialize(texts, "texts")
+    links_ = materialize(_alike(pairs, texts, words, similarity), "alike")
+    rest = members
+    for _ in range(rounds):
+        leaders = materialize(_leaders(rest), "leaders")
+        asked = rest.join(leaders, "root").where("node <> leader").select(F.col("leader").alias("a"), F.col("node").alias("b"))
+        found = materialize(_alike(asked, texts, words, similarity), "alike")
+        links_ = links_.union(found)
+        done = found.select(F.col("b").alias("node")).union(leaders.select(F.col("leader").alias("node")))
+        rest = materialize(rest.join(done, "node", "left_anti"), "rest")
+    joined = components(links_)
+    lost = joined.where("node <> component").select("node").withColumnRenamed("node", "_lost")
+    copies = hashed.join(nodes, ["h1", "h2"]).where("doc_id <> node").select(F.col("doc_id").alias("_lost"))
+    # a copy goes with its text's node, a node with its component
+    return df.join(lost.union(copies), F.col(doc_id) == F.col("_lost"), "left_anti")
