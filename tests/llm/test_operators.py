@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import math
+import itertools
 import random
 import re
 import zlib
@@ -267,6 +268,35 @@ def test_keep_one(spark):
     assert kept <= one_seed and len(one_seed) <= len(kept) + 3
 
 
+def _least_of_groups(rows, words=5, similarity=0.8):
+    """The ids that all pairs of exact similarity leave."""
+    cut = lambda t: {" ".join(t[i : i + words]) for i in range(max(1, len(t) - words + 1))}
+    sets, root = [(i, cut(t.split())) for i, t in rows], {i: i for i, _ in rows}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for (i, u), (j, v) in itertools.combinations(sets, 2):
+        if len(u & v) >= similarity * len(u | v):
+            a, b = sorted((find(i), find(j)))
+            root[b] = a
+    return {i for i in root if root[i] == i}
+
+
+def test_keep_one_finds_additions(spark):
+    r = random.Random(5)
+    rows = []
+    for g in range(120):  # a text and the same with a header, footer or end cut off, from 0.79 up
+        n = (60, 200, 400)[g % 3]
+        t, extra = [f"v{int(4000 ** r.random())}" for _ in range(n)], [f"v{int(4000 ** r.random())}" for _ in range(round(n * r.uniform(0.19, 0.255)))]
+        rows += [(2 * g, " ".join(t)), (2 * g + 1, " ".join(extra + t if g % 2 else t + extra))]
+    want = _least_of_groups(rows)
+    assert 120 < len(want) < 200
+    assert {x.doc_id for x in simhash.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).collect()} == want
+
+
 # 4 ------------------------------------------------------------------------------------------------
 
 
