@@ -225,17 +225,17 @@ def _alike(pairs: DataFrame, one: DataFrame, words: int, similarity: float) -> D
 
     def check(batches):
         for t in batches:
-            keep = []
+            keep, u, last = [], np.zeros(0, np.uint64), ""
             for x, y in zip(t.column("_x").to_pylist(), t.column("_y").to_pylist()):
-                u, v = np.unique(shingles(x, words, 0)), np.unique(shingles(y, words, 0))
+                if x != last:  # rows come in order of a
+                    u, last = np.unique(shingles(x, words, 0)), x
+                v = np.unique(shingles(y, words, 0))
                 common = len(np.intersect1d(u, v, assume_unique=True))
                 keep.append(common >= similarity * (len(u) + len(v) - common))
             yield t.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     met = pairs.join(right, "b").join(left, "a").select("a", "b", "_x", "_y")
-    found = materialize(met.mapInArrow(check, "a long, b long"), "alike")
-    release(one.sparkSession)
-    return found
+    return materialize(met.mapInArrow(check, "a long, b long"), "alike")
 
 
 def _whole(batches, names: tuple[str, ...]):
@@ -338,9 +338,7 @@ def _cells(prefixes: DataFrame, nodes: DataFrame) -> DataFrame:
     met = sent.repartition("h").sortWithinPartitions("h", "node").mapInArrow(shared, "h long, node long, n long, same long, least long, head boolean")
     met = materialize(met, "cells")
     once = met.where("head").groupBy("same", "n", "least").agg(F.min("h").alias("h")).select("h")
-    cells = materialize(met.join(once, "h", "left_semi").select("h", "node", "n"), "cells")
-    release(prefixes.sparkSession)
-    return cells
+    return materialize(met.join(once, "h", "left_semi").select("h", "node", "n"), "cells")
 
 
 def _near(sketch: np.ndarray, size: np.ndarray, a: slice | np.ndarray, b: slice | np.ndarray, similarity: float) -> np.ndarray:
@@ -424,7 +422,9 @@ def keep_one(df: DataFrame, bits: int = 8, shingle: int = 2, words: int = 5, sim
     one = known.withColumnRenamed("doc_id", "node")
     prefixes = materialize(_prefixes(one, words, similarity, hashed.count()), "prefixes")
     cells = _cells(prefixes, nodes.select("node"))
+    release(df.sparkSession)
     links_ = _alike(_asked(cells, prefixes, similarity), one, words, similarity)
+    release(df.sparkSession)
     links_ = links_.union(_alike(_asked(cells, prefixes, similarity, components(links_)), one, words, similarity))
     joined = components(links_)
     lost = joined.where("node <> component").select("node").withColumnRenamed("node", "_lost")

@@ -297,6 +297,21 @@ def test_keep_one_finds_additions(spark):
     assert {x.doc_id for x in simhash.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).collect()} == want
 
 
+def test_keep_one_verifies_all_of_a_template(spark):
+    r = random.Random(6)
+    body, rows = [f"t{i}" for i in range(174)], []
+    for g in range(60):  # under 0.8 between groups, over it inside of one
+        own = [f"g{g}w{r.randint(0, 999)}" for _ in range(26)]
+        for k in range(3):
+            t = own + body
+            t[k] = f"x{g}y{k}"
+            rows.append((1000 * k + g, " ".join(t)))
+    r.shuffle(rows)
+    want = _least_of_groups(rows)
+    assert want == set(range(60))
+    assert {x.doc_id for x in simhash.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).collect()} == want
+
+
 # 4 ------------------------------------------------------------------------------------------------
 
 
