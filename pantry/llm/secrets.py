@@ -2,8 +2,8 @@
 
 Three patterns give the base spans. The method adds spans of kind ``random``: a run of characters that
 keys are made of costs many tokens of a public byte-pair vocabulary for its length if it is random,
-few if it is language. Runs are tested once a batch each; digests of known lengths, UUIDs, numbers,
-dates, versions, paths and words joined by punctuation are excluded first, as are runs that a base span covers.
+few if it is language. Runs are tested once a batch each, whole and in pieces between separators; digests
+of known lengths, UUIDs and runs without letters are excluded first, as are spans that a base span covers.
 
 The vocabulary is read from ``vocabulary`` (a .tiktoken file; its path is a parameter) once a worker.
 
@@ -35,7 +35,8 @@ ASSIGN_HINTS = ("password", "passwd", "secret", "token", "api")
 RUN = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
 DIGEST = re.compile(r"(?:[0-9a-fA-F]{32}|[0-9a-fA-F]{40}|[0-9a-fA-F]{56}|[0-9a-fA-F]{64}|[0-9a-fA-F]{96}|[0-9a-fA-F]{128})\Z")
 UUID = re.compile(r"[0-9a-fA-F]{8}-(?:[0-9a-fA-F]{4}-){3}[0-9a-fA-F]{12}\Z")
-WORDY = re.compile(r"(?:[A-Za-z]?[a-z]*|[A-Z]+|[0-9]+)(?:[+/_=-]+(?:[A-Za-z]?[a-z]*|[A-Z]+|[0-9]+))*\Z")
+PIECE = re.compile(r"(?<![A-Za-z0-9])[0-9a-fA-F]{8}-(?:[0-9a-fA-F]{4}-){3}[0-9a-fA-F]{12}(?![A-Za-z0-9])|[A-Za-z0-9+]+")
+LEAST = 20
 
 
 @functools.cache
@@ -62,20 +63,45 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 
 
 def excluded(run: str) -> bool:
-    """Known digests and identifiers: what is no secret although it is dense."""
-    kinds = any(c.isdigit() for c in run) + any(c.islower() for c in run) + any(c.isupper() for c in run)
-    return kinds < 2 or bool(DIGEST.match(run) or UUID.match(run) or WORDY.match(run))
+    """Known digests and identifiers, and numbers: what is no secret although it is dense."""
+    return not any(c.isalpha() for c in run) or bool(DIGEST.match(run) or UUID.match(run))
+
+
+def dense_spans(run: str, dense) -> list[tuple[int, int]]:
+    """(start, end) in a run: all of it, or the pieces between separators that are dense by themselves.
+
+    Text around a key does not thin it out: each piece is tested with as many of the next as make a run's
+    least length, none across a digest or identifier; spans that overlap are one.
+    """
+    if excluded(run):
+        return []
+    pieces = [(m.start(), m.end(), excluded(m[0]) and m.end() - m.start() >= LEAST) for m in PIECE.finditer(run)]
+    if not any(known for *_, known in pieces) and dense(run):
+        return [(0, len(run))]
+    out: list[tuple[int, int]] = []
+    for i, (a, _, _) in enumerate(pieces):
+        for _, b, known in pieces[i:]:
+            if known:
+                break
+            if b - a >= LEAST:
+                if not excluded(run[a:b]) and dense(run[a:b]):
+                    if out and a < out[-1][1]:
+                        out[-1] = (out[-1][0], max(b, out[-1][1]))
+                    else:
+                        out.append((a, b))
+                break
+    return out
 
 
-def random_spans(text: str, vocabulary: str, ratio: float, seen: dict[str, bool]) -> list[tuple[int, int, int]]:
+def random_spans(text: str, vocabulary: str, ratio: float, seen: dict[str, list]) -> list[tuple[int, int, int]]:
+    dense = lambda part: len(part) / len(encoder(vocabulary).encode_ordinary(part)) < ratio
     out = []
     for m in RUN.finditer(text):
         run = m[0]
-        flagged = seen.get(run)
-        if flagged is None:
-            flagged = seen[run] = not excluded(run) and len(run) / len(encoder(vocabulary).encode_ordinary(run)) < ratio
-        if flagged:
-            out.append((m.start(), 3, m.end()))
+        found = seen.get(run)
+        if found is None:
+            found = seen[run] = dense_spans(run, dense)
+        out += [(m.start() + a, 3, m.start() + b) for a, b in found]
     return out
 
 
@@ -83,7 +109,7 @@ def shown(spans: list[tuple[int, int, int]]) -> str:
     return ",".join(f"{KINDS[k]}:{a}:{b}" for a, k, b in sorted(spans))
 
 
-def scan_text(text: str | None, vocabulary: str = VOCABULARY, ratio: float = 1.9, seen: dict[str, bool] | None = None) -> tuple[list, list]:
+def scan_text(text: str | None, vocabulary: str = VOCABULARY, ratio: float = 1.9, seen: dict[str, list] | None = None) -> tuple[list, list]:
     """(base spans, added spans) of one text."""
     text = text or ""
     base = base_spans(text)

@@ -465,6 +465,24 @@ def test_base_spans(text):
     assert bool(extra) == (text is not None and "Zx9q" in text)
 
 
+def test_secrets_beside_readable_text():
+    r = random.Random(7)
+    key = lambda kind: "".join(r.choice(kind) for _ in range(24))
+    any_case = "".join(map(chr, [*range(48, 58), *range(65, 91), *range(97, 123)]))
+    for before in ("com/download/documents/report/", "customer_account_database_connection/", ""):
+        for _ in range(50):
+            k = key(any_case)
+            text = f"see {before}{k}/index here"
+            assert any(a <= text.index(k) and text.index(k) + 24 <= e for a, _, e in secrets.scan_text(text)[1])
+    for kind in (any_case[10:36], any_case[36:]):
+        assert sum(bool(secrets.scan_text(key(kind))[1]) for _ in range(100)) > 85
+
+
+@pytest.mark.parametrize("text", ["documents/reports/2024-01-15/final_version", "customer_account_database_connection", "id_123e4567-e89b-12d3-a456-426614174000/download", "path/to/" + "0A" * 20 + "/file", "2024-01-15_10-20-30_123456", "=" * 40, "INTERNATIONAL_CONFIGURATION_SETTINGS"])
+def test_no_secrets(text):
+    assert secrets.scan_text(text)[1] == []
+
+
 def test_secret_rows(spark, sf_dir):
     docs = {r.doc_id: r.text or "" for r in spark.read.parquet(f"{sf_dir}/documents.parquet").collect()}
     for r in q.op9_secrets(spark, sf_dir).collect():
