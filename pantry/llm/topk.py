@@ -98,23 +98,32 @@ def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int | None = None,
 
     placed = materialize(rows.mapInArrow(assign, "id long, v binary, asks boolean, g int, d double"), "knn-placed")
 
+    def first(d: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The least distances of k + 1 different ids: rows that share an id count once."""
+        order = np.lexsort((ids, d))
+        order = order[np.sort(np.unique(ids[order], return_index=True)[1])[: k + 1]]
+        return d[order], ids[order]
+
     def summarise(parts):
         near_, far = {}, {}
         for t in parts:
-            for g, d in t.groupby("g")["d"]:
-                near_[g] = np.sort(np.concatenate([near_.get(g, np.zeros(0)), d.to_numpy()]))[: k + 1]
-                far[g] = max(far.get(g, 0.0), d.max())
+            for g, some in t.groupby("g"):
+                d, ids = near_.get(g, (np.zeros(0), np.zeros(0, np.int64)))
+                near_[g] = first(np.concatenate([d, some["d"].to_numpy()]), np.concatenate([ids, some["id"].to_numpy()]))
+                far[g] = max(far.get(g, 0.0), some["d"].max())
         if near_:
-            yield pd.DataFrame({"g": list(near_), "near": list(near_.values()), "far": list(far.values())})
+            yield pd.DataFrame({"g": list(near_), "near": [d for d, _ in near_.values()], "ids": [i for _, i in near_.values()], "far": list(far.values())})
 
     def join_summaries(t: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame({"g": t["g"][:1], "near": [np.sort(np.concatenate(list(t["near"])))[: k + 1]], "far": [t["far"].max()]})
+        d, ids = first(np.concatenate(list(t["near"])), np.concatenate(list(t["ids"])))
+        return pd.DataFrame({"g": t["g"][:1], "near": [d], "ids": [ids], "far": [t["far"].max()]})
 
-    shape = "g int, near array<double>, far double"
-    summaries = placed.select("g", "d").mapInPandas(summarise, shape).groupBy("g").applyInPandas(join_summaries, shape).collect()  # one row a pivot
+    shape = "g int, near array<double>, ids array<long>, far double"
+    summaries = placed.select("g", "d", "id").mapInPandas(summarise, shape).groupBy("g").applyInPandas(join_summaries, shape).collect()  # one row a pivot
 
     asked = placed.where("asks").groupBy("id").agg(F.min(F.struct("v", "g", "d")).alias("m")).select("id", "m.v", "m.g", "m.d")
     group_of = np.concatenate([np.full(len(s["near"]), s["g"]) for s in summaries]) if summaries else np.zeros(0, int)
+    near_id = np.concatenate([np.asarray(s["ids"], np.int64) for s in summaries]) if summaries else np.zeros(0, np.int64)
     near_d = np.concatenate([np.asarray(s["near"]) for s in summaries]) if summaries else np.zeros(0)
 
     def thresholds(parts):
@@ -122,8 +131,8 @@ def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int | None = None,
             q = _matrix(t["v"], dim, kind).astype(float)
             norm = np.linalg.norm(q, axis=1)
             low = (q @ p.T)[:, group_of] - norm[:, None] * near_d
-            # One of the k + 1 counted vectors may be the query's own row.
-            least = np.partition(low, -(k + 1), axis=1)[:, -(k + 1)] if low.shape[1] > k else np.full(len(t), -np.inf)
+            low[t["id"].to_numpy()[:, None] == near_id[None, :]] = -np.inf  # the query's own rows are no results
+            least = np.partition(low, -k, axis=1)[:, -k] if low.shape[1] >= k else np.full(len(t), -np.inf)
             yield pd.DataFrame({"g": t["g"], "low": least, "d": t["d"]})
 
     groups = asked.mapInPandas(thresholds, "g int, low double, d double").groupBy("g").agg(F.min("low").alias("low"), F.max("d").alias("r"), F.count("*").alias("n")).collect()  # one row a pivot

@@ -331,6 +331,19 @@ def test_top_k_equals_all_pairs(spark):
         assert got == want
 
 
+def test_top_k_of_repeated_rows(spark):
+    r = random.Random(4)
+    ids = spark.createDataFrame([(i,) for i in range(40)], "id long").orderBy(F.xxhash64("id"), "id").collect()
+    asks = ids[0].id  # the only pivot, in seven rows
+    vec = lambda: [r.uniform(-1, 1) for _ in range(8)]
+    rows = [(i, [2.0] * 8 if i == asks else vec()) for i in range(40)] + [(asks, [2.0] * 8)] * 6
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = [(x.vec_id, x.score) for x in topk.top_k(df, F.col("vec_id") == asks, k=5, pivots=1).orderBy("rank").collect()]
+    whole = lambda v: [math.floor(c * 256) for c in v]
+    want = sorted(((i, 512 * sum(whole(v))) for i, v in rows if i != asks), key=lambda x: (-x[1], x[0]))[:5]
+    assert got == want
+
+
 def test_top_k_of_few_and_none(spark):
     few = spark.createDataFrame([(0, [1.0]), (1, [2.0])], "vec_id long, embedding array<double>")
     assert [(r.query_id, r.vec_id, r.score) for r in topk.top_k(few, F.col("vec_id") == 0).collect()] == [(0, 1, 131072)]
