@@ -203,15 +203,19 @@ def l2(a: Column, b: Column) -> Column:
 
 
 def nearest(vectors: DataFrame, queries: DataFrame, k: int, key: str = "vec_id", vec: str = "embedding", most: int = 10_000) -> DataFrame:
-    """(query, rank, key, cosine): exact; at most ``most`` queries, which is what makes the broadcast safe."""
+    """(query, rank, key, cosine): exact; queries go in blocks of about ``most``, which is what makes the broadcasts safe."""
     from pyspark.sql import Window
 
-    if queries.count() > most:
-        raise ValueError(f"more than {most} queries; ask in parts")
-    q = queries.select(F.col(key).alias("query"), F.col(vec).alias("_q"))
-    pairs = vectors.join(F.broadcast(q), F.col(key) != F.col("query")).select("query", key, F.round(cosine(F.col("_q"), F.col(vec)), 6).alias("cosine"))
+    blocks = max(1, -(-queries.count() // most))
     w = Window.partitionBy("query").orderBy(F.col("cosine").desc(), key)
-    return pairs.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
+    out = None
+    for i in range(blocks):
+        some = queries if blocks == 1 else queries.where(F.pmod(F.xxhash64(key), F.lit(blocks)) == i)
+        q = some.select(F.col(key).alias("query"), F.col(vec).alias("_q"))
+        pairs = vectors.join(F.broadcast(q), F.col(key) != F.col("query")).select("query", key, F.round(cosine(F.col("_q"), F.col(vec)), 6).alias("cosine"))
+        found = pairs.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
+        out = found if out is None else out.unionByName(found)
+    return out
 
 
 def as_vectors(spark: SparkSession, df: DataFrame, vec: str) -> DataFrame:

@@ -171,3 +171,18 @@ def test_searches(spark, sf_dir):
     assert [r.depth for r in grid] == [3, 5] and all(r.rmse > 0 for r in grid)
     assert methods.forest_search(spark, sf_dir).count() == 3
     assert methods.mlp_search(spark, sf_dir).count() == 2
+
+
+def test_nearest_in_blocks(spark, sf_dir):
+    e = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
+    asked = e.where("vec_id % 50 = 0")
+    rows = lambda most: sorted(tuple(r) for r in embed.nearest(e, asked, 3, most=most).collect())
+    assert len(rows(10_000)) == 3 * asked.count()
+    assert rows(4) == rows(10_000)
+
+
+def test_lsh_recall(spark, sf_dir):
+    got = {r["query"]: r["recall"] for r in methods.Q["lsh_topk"](spark, sf_dir).collect()}
+    e = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
+    assert set(got) == {r.vec_id for r in e.where("vec_id % 50 = 0").collect()}
+    assert sum(got.values()) / len(got) >= 0.9
