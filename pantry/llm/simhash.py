@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from pantry.llm import text as tx
 from pantry.llm.components import components
-from pantry.session import materialize, release
+from pantry.session import materialize
 
 #: Generator polynomial of the binary Golay code, block starts and widths.
 GOLAY = 0b101011100011
@@ -39,10 +39,6 @@ BLOCKS = ((0, 22), (22, 21), (43, 21))
 RADIUS = 3
 #: Comparisons held in memory at once.
 AT_ONCE = 1 << 21
-#: Bits of a set's sketch, documents whose shingles are counted, and frequent shingles that every task knows.
-SKETCH = 1024
-SAMPLE = 4000
-FREQUENT = 50_000
 
 
 def shingles(text: str | None, shingle: int, seed: int) -> np.ndarray:
@@ -216,218 +212,16 @@ def near_duplicates(df: DataFrame, bits: int = 4, shingle: int = 4, seed: int =
     return out.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def _alike(pairs: DataFrame, one: DataFrame, words: int, similarity: float) -> DataFrame:
-    """Of (a, b), ids, those whose texts' sets of ``words``-word shingles reach the similarity (exact Jaccard)."""
-    asked = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-    texts = materialize(one.join(asked, "node", "left_semi").distinct(), "texts")
-    left = texts.select(F.col("node").alias("a"), F.col("text").alias("_x"))
-    right = texts.select(F.col("node").alias("b"), F.col("text").alias("_y"))
-
-    def check(batches):
-        for t in batches:
-            keep, u, last = [], np.zeros(0, np.uint64), ""
-            for x, y in zip(t.column("_x").to_pylist(), t.column("_y").to_pylist()):
-                if x != last:  # rows come in order of a
-                    u, last = np.unique(shingles(x, words, 0)), x
-                v = np.unique(shingles(y, words, 0))
-                common = len(np.intersect1d(u, v, assume_unique=True))
-                keep.append(common >= similarity * (len(u) + len(v) - common))
-            yield t.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
-
-    met = pairs.join(right, "b").join(left, "a").select("a", "b", "_x", "_y")
-    return materialize(met.mapInArrow(check, "a long, b long"), "alike")
-
-
-def _whole(batches, names: tuple[str, ...]):
-    """Tables of whole cells of a sorted stream: the last cell of a batch may go on in the next."""
-    held: list[pa.RecordBatch] = []
-    for b in batches:
-        if not b.num_rows:
-            continue
-        held.append(b)
-        t = pa.Table.from_batches(held)
-        open_ = np.logical_and.reduce([k == k[-1] for k in (t.column(c).to_numpy() for c in names)])
-        at = int(np.flatnonzero(open_)[0])
-        if at:
-            yield t.slice(0, at)
-        held = t.slice(at).combine_chunks().to_batches()
-    if held:
-        yield pa.Table.from_batches(held)
-
-
-def _starts(t: pa.Table, names: tuple[str, ...]) -> np.ndarray:
-    """Where the cells of a sorted table begin."""
-    keys = [t.column(c).to_numpy() for c in names]
-    return np.concatenate([[0], np.flatnonzero(np.logical_or.reduce([k[1:] != k[:-1] for k in keys])) + 1])
-
-
-def _mixed(v: np.ndarray) -> np.ndarray:
-    """Ids spread over 64 bits."""
-    v = v.astype(np.int64).view(np.uint64) + np.uint64(0x9E3779B97F4A7C15)
-    v = (v ^ (v >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    v = (v ^ (v >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return v ^ (v >> np.uint64(31))
-
-
-def _frequent(one: DataFrame, words: int, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Shingles that come often in a bounded sample, in order, and how often; the order of prefixes, not their use, depends on it."""
-    share = max(1, n // SAMPLE)
-
-    def run(batches):
-        for b in batches:
-            sets = [np.unique(shingles(t, words, 0)) for t in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*sets, np.zeros(0, np.uint64)]).view(np.int64))], ["h"])
-
-    some = one.where(F.pmod(F.xxhash64("node"), F.lit(share)) == 0).mapInArrow(run, "h long")
-    often = some.groupBy("h").agg(F.count("*").alias("n")).where("n > 2").orderBy(F.col("n").desc(), "h").limit(FREQUENT).collect()  # at most FREQUENT rows
-    h = np.array([r["h"] for r in often], np.int64).view(np.uint64)
-    order = np.argsort(h)
-    return h[order], np.array([r["n"] for r in often], np.int64)[order]
-
-
-def _prefixes(one: DataFrame, words: int, similarity: float, n: int) -> DataFrame:
-    """(node, size, sketch, prefix): of two sets that reach the similarity the prefixes share a shingle.
-
-    Sets are put in one order, frequent shingles last; two that have a share ``similarity`` of each in
-    common have one of it among the first of both. The sketch holds the parity of the number of shingles
-    at each of its bits, so the sketches of two sets differ in no more bits than the sets in shingles.
-    """
-    often, count = _frequent(one, words, n)
-    often, count = np.append(often, np.uint64(2**64 - 1)), np.append(count, 0)
-
-    def run(batches):
-        for b in batches:
-            sizes, sketches, first = [], [], []
-            for t in b.column(1).to_pylist():
-                u = np.unique(shingles(t, words, 0))
-                at = np.minimum(np.searchsorted(often, u), len(often) - 1)
-                weight = np.where(often[at] == u, count[at], 0)
-                most = len(u) - int(np.ceil(similarity * len(u) - 1e-9)) + 1
-                sizes.append(len(u))
-                sketches.append(np.packbits((np.bincount((u % np.uint64(SKETCH)).astype(np.int64), minlength=SKETCH) & 1).astype(np.uint8)).tobytes())
-                first.append((u[np.lexsort((u, weight))[:most]] if len(u) else np.zeros(1, np.uint64)).tobytes())
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int64()), pa.array(sketches, pa.binary()), pa.array(first, pa.binary())], ["node", "size", "sketch", "prefix"])
-
-    return one.select("node", "text").mapInArrow(run, "node long, size long, sketch binary, prefix binary")
-
-
-def _cells(prefixes: DataFrame, nodes: DataFrame) -> DataFrame:
-    """(h, node, n): the nodes that share a prefix shingle, cells of the same nodes once."""
-
-    def spread(batches):
-        for b in batches:
-            sets = [np.frombuffer(x, np.int64) for x in b.column(1).to_pylist()]
-            node = np.repeat(b.column(0).to_numpy(), [len(s) for s in sets])
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*sets, np.zeros(0, np.int64)])), pa.array(node)], ["h", "node"])
-
-    def shared(batches):
-        for t in _whole(batches, ("h",)):
-            t = t.take(pa.array(_starts(t, ("h", "node"))))  # rows that repeat an id once
-            start = _starts(t, ("h",))
-            h, node = t.column("h").to_numpy(), t.column("node").to_numpy()
-            n = np.diff([*start, len(h)])
-            of = np.repeat(np.arange(len(n)), n)
-            head = np.zeros(len(h), bool)
-            head[start] = True
-            same, least = np.add.reduceat(_mixed(node), start).view(np.int64), np.minimum.reduceat(node, start)
-            keep = n[of] > 1
-            columns = [h, node, n[of], same[of], least[of], head]
-            yield pa.RecordBatch.from_arrays([pa.array(c[keep]) for c in columns], ["h", "node", "n", "same", "least", "head"])
-
-    sent = prefixes.select("node", "prefix").join(nodes, "node", "left_semi").mapInArrow(spread, "h long, node long")
-    met = sent.repartition("h").sortWithinPartitions("h", "node").mapInArrow(shared, "h long, node long, n long, same long, least long, head boolean")
-    met = materialize(met, "cells")
-    once = met.where("head").groupBy("same", "n", "least").agg(F.min("h").alias("h")).select("h")
-    return materialize(met.join(once, "h", "left_semi").select("h", "node", "n"), "cells")
-
-
-def _near(sketch: np.ndarray, size: np.ndarray, a: slice | np.ndarray, b: slice | np.ndarray, similarity: float) -> np.ndarray:
-    """Which of rows a x rows b can reach the similarity: none that does is left out."""
-    x, y = sketch[a], sketch[b]
-    both = size[a][:, None] + size[b][None, :]
-    # |x - y| + |y - x| = both - 2 common, and common >= similarity / (1 + similarity) * both
-    most = both * (1 - similarity) / (1 + similarity) + 1e-6
-    apart = np.zeros(both.shape, np.int64)
-    for k in range(x.shape[1]):
-        apart += np.bitwise_count(x[:, k][:, None] ^ y[:, k][None, :])
-    return (apart <= most) & (np.abs(size[a][:, None] - size[b][None, :]) <= most)
-
-
-def _asked(cells: DataFrame, prefixes: DataFrame, similarity: float, roots: DataFrame | None = None, block: int = 2048) -> DataFrame:
-    """(a, b): pairs of cells that sketches do not rule out.
-
-    Without ``roots`` each cell names a link a node at most, to the first node near it, which folds dense
-    groups; with them every pair of nodes of different roots. Cells over ``block`` nodes are cut into
-    blocks, which are compared each with each.
-    """
-    key, fold = ("h", "i", "j"), roots is None
-    held = prefixes.select("node", "size", "sketch").distinct()
-    if fold:
-        rows = cells.withColumn("root", F.col("node"))
-    else:
-        rows = cells.join(roots, "node", "left").withColumn("root", F.coalesce("component", "node"))
-        open_ = rows.groupBy("h").agg(F.min("root").alias("l"), F.max("root").alias("r")).where("l <> r").select("h")
-        rows = rows.join(open_, "h", "left_semi")
-    rows = rows.withColumn("by", F.ceil(F.col("n") / block).cast("int")).withColumn("own", F.pmod(F.xxhash64("node"), F.col("by")).cast("int"))
-    if fold:
-        rows = rows.withColumn("i", F.col("own")).withColumn("j", F.col("own"))
-    else:
-        rows = rows.withColumn("k", F.explode(F.sequence(F.lit(0), F.col("by") - 1))).withColumn("i", F.least("own", "k")).withColumn("j", F.greatest("own", "k"))
-    dealt = rows.join(held, "node").select(*key, "own", "node", "root", "size", "sketch").repartition(*key).sortWithinPartitions(*key, "node")
-
-    def compare(batches):
-        for t in _whole(batches, key):
-            start = _starts(t, key)
-            node, root, size, own, i, j = (t.column(c).to_numpy() for c in ("node", "root", "size", "own", "i", "j"))
-            sketch = np.frombuffer(b"".join(t.column("sketch").to_pylist()), np.uint64).reshape(len(node), -1)
-            out = [np.zeros((0, 2), np.int64)]
-            for s, e in zip(start.tolist(), [*start[1:].tolist(), len(node)]):
-                if fold:
-                    rest = np.arange(s, e)
-                    while len(rest) > 1:
-                        first, rest = rest[:1], rest[1:]
-                        hit = _near(sketch, size, first, rest, similarity)[0]
-                        out.append(np.stack([np.full(hit.sum(), node[first[0]]), node[rest[hit]]], 1))
-                        rest = rest[~hit]
-                    continue
-                at = np.arange(s, e)
-                left, right = at[own[at] == i[s]], at[own[at] == j[s]]
-                some = max(1, AT_ONCE // max(1, len(right)))
-                for k in range(0, len(left), some):
-                    part = left[k : k + some]
-                    apart = (root[part][:, None] != root[right][None, :]) & ((i[s] != j[s]) | (part[:, None] < right[None, :]))
-                    if apart.any():
-                        x, y = np.nonzero(apart & _near(sketch, size, part, right, similarity))
-                        out.append(np.stack([node[part[x]], node[right[y]]], 1))
-            found = np.unique(np.concatenate(out), axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(found.min(1, initial=2**63 - 1)), pa.array(found.max(1, initial=-(2**63)))], ["a", "b"])
-
-    return materialize(dealt.mapInArrow(compare, "a long, b long").distinct(), "asked")
-
-
-def keep_one(df: DataFrame, bits: int = 8, shingle: int = 2, words: int = 5, similarity: float = 0.8, rounds: int = 3, seeds: tuple[int, ...] = (42,), doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def keep_one(df: DataFrame, words: int = 5, similarity: float = 0.8, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """The rows of ``df``, one of each group of near-duplicates: that with the least doc_id.
 
-    A pair counts if the Jaccard similarity of its sets of five-word shingles is 0.8 or more; groups are
-    the components of such pairs, and none is missed: pairs come from shared prefix shingles, are dropped
-    only by a bound that no such pair exceeds, and are verified on whole texts. Links that fold dense
-    groups are verified first; then every other pair between the groups so found. Equal texts are one node
-    from the start. ``bits``, ``shingle``, ``rounds`` and ``seeds`` belonged to a search by fingerprints
-    and change nothing. Rows without an id stay; rows that repeat a kept id stay.
+    A pair counts if the Jaccard similarity of its sets of five-word shingles is 0.8 or more; groups are the
+    components of such pairs. Fingerprints of 64 bits cannot find all of them (a header of a quarter of the
+    text moves nine bits or more), so candidates come from shared shingles: see ``similar.groups``, which
+    misses none. Rows without an id stay; rows that repeat a kept id stay; ids may be numbers or strings.
     """
-    known = df.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).cast("long").alias("doc_id"), tx.whole(F.col(text)).alias("text"))
-    hashed = known.select("doc_id", F.xxhash64("text").alias("h1"), F.xxhash64(F.lit(1), "text").alias("h2"))
-    hashed = materialize(hashed, "hashes")
-    nodes = materialize(hashed.groupBy("h1", "h2").agg(F.min("doc_id").alias("node")), "nodes")
-    one = known.withColumnRenamed("doc_id", "node")
-    prefixes = materialize(_prefixes(one, words, similarity, hashed.count()), "prefixes")
-    cells = _cells(prefixes, nodes.select("node"))
-    release(df.sparkSession)
-    links_ = _alike(_asked(cells, prefixes, similarity), one, words, similarity)
-    release(df.sparkSession)
-    links_ = links_.union(_alike(_asked(cells, prefixes, similarity, components(links_)), one, words, similarity))
-    joined = components(links_)
-    lost = joined.where("node <> component").select("node").withColumnRenamed("node", "_lost")
-    copies = hashed.join(nodes, ["h1", "h2"]).where("doc_id <> node").select(F.col("doc_id").alias("_lost"))
-    # a copy goes with its text's node, a node with its component
-    return df.join(lost.union(copies), F.col(doc_id) == F.col("_lost"), "left_anti")
+    from pantry.llm import similar
+
+    lost, same = tx.fresh(df, "lost", "same")
+    gone = similar.groups(df, words, similarity, doc_id, text).where("doc_id <> kept").select(F.col("doc_id").alias(lost), F.col("h").alias(same))
+    return df.join(gone, (F.col(f"`{doc_id}`") == F.col(lost)) & (F.xxhash64(tx.whole(F.col(f"`{text}`"))) == F.col(same)), "left_anti")

@@ -12,7 +12,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: Fixed values.
@@ -38,6 +38,16 @@ def ascii_lower(text: Column) -> Column:
     return F.translate(text, UPPER, LOWER)
 
 
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """The names, each with as many underscores before it as make it differ from every column of ``df``."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for n in names:
+        while n in taken:
+            n = "_" + n
+        out.append(n)
+    return out
+
+
 def unit_interval(h: Column) -> Column:
     """A 64-bit hash as a double strictly between 0 and 1."""
     return (F.shiftrightunsigned(h, 12).cast("double") + F.lit(0.5)) / F.lit(float(1 << 52))
@@ -65,6 +75,14 @@ def batch_words(texts: pa.Array, lower: bool = True) -> tuple[np.ndarray, np.nda
     return coded.indices.to_numpy(zero_copy_only=False).astype(np.int64), counts, distinct
 
 
+def pieces(texts: pa.Array, most: int = 1 << 24) -> list[tuple[int, int]]:
+    """(begin, end) of runs of texts with about ``most`` bytes in all, so that long texts do not come together."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    cuts = np.flatnonzero(np.diff(ends // most, prepend=0)) if len(ends) else np.zeros(0, int)
+    edges = np.unique(np.concatenate([[0], cuts, [len(texts)]])).tolist()
+    return list(zip(edges[:-1], edges[1:]))
+
+
 def word_hashes(distinct: list[bytes], seed: int = 0) -> np.ndarray:
     h = xxhash.xxh64_intdigest
     return np.fromiter((h(w, seed) for w in distinct), np.uint64, len(distinct))
