@@ -95,8 +95,10 @@ def _repeat_words(df: DataFrame) -> DataFrame:
 def ledger(df: DataFrame, text: str = "text") -> DataFrame:
     """The rows of ``df`` with the measurements and ``failures``."""
     keep = [c for c in df.columns if c not in (*MEASURES, "failures")]
-    body = tx.whole(F.col(text))
-    df = df.select(*(F.col(f"`{c}`") for c in keep), tx.words(F.col(text)).alias("_w"))
+    # the input's columns wait in one struct, so that none can be taken for a measurement or a helper
+    df = df.select(F.struct(*(F.col(f"`{c}`") for c in keep)).alias("_row"), F.col(f"`{text}`").alias("_text"))
+    body = tx.whole(F.col("_text"))
+    df = df.select("_row", "_text", tx.words(F.col("_text")).alias("_w"))
     df = df.withColumn("n_words", F.size("_w").cast("long"))
     df = df.withColumn("word_chars", F.char_length(F.translate(body, tx.SPACE, "")).cast("long"))
     df = df.withColumn("n_symbols", (F.char_length(body) - F.char_length(F.translate(body, SYMBOLS, ""))).cast("long"))
@@ -107,7 +109,7 @@ def ledger(df: DataFrame, text: str = "text") -> DataFrame:
     bits = F.lit(0).cast("long")
     for i, rule in enumerate(RULES):
         bits = bits.bitwiseOR(F.when(rule.fails(), F.lit(1 << i).cast("long")).otherwise(F.lit(0).cast("long")))
-    return df.select(*(F.col(f"`{c}`") for c in keep), *MEASURES, bits.alias("failures"))
+    return df.select(*(F.col("_row")[c].alias(c) for c in keep), *MEASURES, bits.alias("failures"))
 
 
 def passes(policy: Policy, failures: str = "failures") -> Column:
@@ -133,8 +135,8 @@ def ablations(entries: DataFrame, policy: Policy = STANDARD) -> DataFrame:
 
 def accepted(df: DataFrame, policy: Policy = STANDARD, text: str = "text") -> DataFrame:
     """The rows of ``df``, with its own columns, that the policy keeps."""
-    entries = ledger(df.select(F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("_row"), F.col(text).alias("_text")), "_text")
+    entries = ledger(df.select(F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("row"), F.col(f"`{text}`").alias("text")), "text")
     # A row number that the filter asks for keeps the optimizer from pushing the filter into the ledger's
     # projections, where each rule's whole chain of expressions would be written out again at every use.
     numbered = entries.withColumn("_n", F.monotonically_increasing_id())
-    return numbered.where(passes(policy) & (F.col("_n") >= 0)).select("_row.*")
+    return numbered.where(passes(policy) & (F.col("_n") >= 0)).select("row.*")
