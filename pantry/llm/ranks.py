@@ -3,6 +3,9 @@
 A group may hold a third of all rows. Rows are cut into cells by the leading bits of a uniform 64-bit
 key; a small table of cell totals gives each cell's start, and only inside a cell rows are ordered by
 a window. Cells are partitioned by (group, cell), so hot groups spread.
+
+Defined results: null groups are a group; null values add nothing; rows alike in key and ties take places in
+any order; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -37,3 +40,17 @@ def running(df: DataFrame, groups: list[str], key: str, value: str, out: str, bi
     inside = Window.partitionBy(*groups, "_cell").orderBy(key, *ties).rowsBetween(Window.unboundedPreceding, -1)
     local = cells.withColumn("_local", F.coalesce(F.sum(value).over(inside), F.lit(0)))
     return local.join(starts, on).withColumn(out, F.col("_start") + F.col("_local")).drop("_cell", "_c", "_start", "_local", *names)
+
+
+def meet(rows: DataFrame, table: DataFrame, keys: list[str], n: str, least: int = 10_000, most: int = 100_000) -> DataFrame:
+    """``rows`` joined by ``keys`` with a table of one row a key, whose column ``n`` says how many rows have the key.
+
+    Keys of very many rows, those with a ``most``-th of all from ``least`` rows on, hence at most ``most`` of them, are
+    broadcast to where their rows are; the others meet by hash, and no task gets more rows of one key than that.
+    Both sides should be written tables: each is read twice. Null keys do not meet.
+    """
+    total = table.agg(F.sum(n)).first()[0] or 0
+    is_hot = F.col(n) >= max(least, -(-total // most))
+    hot = F.broadcast(table.where(is_hot).drop(n))  # at most ``most`` rows
+    cold = rows.join(hot.select(*keys), keys, "left_anti").join(table.where(~is_hot).drop(n), keys)
+    return rows.join(hot, keys).unionByName(cold)
