@@ -31,6 +31,7 @@ from pyspark.sql import functions as F
 
 from pantry.llm import text as tx
 from pantry.llm.components import components
+from pantry.llm.ranks import meet
 from pantry.session import materialize
 
 #: Generator polynomial of the binary Golay code, block starts and widths.
@@ -203,12 +204,13 @@ def links(distinct: DataFrame, bits: int = 4, block: int = 8192) -> DataFrame:
 def near_duplicates(df: DataFrame, bits: int = 4, shingle: int = 4, seed: int = 42, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, fingerprint, component_id) for every row; the label is the least doc_id reachable."""
     prints = materialize(fingerprints(df, shingle, seed, False, doc_id, text), "prints")
-    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("least")), "classes")
+    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")), "classes")
     joined = components(links(distinct, bits))
-    rooted = distinct.join(joined, F.col("fp") == F.col("node"), "left").select("fp", "least", F.coalesce("component", "fp").alias("root"))
-    label = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    known = rooted.join(label, "root").select("fp", "component_id")
-    out = prints.join(known, "fp")
+    rooted = distinct.join(joined, F.col("fp") == F.col("node"), "left").select("fp", "least", "n", F.coalesce("component", "fp").alias("root"))
+    rooted = materialize(rooted, "rooted")
+    label = materialize(rooted.groupBy("root").agg(F.min("least").alias("component_id"), F.count("*").alias("k")), "labels")
+    known = materialize(meet(rooted, label, ["root"], "k").select("fp", "component_id", "n"), "known")
+    out = meet(prints, known, ["fp"], "n")
     return out.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
