@@ -4,8 +4,8 @@ A global histogram of document lengths goes to the driver, where dynamic program
 bucket boundaries with the least padding. Documents are numbered inside their bucket, and as many as
 the token budget holds at the bucket's length form a batch. Documents stay whole.
 
-The histogram is bounded at any size: lengths are exact up to ``exact`` tokens and rounded up to one
-part in 64 above it, so it has a few thousand rows. Numbering uses cells of a hash, so that no bucket
+The histogram is bounded at any size: lengths have bins of their own up to ``exact`` tokens and share
+one with those within one part in 64 above it, so it has a few thousand rows. Numbering uses cells of a hash, so that no bucket
 meets in one task. Lengths, not texts, are shuffled.
 
 Defined results: a null or empty text has one token, its end; a document longer than the budget is a
@@ -24,19 +24,22 @@ from pantry.llm.ranks import running
 
 
 def length_bin(n: Column, exact: int = 2048) -> Column:
-    """The smallest histogram length that is not below ``n``."""
+    """The bin of a length: its largest possible length."""
     step = F.pow(F.lit(2.0), F.floor(F.log2(F.greatest(n, F.lit(1)))) - 6)
     return F.when(n <= exact, n).otherwise((F.ceil(n / step) * step).cast("long")).cast("long")
 
 
-def boundaries(lengths: np.ndarray, counts: np.ndarray, buckets: int) -> list[int]:
-    """Upper ends of at most ``buckets`` buckets with the least padding, from ascending lengths."""
+def boundaries(lengths: np.ndarray, counts: np.ndarray, buckets: int, sums: np.ndarray | None = None) -> list[int]:
+    """Upper ends of at most ``buckets`` buckets with the least padding, from ascending lengths.
+
+    ``sums`` are the tokens of each bin, if not all of its documents have the bin's length.
+    """
     n = len(lengths)
     if n == 0:
         return []
     length = lengths.astype(float)
     c = np.concatenate([[0.0], np.cumsum(counts)])
-    s = np.concatenate([[0.0], np.cumsum(counts * length)])
+    s = np.concatenate([[0.0], np.cumsum(counts * length if sums is None else sums)])
     best = np.full(n + 1, np.inf)
     best[0] = 0.0
     back = []
@@ -63,8 +66,9 @@ def with_lengths(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> D
 def pack(lengths: DataFrame, buckets: int = 12, budget: int = 65536) -> DataFrame:
     """Add bucket, bucket_len, batch (numbered inside the bucket), place (in the batch) and padding."""
     rows = lengths.withColumn("_bin", length_bin(F.col("n_tokens")))
-    hist = rows.groupBy("_bin").agg(F.count("*").alias("n")).orderBy("_bin").toPandas()
-    ends = boundaries(hist["_bin"].to_numpy(), hist["n"].to_numpy(), buckets) or [1]
+    # one row a bin; its longest document, not its end, is what a bucket may end at
+    hist = rows.groupBy("_bin").agg(F.count("*").alias("n"), F.max("n_tokens").alias("longest"), F.sum("n_tokens").alias("tokens")).orderBy("_bin").toPandas()
+    ends = boundaries(hist["longest"].to_numpy(), hist["n"].to_numpy(), buckets, hist["tokens"].to_numpy(float)) or [1]
     bucket, end = F.lit(len(ends) - 1), F.lit(ends[-1])
     for i in range(len(ends) - 2, -1, -1):
         bucket = F.when(F.col("n_tokens") <= ends[i], F.lit(i)).otherwise(bucket)
