@@ -5,7 +5,9 @@ keys are made of costs many tokens of a public byte-pair vocabulary for its leng
 few if it is language. Runs are tested once a batch each, whole and in pieces between separators; digests
 of known lengths, UUIDs and runs without letters are excluded first, as are spans that a base span covers.
 
-The vocabulary is read from ``vocabulary`` (a .tiktoken file; its path is a parameter) once a worker.
+The vocabulary (a .tiktoken file; the path on the driver is a parameter) is sent to the executors and read
+once a worker. All work is linear in the text: separators are no part of a piece, pieces are looked at up
+to a run's least length ahead, tokens are counted a thousand characters at a time.
 
 Defined results: null and empty texts have no spans; positions are code points, ends exclusive; texts
 are scanned whole; repeated rows have a row each; an empty table gives an empty result.
@@ -14,8 +16,11 @@ are scanned whole; repeated rows have a row each; an empty table gives an empty
 from __future__ import annotations
 
 import base64
+import bisect
 import functools
 import hashlib
+import itertools
+import os
 import re
 
 import pyarrow as pa
@@ -37,6 +42,7 @@ DIGEST = re.compile(r"(?:[0-9a-fA-F]{32}|[0-9a-fA-F]{40}|[0-9a-fA-F]{56}|[0-9a-f
 UUID = re.compile(r"[0-9a-fA-F]{8}-(?:[0-9a-fA-F]{4}-){3}[0-9a-fA-F]{12}\Z")
 PIECE = re.compile(r"(?<![A-Za-z0-9])[0-9a-fA-F]{8}-(?:[0-9a-fA-F]{4}-){3}[0-9a-fA-F]{12}(?![A-Za-z0-9])|[A-Za-z0-9+]+")
 LEAST = 20
+WINDOW = 1000
 
 
 @functools.cache
@@ -80,7 +86,8 @@ def dense_spans(run: str, dense) -> list[tuple[int, int]]:
         return [(0, len(run))]
     out: list[tuple[int, int]] = []
     for i, (a, _, _) in enumerate(pieces):
-        for _, b, known in pieces[i:]:
+        for k in range(i, len(pieces)):  # LEAST pieces at most
+            _, b, known = pieces[k]
             if known:
                 break
             if b - a >= LEAST:
@@ -93,8 +100,14 @@ def dense_spans(run: str, dense) -> list[tuple[int, int]]:
     return out
 
 
+def tokens(part: str, vocabulary: str) -> int:
+    """Tokens of a part, a thousand characters at a time: byte-pair merging takes more than linear time."""
+    encode = encoder(vocabulary).encode_ordinary
+    return sum(len(encode(part[i : i + WINDOW])) for i in range(0, len(part), WINDOW))
+
+
 def random_spans(text: str, vocabulary: str, ratio: float, seen: dict[str, list]) -> list[tuple[int, int, int]]:
-    dense = lambda part: len(part) / len(encoder(vocabulary).encode_ordinary(part)) < ratio
+    dense = lambda part: len(part) / tokens(part, vocabulary) < ratio
     out = []
     for m in RUN.finditer(text):
         run = m[0]
@@ -114,23 +127,30 @@ def scan_text(text: str | None, vocabulary: str = VOCABULARY, ratio: float = 1.9
     text = text or ""
     base = base_spans(text)
     extra = random_spans(text, vocabulary, ratio, {} if seen is None else seen)
-    covered = lambda s: any(a <= s[0] and s[2] <= b for a, _, b in base)
-    return base, [s for s in extra if not covered(s)]
+    base.sort()
+    reach = list(itertools.accumulate((e for _, _, e in base), max))  # the farthest end of the first spans
+    before = lambda s: bisect.bisect_right(base, (s[0], len(KINDS), 0))
+    return base, [s for s in extra if not before(s) or reach[before(s) - 1] < s[2]]
 
 
 def scan(df: DataFrame, vocabulary: str = VOCABULARY, ratio: float = 1.9, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, spans array<struct<kind, start, end, value>>, base_sha256)."""
+    """(doc_id, spans array<struct<kind, start, end, value>>, base_sha256); the vocabulary goes to the executors with the job."""
+    df.sparkSession.sparkContext.addFile(vocabulary)
+    name = os.path.basename(vocabulary)
 
     def run(batches):
+        from pyspark import SparkFiles
+
+        own = SparkFiles.get(name)
         for b in batches:
             rows, digests, seen = [], [], {}
             for t in b.column(1).to_pylist():
-                base, extra = scan_text(t, vocabulary, ratio, seen)
+                base, extra = scan_text(t, own, ratio, seen)
                 rows.append([{"kind": KINDS[k], "start": a, "end": e, "value": t[a:e]} for a, k, e in sorted(base + extra)])
                 digests.append(hashlib.sha256(shown(base).encode()).hexdigest())
             kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("value", pa.string())]))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(rows, kind), pa.array(digests, pa.string())], ["doc_id", "spans", "base_sha256"])
 
-    slim = df.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
+    slim = df.select(F.col(f"`{doc_id}`").alias("doc_id"), F.col(f"`{text}`").alias("text"))
     kind = dict(slim.dtypes)["doc_id"]
     return slim.mapInArrow(run, f"doc_id {kind}, spans array<struct<kind:string,start:bigint,end:bigint,value:string>>, base_sha256 string")
