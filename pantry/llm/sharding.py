@@ -9,7 +9,11 @@ Dimensions are 31-bit places: log2 of the bytes, hashes of source and language,
 Each is completed by 32 bits of a hash of the row, so a value that a third of all rows share can still
 be split, and shards come out near equal in bytes.
 
-Defined results: null values of a dimension take its lowest place; null texts have one byte; rows that
+A name has no width: for the hashed dimensions "widest" only means that several names are left in the node.
+The law is ``bytes``. Equal texts are therefore not kept together: a group of copies may hold a third of
+all bytes, and then no split into near-equal shards can. Copies do share a shard where they agree in id.
+
+Defined results: ids may be of any type, all but numbers by their hash; null values of a dimension take its lowest place; null texts have one byte; rows that
 repeat are rows of their own and may fall together; an empty table gives an empty result. Rows that
 agree in id, text and metadata cannot be told apart and stay in one shard.
 """
@@ -20,10 +24,11 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import NumericType
 
 from pantry.llm import text as tx
 from pantry.llm.ranks import running
-from pantry.session import materialize
+from pantry.session import discard, materialize
 
 PLACES = (1 << 31) - 1
 DIMS = 4
@@ -48,34 +53,39 @@ def _keyed(df: DataFrame, doc_id: str, text: str, source: str, lang: str) -> Dat
     """(doc_id, size, text_crc32, tie, keys: a long for each dimension)."""
     body = tx.whole(F.col(text))
     slim = df.select(
-        F.col(doc_id).alias("doc_id"),
+        F.col(f"`{doc_id}`").alias("doc_id"),
         (F.octet_length(body) + 1).cast("long").alias("size"),
         F.crc32(body).alias("text_crc32"),
-        F.xxhash64(F.col(doc_id), body).alias("tie"),
+        F.xxhash64(F.col(f"`{doc_id}`"), body).alias("tie"),
         F.col(source).alias("_s"),
         F.col(lang).alias("_l"),
     )
     slim = materialize(slim, "kd-rows")
-    low, high = slim.agg(F.min("doc_id"), F.max("doc_id")).first()
-    span = max(1, (high or 0) - (low or 0))
     name = lambda c: F.when(c.isNull(), F.lit(0)).otherwise(F.shiftrightunsigned(F.xxhash64(c), 33))
-    places = [
-        F.log2(F.col("size")) / 40 * PLACES,
-        name(F.col("_s")),
-        name(F.col("_l")),
-        (F.coalesce(F.col("doc_id"), F.lit(low or 0)) - F.lit(low or 0)) / F.lit(float(span)) * PLACES,
-    ]
+    by_id = name(F.col("doc_id"))
+    if isinstance(slim.schema["doc_id"].dataType, NumericType):
+        id_ = F.col("doc_id").cast("double")
+        low, high = slim.agg(F.min(id_), F.max(id_)).first()
+        by_id = (F.coalesce(id_, F.lit(low or 0.0)) - F.lit(low or 0.0)) / F.lit(max(1.0, (high or 0.0) - (low or 0.0))) * PLACES
+    places = [F.log2(F.col("size")) / 40 * PLACES, name(F.col("_s")), name(F.col("_l")), by_id]
     tie = F.shiftrightunsigned("tie", 32)
     keys = F.array(*(F.shiftleft(F.least(F.floor(p), F.lit(PLACES)).cast("long"), 32).bitwiseOR(tie) for p in places))
     return slim.select("doc_id", "size", "text_crc32", "tie", keys.alias("keys"))
 
 
-def _small(rows: DataFrame, values: list[tuple], schema: str) -> DataFrame:
-    """A driver's table of at most one row a shard."""
+def _small(rows: DataFrame, values: list[tuple], schema: str, at_once: int = 2000) -> DataFrame:
+    """A driver's table of at most one row a shard; a long one is written, some rows a statement."""
     names = ", ".join(f"{name}" for name, _ in (f.split() for f in schema.split(", ")))
     kinds = [f.split()[1] for f in schema.split(", ")]
-    cells = ", ".join("(" + ", ".join(f"CAST({v!r} AS {k})" for v, k in zip(row, kinds)) + ")" for row in values)
-    return rows.sparkSession.sql(f"SELECT * FROM VALUES {cells} AS t({names})")
+
+    def some(part: list[tuple]) -> DataFrame:
+        cells = ", ".join("(" + ", ".join(f"CAST({v!r} AS {k})" for v, k in zip(row, kinds)) + ")" for row in part)
+        return rows.sparkSession.sql(f"SELECT * FROM VALUES {cells} AS t({names})")
+
+    if len(values) <= at_once:
+        return some(values)
+    written = [materialize(some(values[i : i + at_once]), "kd-tree") for i in range(0, len(values), at_once)]
+    return rows.sparkSession.read.schema(schema).parquet(*(t._pantry_path for t in written))
 
 
 def _medians(rows: DataFrame, nodes: list[Node], bins: int, slack: float) -> None:
@@ -120,7 +130,10 @@ def shard(df: DataFrame, shards: int = 16, target_bytes: int | None = None, bins
         _medians(rows, nodes, bins, slack)
         cuts = _small(rows, [(x.first, x.dim, x.at, x.first + x.shards // 2) for x in nodes], "node int, dim int, at long, upper int")
         upper = F.when(F.get("keys", F.col("dim")) > F.col("at"), F.col("upper")).otherwise(F.col("node"))
-        rows = rows.join(F.broadcast(cuts), "node", "left").withColumn("node", upper).drop("dim", "at", "upper")
+        level = rows.join(F.broadcast(cuts), "node", "left").withColumn("node", upper).drop("dim", "at", "upper")
+        old, rows = rows, materialize(level, "kd-level")  # so that no histogram repeats the joins of earlier levels
+        if hasattr(old, "_pantry_path"):
+            discard(old)
         halves = [Node(f, n) for x in nodes for f, n in ((x.first, x.shards // 2), (x.first + x.shards // 2, x.shards - x.shards // 2))]
         nodes = [x for x in halves if x.shards > 1]
     out = rows.select("doc_id", "size", "text_crc32", "tie", F.col("node").alias("shard"), F.lit(1).cast("long").alias("_one"))
