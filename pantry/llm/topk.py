@@ -25,8 +25,11 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from pantry.operators.relational import global_rank
 from pantry.session import materialize
 
+INTEGERS = ("bigint", "int", "smallint", "tinyint")
+
 
 def quantised(vector: Column, scale: int = 256) -> Column:
     return F.transform(vector, lambda x: F.floor(x.cast("double") * scale).cast("long"))
@@ -71,25 +74,39 @@ def _best(ids: np.ndarray, scores: np.ndarray, k: int) -> np.ndarray:
     return near[np.lexsort((ids[near], -scores[near]))[:k]]
 
 
-def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int | None = None, scale: int = 256, vec_id: str = "vec_id", vector: str = "embedding", block: int = 8192, query_block: int = 256) -> DataFrame:
+def _by_rank(df: DataFrame, queries: Column, vec_id: str, **options) -> DataFrame:
+    """``top_k`` for ids that are no integers: they are numbered in their order, and named again in the end."""
+    ids = global_rank(df.select(F.col(f"`{vec_id}`").alias("name")).where("name is not null").distinct(), [F.col("name")], "id")
+    ids = materialize(ids.select("name", F.col("id").cast("long").alias("id")), "knn-ids")
+    rows = df.select(F.col(f"`{vec_id}`").alias("name"), F.col(f"`{options['vector']}`").alias("embedding"), queries.alias("asks")).join(ids, "name")
+    found = top_k(rows, F.col("asks"), vec_id="id", **(options | {"vector": "embedding"}))
+    name = lambda of: ids.select(F.col("id").alias(of), F.col("name").alias(f"{of}_name"))
+    out = found.join(name("query_id"), "query_id").join(name("vec_id"), "vec_id")
+    return out.select(F.col("query_id_name").alias("query_id"), "rank", F.col("vec_id_name").alias("vec_id"), "score")
+
+
+def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int | None = None, scale: int = 256, vec_id: str = "vec_id", vector: str = "embedding", block: int = 8192, query_block: int = 2048) -> DataFrame:
     """(query_id, rank, vec_id, score): the k rows with the highest products for each row where ``queries`` holds.
 
-    Without ``pivots`` there is one for every 64 queries, 64 at most: a query group fills a block.
+    Without ``pivots`` there is one for every 64 queries, 1024 at most. A vector goes once to each block of up
+    to ``query_block`` queries that it may reach, whose products are made some queries at a time.
     """
+    if dict(df.dtypes)[vec_id] not in INTEGERS:
+        return _by_rank(df, queries, vec_id, k=k, pivots=pivots, scale=scale, vector=vector, block=block, query_block=query_block)
     spark = df.sparkSession
     rows = df.where(F.col(vec_id).isNotNull() & _usable(F.col(vector))).select(F.col(vec_id).cast("long").alias("id"), quantised(F.col(vector), scale).alias("v"), F.coalesce(queries, F.lit(False)).alias("asks"))
     most = F.max(F.greatest(F.coalesce(F.array_max("v"), F.lit(0)), -F.coalesce(F.array_min("v"), F.lit(0))))
     size = rows.agg(F.max(F.size("v")).alias("dim"), F.count("*").alias("n"), F.sum(F.col("asks").cast("long")).alias("q"), most.alias("most")).first()
     dim, n, n_q = max(1, size["dim"] or 1), size["n"], size["q"] or 0
     kind = "<i2" if (size["most"] or 0) < 1 << 15 else "<i4" if size["most"] < 1 << 31 else "<i8"
-    pivots = pivots or max(1, min(64, n_q // 64))
+    pivots = pivots or max(1, min(1024, n_q // 64))
     # A bounded sample of pivots, the same at every run.
     chosen = pa.array([r["v"] for r in rows.orderBy(F.xxhash64("id"), "id").limit(pivots).collect()], pa.list_(pa.int64()))
     p = _padded(chosen, dim, "<i8").astype(float) if len(chosen) else np.zeros((1, dim))
     p2 = (p**2).sum(1)
 
     def assign(batches):
-        for b in batches:
+        for b in (whole.slice(i, 2048) for whole in batches for i in range(0, whole.num_rows, 2048)):
             m = _padded(b.column("v"), dim, kind)
             v = m.astype(float)
             d2 = (v**2).sum(1)[:, None] - 2 * v @ p.T + p2
@@ -161,12 +178,14 @@ def top_k(df: DataFrame, queries: Column, k: int = 5, pivots: int | None = None,
     def solve(q: pd.DataFrame, x: pd.DataFrame) -> pd.DataFrame:
         out = []
         if len(q) and len(x):
-            ids = x["id"].to_numpy()
-            scores = _products(_matrix(q["v"], dim, kind), _matrix(x["v"], dim, kind))
-            for i, own in enumerate(q["id"].to_numpy()):
+            ids, asks = x["id"].to_numpy(), q["id"].to_numpy()
+            have, want = _matrix(x["v"], dim, kind), _matrix(q["v"], dim, kind)
+            for i, own in enumerate(asks):
+                if i % 256 == 0:
+                    scores = _products(want[i : i + 256], have)
                 others = np.flatnonzero(ids != own)
-                best = others[_best(ids[others], scores[i, others], k)]
-                out.append(pd.DataFrame({"query_id": own, "vec_id": ids[best], "score": scores[i, best]}))
+                best = others[_best(ids[others], scores[i % 256, others], k)]
+                out.append(pd.DataFrame({"query_id": own, "vec_id": ids[best], "score": scores[i % 256, best]}))
         return pd.concat(out) if out else pd.DataFrame({"query_id": np.zeros(0, int), "vec_id": np.zeros(0, int), "score": np.zeros(0, int)})
 
     key = ["h", "bq", "bx"]
