@@ -23,6 +23,8 @@ every token has the uniform probability; an empty table gives an empty result.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
@@ -156,16 +158,20 @@ def _ratios(pair, context, lower) -> np.ndarray:
     return np.where(context > 0, pair / np.maximum(context, 1) / lower, 0.0)
 
 
-def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_mb: int = 5, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def score(df: DataFrame, held: int = 2, modulus: int = 7, folds: int = 2, block_mb: float | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row.
 
-    Rows whose crc32(doc_id) leaves ``held`` by ``modulus`` are held out of training.
+    Rows whose crc32(doc_id) leaves ``held`` by ``modulus`` are held out of training. A block has 5 MB of
+    text, above 30 GB of input by its square root more: messages then keep about a hundred n-grams each, and
+    blocks, ranges and what a task holds all grow with the root (290 MB a block at 100 TB).
     """
     spark = df.sparkSession
     id_kind = dict(df.dtypes)[doc_id]
     slim = df.select(F.col(doc_id).alias("doc_id"), tx.whole(F.col(text)).alias("text"))
     size = slim.agg(F.sum(F.octet_length("text")).alias("b"), F.count("*").alias("n")).first()
-    blocks = max(1, -(-(size["b"] or 0) // (block_mb << 20)), -(-size["n"] // 200_000))
+    total_mb = (size["b"] or 0) / (1 << 20)
+    block_mb = block_mb or 5 * max(1.0, (total_mb / 30_000) ** 0.5)
+    blocks = max(1, math.ceil(total_mb / block_mb), math.ceil(size["n"] / (40_000 * block_mb)))
     ranges = max(1, blocks)
     dealt = slim.withColumn("block", F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).cast("int"))
 
