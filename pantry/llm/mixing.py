@@ -24,7 +24,7 @@ from pantry.llm import text as tx
 from pantry.llm.ranks import bits_for, cell_of
 from pantry.session import materialize
 
-ADDED = ("size", "source_size", "target", "taken")
+ADDED = ("size", "source_size", "target", "taken", "copies")
 
 
 def quality_weight(text: Column) -> Column:
@@ -58,7 +58,7 @@ def targets(sources: DataFrame, source: str = "source", size: str = "source_size
     return s.withColumn("target", target).drop("_w", "_cap", "_ratio", "_full", "_left", "_level", "_place", "_water")
 
 
-def mix(
+def _drawn(
     df: DataFrame,
     weights: tuple[float, ...] = (5, 2, 1),
     most: float = 3.0,
@@ -69,12 +69,12 @@ def mix(
     source: str = "source",
     text: str = "text",
 ) -> DataFrame:
-    """``df`` with ``size``, ``source_size``, ``target`` and ``taken`` (words, repeats counted)."""
-    cols = [c for c in df.columns if c not in ADDED]
+    """(_row, size, source_size, target, copies): the input's rows as structs, and how often each is taken."""
+    cols = df.columns
     bits = bits or bits_for(df.count())
-    u = tx.unit_interval(F.xxhash64(F.lit(seed), F.col(doc_id), F.col(text)))
-    key = -F.log(u) / (quality if quality is not None else quality_weight(F.col(text)))
-    rows = df.select(F.struct(*(F.col(f"`{c}`") for c in cols)).alias("_row"), F.col(source).alias("_s"), tx.n_words(F.col(text)).alias("size"), key.alias("_key"))
+    u = tx.unit_interval(F.xxhash64(F.lit(seed), F.col(f"`{doc_id}`"), F.col(f"`{text}`")))
+    key = -F.log(u) / (quality if quality is not None else quality_weight(F.col(f"`{text}`")))
+    rows = df.select(F.struct(*(F.col(f"`{c}`") for c in cols)).alias("_row"), F.col(f"`{source}`").alias("_s"), tx.n_words(F.col(f"`{text}`")).alias("size"), key.alias("_key"))
     even = ((F.lit(1.0) - F.lit(2.0) * F.exp(-F.col("_key"))) * F.lit(9.2e18)).cast("long")
     rows = rows.withColumn("_cell", cell_of(even, bits))
     cells = materialize(rows.groupBy("_s", "_cell").agg(F.sum("size").alias("words")), "mix-cells")
@@ -94,12 +94,16 @@ def mix(
     # The document that straddles the budget goes in if that ends nearer to it.
     edge = edge.withColumn("_more", F.col("_at") + F.col("size") / 2 <= F.col("_budget")).drop("_at")
     every = clear.unionByName(edge)
-    taken = F.col("size") * (F.col("_epochs") + F.col("_more").cast("long"))
-    return every.select(*(F.col("_row")[c].alias(c) for c in cols), "size", "source_size", "target", taken.alias("taken"), (F.col("_epochs") + F.col("_more").cast("long")).alias("_copies"))
+    return every.select("_row", "size", "source_size", "target", (F.col("_epochs") + F.col("_more").cast("long")).alias("copies"))
+
+
+def mix(df: DataFrame, **options) -> DataFrame:
+    """``df`` with ``size``, ``source_size``, ``target``, ``taken`` (words, repeats counted) and ``copies``; options as in ``_drawn``."""
+    out = _drawn(df, **options).withColumn("taken", F.col("size") * F.col("copies"))
+    return out.select(*(F.col("_row")[c].alias(c) for c in df.columns if c not in ADDED), *ADDED)
 
 
 def mixed_documents(df: DataFrame, **options) -> DataFrame:
     """The mix itself: the rows of ``df``, each as often as it is taken."""
-    out = mix(df, **options).where(F.col("_copies") > 0)
-    copies = F.explode(F.array_repeat(F.lit(1), F.col("_copies").cast("int"))).alias("_copy")
-    return out.select(*(F.col(f"`{c}`") for c in df.columns), copies).drop("_copy")
+    out = _drawn(df, **options).where("copies > 0").select("_row", F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int"))))
+    return out.select(*(F.col("_row")[c].alias(c) for c in df.columns))
