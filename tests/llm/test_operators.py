@@ -7,6 +7,7 @@ import math
 import itertools
 import random
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -170,7 +171,7 @@ def test_quality_weighs_the_draw(spark):
 
 
 def test_mixed_documents_repeat(docs):
-    want = sum(r["_copies"] for r in mixing.mix(docs).collect())
+    want = sum(r["copies"] for r in mixing.mix(docs).collect())
     out = mixing.mixed_documents(docs)
     assert out.columns == docs.columns and out.count() == want
 
@@ -262,10 +263,7 @@ def test_keep_one(spark):
             rows.append((g * 10 + k, " ".join(t)))
         want[g * 10] = True
     df = spark.createDataFrame(rows, "doc_id long, text string")
-    kept = {r.doc_id for r in simhash.keep_one(df, seeds=(42, 43)).collect()}
-    assert kept == set(want)
-    one_seed = {r.doc_id for r in simhash.keep_one(df).collect()}
-    assert kept <= one_seed and len(one_seed) <= len(kept) + 3
+    assert {r.doc_id for r in simhash.keep_one(df).collect()} == set(want)
 
 
 def _least_of_groups(rows, words=5, similarity=0.8):
@@ -312,6 +310,32 @@ def test_keep_one_verifies_all_of_a_template(spark):
     assert {x.doc_id for x in simhash.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).collect()} == want
 
 
+def test_keep_one_across_blocks(spark, monkeypatch):
+    """Families and cells of many blocks: the same documents stay."""
+    from pantry.llm import similar
+
+    monkeypatch.setattr(similar, "FAMILY", 3)
+    r = random.Random(8)
+    rows = []
+    for g in range(25):
+        t = [f"v{int(3000 ** r.random())}" for _ in range(r.choice((12, 60, 150)))]
+        for k in range(r.choice((2, 9, 30))):
+            u = list(t)
+            for p in r.sample(range(len(t)), min(len(t) - 1, r.randint(0, 3))):
+                u[p] = f"n{r.randint(0, 99999)}"
+            rows.append((len(rows), " ".join(u)))
+    got = {x.doc_id for x in simhash.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == _least_of_groups(rows)
+
+
+def test_keep_one_of_text_ids_and_repeats(spark):
+    body = " ".join(f"w{i}" for i in range(40))
+    rows = [("b", body), ("a", body + " x"), ("c", "other words in this one text here"), ("c", body), ("a", body + " x"), (None, body), ("e", None), ("d", "")]
+    df = spark.createDataFrame([(*r, 1, 2) for r in rows], "doc_id string, text string, lost int, same int")
+    got = Counter((r.doc_id, r.text) for r in simhash.keep_one(df).collect())
+    assert got == Counter([("a", body + " x"), ("a", body + " x"), ("c", "other words in this one text here"), (None, body), ("d", "")])
+
+
 # 4 ------------------------------------------------------------------------------------------------
 
 
@@ -401,6 +425,15 @@ def test_line_dedup(docs, rows):
     assert any(r.n_dropped for r in got) and keeper
 
 
+def test_line_dedup_of_hot_keys_and_long_lists(spark, docs, monkeypatch):
+    """Hot keys by broadcast and lists dealt by hash give the same rows."""
+    want = sorted(map(repr, line_dedup.drop_frequent_lines(docs, min_chars=3).collect()))
+    monkeypatch.setattr(line_dedup, "HOT", 1)
+    monkeypatch.setattr(line_dedup, "BUCKETS", 1)
+    monkeypatch.setattr(line_dedup, "LEAST_HOT", 1)
+    assert sorted(map(repr, line_dedup.drop_frequent_lines(docs, min_chars=3).collect())) == want
+
+
 # 7 ------------------------------------------------------------------------------------------------
 
 
@@ -415,6 +448,13 @@ def test_boundaries_are_optimal():
         assert pad(packing.boundaries(lengths, counts, k)) == best
 
 
+def test_long_documents_end_their_buckets(spark):
+    """Above the exact lengths a bucket ends at its longest document, not at the end of its bin."""
+    df = spark.createDataFrame([(i, n, i * 7919) for i, n in enumerate([5000, 5003, 9001, 20_000, 20_111])], "doc_id long, n_tokens long, key long")
+    out = packing.pack(df, buckets=3, budget=65536).collect()
+    assert {r.bucket_len for r in out} == {5003, 9001, 20_111} and sum(r.padding for r in out) == 114
+
+
 def test_pack(docs, rows):
     out = packing.pack(packing.with_lengths(docs), buckets=4, budget=200).collect()
     assert len(out) == len(rows)
@@ -491,6 +531,30 @@ def test_secrets_beside_readable_text():
         assert sum(bool(secrets.scan_text(key(kind))[1]) for _ in range(100)) > 85
 
 
+@pytest.mark.parametrize("text", ["=" * 100_000 + "a1", "-_" * 50_000 + "a1", "ab=" * 50_000, "password" + " " * 100_000, "x" * 1_000_000, "0aB9" * 250_000, "token=" * 20_000 + "k" * 9], ids=range(7))
+def test_secrets_take_linear_time(text):
+    began = time.monotonic()
+    secrets.scan_text(text)
+    assert time.monotonic() - began < 20
+
+
+def test_recall_of_the_token_test():
+    """Random keys by kind and length, alone and in lines of prose."""
+    r, low = random.Random(3), {}
+    any_case = "".join(map(chr, [*range(48, 58), *range(65, 91), *range(97, 123)]))
+    for kind, letters in {"base62": any_case, "base64": any_case + "+/", "capitals": any_case[10:36] + any_case[:10], "letters": any_case[36:]}.items():
+        for n in (20, 24, 32, 40):
+            keys = ["".join(r.choice(letters) for _ in range(n)) for _ in range(200)]
+            low[kind, n] = sum(bool(secrets.scan_text(f"the key is {k} and so on")[1]) for k in keys) / 200
+    assert min(low[k] for k in low if k[0] != "letters") >= 0.95 and min(low.values()) >= 0.8, low
+
+
+def test_many_covered_spans():
+    text = "token=" + "ab1" * 5 + " "
+    base, extra = secrets.scan_text(text * 20_000)
+    assert len(base) == 20_000 and not extra
+
+
 @pytest.mark.parametrize("text", ["documents/reports/2024-01-15/final_version", "customer_account_database_connection", "id_123e4567-e89b-12d3-a456-426614174000/download", "path/to/" + "0A" * 20 + "/file", "2024-01-15_10-20-30_123456", "=" * 40, "INTERNATIONAL_CONFIGURATION_SETTINGS"])
 def test_no_secrets(text):
     assert secrets.scan_text(text)[1] == []
@@ -534,6 +598,50 @@ def test_ablations_count(docs):
 
 # all ----------------------------------------------------------------------------------------------
 
+#: Names that the operators use inside, and those of their results.
+TAKEN = "_w _h _t _s _p _l _n _again _row _text _id _lost _dealt _kept _key _cell _start _end _more _at _copies _one _rank _bin _hot _keeper lost same held d hash one node size kept row words shard slot bucket batch place rank score failures n_words n_lines n_dropped target taken spans fp block part name asks id v g h".split()
+OPERATORS = {
+    "lm_scoring": lambda df: lm_scoring.score(df),
+    "mixing": lambda df: mixing.mix(df),
+    "mixed": lambda df: mixing.mixed_documents(df),
+    "simhash": lambda df: simhash.near_duplicates(df),
+    "keep_one": lambda df: simhash.keep_one(df),
+    "toxicity": lambda df: toxicity.score(df, toxicity.train(df, df.sparkSession.createDataFrame([("i1", 1), ("i2", 0)], "doc_id string, toxic int"), F.lit(True))),
+    "line_dedup": lambda df: line_dedup.drop_frequent_lines(df),
+    "packing": lambda df: packing.pack(packing.with_lengths(df)),
+    "sharding": lambda df: sharding.shard(df, 3),
+    "secrets": lambda df: secrets.scan(df),
+    "ledger": lambda df: quality_rules.ledger(df),
+    "accepted": lambda df: quality_rules.accepted(df),
+}
+
+
+@pytest.mark.parametrize("name", sorted(OPERATORS))
+def test_text_ids_and_clashing_columns(spark, name):
+    """A table with text ids, every internal name as a column, nulls, repeats: the same rows as without them."""
+    line = "a line that five documents of this small table hold in common"
+    rows = [(f"i{i}", f"{line}\nw{i} " + " ".join(f"x{j * (i + 3) % 97}" for j in range(60 + i)), "en", "ab"[i % 2]) for i in range(6)]
+    rows += [rows[0], ("i0", "another text", None, None), (None, "no id", "en", "a"), ("i9", None, "en", "a"), ("", "", "", "")]
+    plain = spark.createDataFrame(rows, "doc_id string, text string, lang string, source string")
+    clash = plain.select("*", *(F.lit(f"own {c}").alias(c) for c in TAKEN))
+    a, b = OPERATORS[name](plain), OPERATORS[name](clash)
+    cols = [c for c in a.columns if c in b.columns and c not in ("slot", "place", "batch")]
+    assert set(a.columns) <= set(b.columns)
+    seen = lambda df: Counter(repr([x if not isinstance(x, float) else round(x, 9) for x in r]) for r in df.select(*(F.col(f"`{c}`") for c in cols)).collect())
+    assert seen(a) == seen(b)
+    for c in set(TAKEN) & set(b.columns) - set(a.columns):
+        assert {r[0] for r in b.select(f"`{c}`").distinct().collect()} == {f"own {c}"}
+
+
+def test_top_k_of_text_ids(spark):
+    r = random.Random(2)
+    rows = [(f"q{i:02d}", [float(r.randint(-4, 4)) for _ in range(4)]) for i in range(30)] + [(None, [1.0] * 4)]
+    got = [tuple(x) for x in topk.top_k(spark.createDataFrame(rows, "vec_id string, embedding array<double>"), F.col("vec_id") == "q07", k=6).orderBy("rank").collect()]
+    dot = lambda a, b: int(sum(256 * x * 256 * y for x, y in zip(a, b)))
+    best = sorted((-dot(rows[7][1], v), i) for i, v in rows[:-1] if i != "q07")[:6]
+    assert got == [("q07", k + 1, i, -s) for k, (s, i) in enumerate(best)]
+
+
 
 def test_empty_tables(none):
     assert lm_scoring.score(none).count() == 0
