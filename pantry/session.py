@@ -57,12 +57,26 @@ def discard(*tables: DataFrame) -> None:
         files.delete(target, True)
 
 
+def kept(spark: SparkSession, name: str, make) -> DataFrame:
+    """The table ``make()`` gives, written the first time in a session and read from then on, while its files are there."""
+    tables = spark.__dict__.setdefault("_pantry_kept", {})
+    if name in tables:
+        files, target = _files(spark, tables[name]._pantry_path)
+        if files.exists(target):
+            return tables[name]
+    tables[name] = materialize(make(), "kept")
+    return tables[name]
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark drop the shuffle files of plans that nothing refers to any more.
 
     Its cleaner acts on what a collection of the driver's garbage has found unreferenced, in its own
-    thread; a second collection gets what the first one made unreachable.
+    thread; a second collection gets what the first one made unreachable. With threads for executors
+    (tests) there is nothing to save.
     """
+    if spark.sparkContext.master.startswith("local["):
+        return
     for _ in range(2):
         gc.collect()
         spark.sparkContext._jvm.System.gc()
