@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -27,6 +28,16 @@ def tolerance(nutrient: str, y: Column, scale: float = 1.0, bands=None) -> Colum
     return out
 
 
+def width(nutrient: str, y: np.ndarray) -> np.ndarray:
+    """``tolerance`` of an array."""
+    rows = BANDS[nutrient]
+    of = lambda a, share: np.full(len(y), float(a)) if a is not None else np.abs(y) * share
+    out = of(*rows[-1][1:])
+    for end, a, share in reversed(rows[:-1]):
+        out = np.where(y < end if a is not None else y <= end, of(a, share), out)
+    return out
+
+
 def hit(nutrient: str, y: Column, guess: Column, scale: float = 1.0) -> Column:
     return (F.abs(y - guess) <= tolerance(nutrient, y, scale)).cast("double")
 

@@ -64,15 +64,34 @@ def distinct_texts(df: DataFrame, text: str = "text") -> DataFrame:
     return df.select(F.col(text)).distinct()
 
 
-def normalize_lines(df: DataFrame, text: str = "text", lex: Lexicons | None = None) -> DataFrame:
-    """``df`` with TRIPLE, one row a part: rules run over distinct texts, which are joined back.
+def normalize_lines(df: DataFrame, text: str = "text", lex: Lexicons | None = None, translator=None, lang: str = "lang") -> DataFrame:
+    """``df`` with TRIPLE, one row a part: distinct texts are translated and put through the rules, then joined back once.
 
     The distinct texts' results are written once: they are small beside the lines, and filters that a
-    later join infers would otherwise be pushed into the chain of rules and repeat it.
+    later join infers would otherwise be pushed into the chain of rules and repeat it. A text that very many
+    lines share is one row here; on the lines' side the adaptive plan splits it.
     """
-    done = triples(distinct_texts(df, text), text, lex)
-    done = materialize(done.select(F.col(text).alias("_text"), *TRIPLE), "texts")
-    return df.join(done, F.col(text).eqNullSafe(F.col("_text"))).drop("_text")
+    keys = [text, lang] if translator else [text]
+    once = df.select(*keys).distinct()
+    if translator:
+        once = translator(once.select(F.col(lang).alias("lang"), F.col(text).alias("text")))
+        done = triples(once, "english", lex).select(F.col("text").alias("_text"), F.col("lang").alias("_lang"), *TRIPLE)
+    else:
+        done = triples(once, text, lex).select(F.col(text).alias("_text"), *TRIPLE)
+    done = materialize(done, "texts")
+    same = F.col(text).eqNullSafe(F.col("_text"))
+    if translator:
+        same = same & F.col(lang).eqNullSafe(F.col("_lang"))
+    return df.join(done, same).drop("_text", "_lang")
+
+
+def normalize_counted(df: DataFrame, by: tuple[str, ...] = (), text: str = "text", lex: Lexicons | None = None) -> DataFrame:
+    """(by, TRIPLE, n): parts of the distinct texts and how many lines have each, for sums that need no line: nothing is joined back."""
+    counted = materialize(df.groupBy(*by, text).agg(F.count("*").alias("n")), "counted")
+    if not by:
+        return materialize(triples(counted, text, lex).select("n", *TRIPLE), "texts")
+    done = materialize(triples(counted.select(text).distinct(), text, lex).select(F.col(text).alias("_text"), *TRIPLE), "texts")
+    return counted.join(done, F.col(text).eqNullSafe(F.col("_text"))).drop("_text", text)
 
 
 def split_structured(df: DataFrame, text: str = "text", units=None) -> DataFrame:

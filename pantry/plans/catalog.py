@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from pantry.plans import extraction, methods, relational, streams
+from pantry.plans import extraction, methods, relational, results, streams
 
-MODULES = (extraction, methods, relational, streams)
+MODULES = (extraction, methods, results, relational, streams)
 
 
 def queries() -> dict:

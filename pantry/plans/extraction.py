@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from pantry.functions import lexicons as lx
 from pantry.functions import prep, rules
 from pantry.operators import linking
-from pantry.operators.normalize import normalize_lines, recipe_lists, split_structured
+from pantry.operators.normalize import normalize_counted, normalize_lines, recipe_lists, split_structured
 from pantry.plans import render, views
 from pantry.plans.truth import LINES
 from pantry.session import table
@@ -111,10 +111,7 @@ for _c in "BCDEF":
 def harmonized(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The six collections in one shape; the structured one brings its columns instead of text."""
     a = views.structured(spark, sf_dir).where("corpus = 'A'").select("recipe_id", "corpus", "pos", "line_key", "qty", "unit", "food")
-    out = a
-    for c in "BCDEF":
-        out = out.unionByName(render.raw_source(spark, sf_dir, c), allowMissingColumns=True)
-    return out
+    return a.unionByName(render.raw_lines(spark, sf_dir), allowMissingColumns=True)
 
 
 @query(f"WITH {LINES} SELECT corpus, count(*) AS n_lines, count(*) FILTER (WHERE corpus <> 'A') AS n_texts, count(DISTINCT recipe_id) AS n_recipes FROM tr GROUP BY corpus")
@@ -128,33 +125,11 @@ def explode_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return c.groupBy("conv_id", "turn").agg(F.count("*").alias("n_lines"), F.sum(F.char_length("line")).alias("n_chars"))
 
 
-def translate(df: DataFrame, lexicon: DataFrame, text: str = "text", lang: str = "lang") -> DataFrame:
-    """Words of the line's language replaced through (lang, foreign, word); unknown words pass.
-
-    Distinct texts are translated once. Words are looked up by an equality join and put back in order,
-    so a lexicon of any size works.
-    """
-    once = df.select(F.col(lang).alias("_lang"), F.col(text).alias("_old")).distinct()
-    shape = r"^(.*?)([,.;]*)$"
-    words = once.select("_lang", "_old", F.posexplode(F.split("_old", " ")).alias("i", "w"))
-    words = words.withColumn("_bare", F.regexp_extract("w", shape, 1)).withColumn("_tail", F.regexp_extract("w", shape, 2))
-    known = lexicon.select(F.col("lang").alias("_l"), F.col("foreign").alias("_f"), F.col("word").alias("_w"))
-    met = words.join(known, (F.col("_lang") == F.col("_l")) & (F.col("_bare") == F.col("_f")), "left")
-    new = F.struct("i", F.concat(F.coalesce("_w", "_bare"), "_tail").alias("w"))
-    back = met.groupBy("_lang", "_old").agg(F.array_join(F.transform(F.array_sort(F.collect_list(new)), lambda x: x["w"]), " ").alias("_new"))
-    out = df.join(back, (F.col(lang) == F.col("_lang")) & (F.col(text) == F.col("_old")), "left")
-    return out.select(*(F.coalesce("_new", F.col(text)).alias(text) if c == text else F.col(c) for c in df.columns))
-
-
 @query(f"WITH {LINES} SELECT line_key, part_no, qty, unit, food FROM tw WHERE corpus IN ('B', 'E')")
 def translate_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The two foreign collections, translated, then parsed: the English answer must come out."""
-    rows = [(lang, x, w) for lang, words in lx.FOREIGN.items() for w, x in words.items()]
-    # a fused name is one foreign word of its own
-    rows += [("xx", lx.FOREIGN["xx"][a] + "widget", a + "widget") for a in render.ADJ]
-    lexicon = spark.createDataFrame(rows, "lang string, foreign string, word string")
-    raw = render.raw_source(spark, sf_dir, "B").unionByName(render.raw_source(spark, sf_dir, "E"))
-    return normalize_lines(translate(raw, lexicon)).select(*TRIPLE)
+    raw = render.raw_lines(spark, sf_dir).where(F.col("corpus").isin("B", "E"))
+    return normalize_lines(raw, translator=views.glossary(spark)).select(*TRIPLE)
 
 
 @query("SELECT lang, lang <> 'en' AS needs, count(*) AS n FROM documents GROUP BY ALL")
@@ -164,7 +139,7 @@ def lang_gate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"WITH {LINES} SELECT array_to_string(list_sort(list_distinct(string_split(food, ' '))), ' ') AS food_key, count(*) AS n FROM tw GROUP BY 1")
 def distinct_foods(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return views.triples(spark, sf_dir).groupBy("food_key").agg(F.count("*").alias("n"))
+    return normalize_counted(views.text_lines(spark, sf_dir)).groupBy("food_key").agg(F.sum("n").alias("n"))
 
 
 _PARTS = "SELECT * FROM i WHERE item_id % 2 = 0 UNION ALL SELECT * FROM i WHERE item_id % 3 = 0 UNION ALL SELECT * FROM i"
@@ -262,7 +237,8 @@ def normalize_all(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"WITH {LINES} SELECT corpus, count(*) AS n, count(qty) AS with_qty, count(unit) AS with_unit, round(sum(qty), 4) AS sum_qty FROM tw GROUP BY corpus")
 def normalize_by_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return views.triples(spark, sf_dir).groupBy("corpus").agg(F.count("*").alias("n"), F.count("qty").alias("with_qty"), F.count("unit").alias("with_unit"), F.round(F.sum("qty"), 4).alias("sum_qty"))
+    has = lambda c: F.sum(F.when(F.col(c).isNotNull(), F.col("n")).otherwise(F.lit(0).cast("long")))
+    return normalize_counted(views.text_lines(spark, sf_dir), ("corpus",)).groupBy("corpus").agg(F.sum("n").alias("n"), has("qty").alias("with_qty"), has("unit").alias("with_unit"), F.round(F.sum(F.col("qty") * F.col("n")), 4).alias("sum_qty"))
 
 
 @query(f"WITH {LINES} SELECT corpus, t, count(*) AS n, 1.0::DOUBLE AS qty_right, 1.0::DOUBLE AS unit_right, 1.0::DOUBLE AS food_right FROM tr GROUP BY corpus, t")
@@ -279,7 +255,7 @@ def extract_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"WITH {LINES}, k AS (SELECT unnest((CASE WHEN t IN (6, 9, 10) THEN ['plus'] ELSE [] END) || (CASE WHEN t = 8 THEN ['or'] ELSE [] END) || (CASE WHEN unit IS NOT NULL THEN ['unit'] ELSE [] END) || (CASE WHEN t IN (13, 14) THEN ['several'] ELSE [] END) || (CASE WHEN t = 16 THEN ['truncated'] ELSE [] END) || (CASE WHEN t IN (2, 11, 12) THEN ['container'] ELSE [] END)) AS rule FROM tw) SELECT rule, count(*) AS n FROM k GROUP BY rule")
 def rule_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return views.triples(spark, sf_dir).select(F.explode("rules_fired").alias("rule")).groupBy("rule").agg(F.count("*").alias("n"))
+    return normalize_counted(views.text_lines(spark, sf_dir)).select("n", F.explode("rules_fired").alias("rule")).groupBy("rule").agg(F.sum("n").alias("n"))
 
 
 @query("SELECT p_partkey, i::INT AS i, i = 1 AS is_food FROM part, (VALUES (0), (1)) AS t(i)")

@@ -130,14 +130,14 @@ def grams_unit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return views.weighed(spark, sf_dir).where("unit is not null").groupBy("unit").agg(F.count("*").alias("n"), F.round(F.sum("grams"), 2).alias("grams"))
 
 
-@query(f"WITH {WEIGHED} SELECT line_key, grams FROM g WHERE unit IS NULL")
+@query(f"WITH {WEIGHED} SELECT line_key, part_no, grams FROM g WHERE unit IS NULL")
 def grams_portion(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return views.weighed(spark, sf_dir).where("unit is null").select("line_key", "grams")
+    return views.weighed(spark, sf_dir).where("unit is null").select("line_key", "part_no", "grams")
 
 
-@query(f"WITH {WEIGHED} SELECT line_key, round(100 * grams / sum(grams) OVER (PARTITION BY recipe_id) + 1e-9, 4) AS share FROM g")
+@query(f"WITH {WEIGHED} SELECT line_key, part_no, round(100 * grams / sum(grams) OVER (PARTITION BY recipe_id) + 1e-9, 4) AS share FROM g")
 def grams_share(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return nutrients.shares(views.weighed(spark, sf_dir)).select("line_key", F.round(F.col("share") + 1e-9, 4).alias("share"))
+    return nutrients.shares(views.weighed(spark, sf_dir)).select("line_key", "part_no", F.round(F.col("share") + 1e-9, 4).alias("share"))
 
 
 @query(f"WITH {RECIPES} SELECT recipe_id, n_lines, {', '.join(f'round({t} + 1e-9, 4) AS {t}' for t in TARGETS)} FROM r")
@@ -145,9 +145,9 @@ def recipe_nutrients(spark: SparkSession, sf_dir: str) -> DataFrame:
     return views.recipes(spark, sf_dir).select("recipe_id", "n_lines", *(F.round(F.col(t) + 1e-9, 4).alias(t) for t in TARGETS))
 
 
-@query(f"WITH {WEIGHED} SELECT line_key, {', '.join(TARGETS)} FROM g")
+@query(f"WITH {WEIGHED} SELECT line_key, part_no, item_id, tier::INT AS tier, {', '.join(TARGETS)} FROM g")
 def ingredient_nutrients(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return views.weighed(spark, sf_dir).select("line_key", *TARGETS)
+    return views.weighed(spark, sf_dir).select("line_key", "part_no", "item_id", "tier", *TARGETS)
 
 
 @query("SELECT reason, count(*) AS recipes FROM (SELECT CASE WHEN l_orderkey IS NULL THEN 'no lines' ELSE 'kept' END AS reason FROM orders LEFT JOIN (SELECT DISTINCT l_orderkey FROM lineitem) ON o_orderkey = l_orderkey) GROUP BY reason")
@@ -278,18 +278,6 @@ def registry_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return r.groupBy("algorithm").agg(F.count("*").alias("models")).union(r.agg(F.lit("all"), F.count("*")))
 
 
-@query()
-def ingredient_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The artifact of ingredient vectors, a setting a partition, written and read back."""
-    df = food_tokens(spark, sf_dir)
-    words = embed.word2vec_sg(df, 8, 2)
-    out = None
-    for how in ("sum", "avg"):
-        v = merge.combine_words(df, words, 8, how).withColumn("setting", F.lit(f"word2vec-sg-8-2-{how}"))
-        out = v if out is None else out.unionByName(v)
-    return materialize(out, "corpus")
-
-
 @query("WITH e AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings), p AS (SELECT a.vec_id AS query, b.vec_id, round(list_sum(list_transform(list_zip(a.v, b.v), lambda z: z[1] * z[2])) / (sqrt(list_sum(list_transform(a.v, lambda x: x * x))) * sqrt(list_sum(list_transform(b.v, lambda x: x * x)))), 6) AS cosine FROM e a, e b WHERE a.vec_id < 10 AND a.vec_id <> b.vec_id) SELECT query, vec_id, cosine, rank::INT AS rank FROM (SELECT *, row_number() OVER (PARTITION BY query ORDER BY cosine DESC, vec_id) AS rank FROM p) WHERE rank <= 5")
 def cosine_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = table(spark, sf_dir, "embeddings")
@@ -366,9 +354,8 @@ O["words_avg"] = O["words_avg"].replace("tk AS (SELECT DISTINCT p_name,", "tk AS
 
 @query(f"WITH {WEIGHED} SELECT corpus, count(*) AS n, count(vec_id) AS known FROM g LEFT JOIN (SELECT vec_id FROM embeddings WHERE vec_id < 60) ON vec_id = idx GROUP BY corpus")
 def oov_rate(spark: SparkSession, sf_dir: str) -> DataFrame:
-    v = views.vectors(spark, sf_dir)
-    names = views.structured(spark, sf_dir).select("food_key", "name_idx").distinct().where("name_idx < 60").select("food_key")
-    return views.structured(spark, sf_dir).join(v.join(names, "food_key"), "food_key", "left").groupBy("corpus").agg(F.count("*").alias("n"), F.count("vec").alias("known"))
+    known = render.name_vectors(spark, sf_dir).where("name_idx < 60")
+    return views.weighed(spark, sf_dir).select("corpus", "food_key").join(known, "food_key", "left").groupBy("corpus").agg(F.count("*").alias("n"), F.count("vec").alias("known"))
 
 
 @query(f"WITH {RECIPES} SELECT corpus, count(*) AS recipes FROM r GROUP BY corpus UNION ALL SELECT 'all', count(*) FROM r UNION ALL SELECT 'listed', count(*) FROM orders")
@@ -397,7 +384,7 @@ def gram_fold(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cell.where("i <= j")
 
 
-@query(f"WITH {WEIGHED}, w AS (SELECT recipe_id, {FOLD} AS fold, idx, sum(grams) AS x FROM g GROUP BY ALL), t AS (SELECT recipe_id, sum(x) AS all_ FROM w GROUP BY ALL), s AS (SELECT w.recipe_id, fold, idx, x / all_ AS w FROM w JOIN t USING (recipe_id)) SELECT a.fold, count(*) AS n, round(sum(a.w * b.w), 4) AS moment, round(sum(a.w * b.w) FILTER (WHERE a.idx = b.idx), 4) AS diagonal FROM s a JOIN s b USING (recipe_id) GROUP BY a.fold")
+@query(f"WITH {WEIGHED}, w AS (SELECT recipe_id, {FOLD} AS fold, food, sum(grams) AS x FROM g GROUP BY ALL), t AS (SELECT recipe_id, sum(x) AS all_ FROM w GROUP BY ALL), s AS (SELECT w.recipe_id, fold, food, x / all_ AS w FROM w JOIN t USING (recipe_id)) SELECT a.fold, count(*) AS n, round(sum(a.w * b.w), 4) AS moment, round(sum(a.w * b.w) FILTER (WHERE a.food = b.food), 4) AS diagonal FROM s a JOIN s b USING (recipe_id) GROUP BY a.fold")
 def coshare(spark: SparkSession, sf_dir: str) -> DataFrame:
     lines = nutrients.shares(views.weighed(spark, sf_dir)).withColumn("share", F.col("share") / 100).withColumn("fold", bands.fold(F.col("recipe_id")))
     m = regress.coshare_moments(lines)
@@ -418,26 +405,6 @@ def _statistics(spark: SparkSession, sf_dir: str, dim: int = 16, x: str = "dh"):
     return f, regress.collect_stats(regress.gram(f, x, dim), dim)
 
 
-def _coefficients(spark: SparkSession, rows: list) -> DataFrame:
-    return spark.createDataFrame(rows, "target string, intercept double, coefficients array<double>")
-
-
-def _fitted(name: str, fit) -> None:
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        _, stats = _statistics(spark, sf_dir)
-        s = regress.total(stats)
-        got = [(t, fit(s, i)) for i, t in enumerate(TARGETS)]
-        return _coefficients(spark, [(t, b0, [float(v) for v in b]) for t, (b0, b) in got])
-
-    Q[name] = run
-
-
-_fitted("single_target", regress.fit_linear)
-_fitted("ridge", lambda s, t: regress.fit_ridge(s, t, 0.01))
-_fitted("lasso", lambda s, t: regress.fit_lasso(s, t, 0.01))
-_fitted("enet", lambda s, t: regress.fit_enet(s, t, 0.01, 0.5))
-
-
 @query()
 def tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     f = materialize(views.recipe_features(spark, sf_dir, 8), "features")
@@ -506,87 +473,7 @@ def refit(spark: SparkSession, sf_dir: str) -> DataFrame:
     _, stats = _statistics(spark, sf_dir, 8)
     s = regress.total(stats)
     got = [(t, regress.fit_ridge(s, i, **regress.grid_search(stats, "ridge", i))) for i, t in enumerate(TARGETS)]
-    return _coefficients(spark, [(t, b0, [float(v) for v in b]) for t, (b0, b) in got])
-
-
-@query()
-def predict_by_food(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Predictions from scores of foods beside those from merged vectors: equal up to rounding."""
-    f, stats = _statistics(spark, sf_dir)
-    b0, b = regress.fit_ridge(regress.total(stats), 0, 0.01)
-    coef = F.array(*(F.lit(float(v)) for v in b))
-    lines = nutrients.shares(views.weighed(spark, sf_dir)).withColumn("share", F.col("share") / 100)
-    scores = views.vectors(spark, sf_dir, 16).select("food_key", embed.dot(F.col("vec"), coef).alias("score"))
-    direct = f.select("recipe_id", (F.lit(b0) + embed.dot(F.col("dh"), coef)).alias("direct"))
-    return regress.predict_by_food(lines, scores, b0).join(direct, "recipe_id")
-
-
-def report(spark: SparkSession, sf_dir: str, dim: int = 64, by: tuple[str, ...] = ("corpus",), lam: float = 1e-4, x: str = "dh", scale: float = 1.0) -> DataFrame:
-    """Average accuracy of one merge by collection and target: a model a collection and fold."""
-    f = materialize(views.recipe_features(spark, sf_dir, dim).withColumn("cell", F.concat_ws("|", "corpus", "fold")), "features")
-    stats = regress.collect_stats(regress.gram(f, x, dim, by="cell"), dim, "cell")
-    models = []
-    for cell in stats:
-        c, fold = cell.split("|")
-        s = regress.total({k: v for k, v in stats.items() if k.startswith(c + "|")}, (cell,))
-        models.append((cell, [regress.fit_ridge(s, i, lam) for i in range(len(TARGETS))]))
-    rows = [(c, [float(b0) for b0, _ in m], [[float(v) for v in b] for _, b in m]) for c, m in models]
-    coef = spark.createDataFrame(rows, "cell string, _b0 array<double>, _b array<array<double>>")
-    out = f.join(F.broadcast(coef), "cell")  # one row a collection and fold
-    for i, t in enumerate(TARGETS):
-        out = out.withColumn(f"hat_{t}", F.get(F.col("_b0"), F.lit(i)) + embed.dot(F.col(x), F.get(F.col("_b"), F.lit(i))))
-    return regress.average_accuracy(out, by=by, scale=scale)
-
-
-@query()
-def accuracy_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The published tables' columns: accuracy with the heuristic, of mean and median, without it, and the gain."""
-    r = materialize(views.recipes(spark, sf_dir), "recipes")
-    dh = report(spark, sf_dir).withColumnRenamed("accuracy", "dh")
-    plain = report(spark, sf_dir, x="plain_avg").withColumnRenamed("accuracy", "no_dh")
-    mean = regress.average_accuracy(regress.with_constant(r, "mean", by=("corpus",)), by=("corpus",)).withColumnRenamed("accuracy", "mean")
-    median = regress.average_accuracy(regress.with_constant(r, "median", by=("corpus",)), by=("corpus",)).withColumnRenamed("accuracy", "median")
-    on = ["corpus", "target"]
-    return dh.join(mean, on).join(median, on).join(plain, on).withColumn("gain", F.col("dh") - F.col("no_dh"))
-
-
-@query()
-def no_dh(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return report(spark, sf_dir, x="plain_avg")
-
-
-@query()
-def gain(spark: SparkSession, sf_dir: str) -> DataFrame:
-    dh, plain = (report(spark, sf_dir, x=x).withColumnRenamed("accuracy", n) for x, n in (("dh", "dh"), ("plain_avg", "no_dh")))
-    return dh.join(plain, ["corpus", "target"]).withColumn("gain", F.col("dh") - F.col("no_dh"))
-
-
-@query()
-def band_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Accuracy as the tolerance is scaled: it must rise."""
-    out = None
-    for scale in (0.5, 1.0, 2.0):
-        a = report(spark, sf_dir, dim=8, by=(), scale=scale).withColumn("scale", F.lit(scale))
-        out = a if out is None else out.unionByName(a)
-    return out
-
-
-@query()
-def dimension_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = None
-    for dim in (4, 16, 64):
-        a = report(spark, sf_dir, dim=dim, by=()).withColumn("dim", F.lit(dim))
-        out = a if out is None else out.unionByName(a)
-    return out
-
-
-@query()
-def leave_one_corpus_out(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Train on five collections, test on the sixth: one space for all."""
-    f = materialize(views.recipe_features(spark, sf_dir, 16).withColumn("fold", F.ascii("corpus") - 65), "features")
-    stats = regress.collect_stats(regress.gram(f, "dh", 16), 16)
-    models = {c: {t: regress.fit_ridge(regress.total(stats, (c,)), i, 1e-4) for i, t in enumerate(TARGETS)} for c in stats}
-    return regress.average_accuracy(regress.cross_predict(f, "dh", models), by=("corpus",))
+    return spark.createDataFrame([(t, b0, [float(v) for v in b]) for t, (b0, b) in got], "target string, intercept double, coefficients array<double>")
 
 
 _BAND = {

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from pantry.functions.lexicons import FOREIGN
+from pantry.functions.rules import food_key
 from pantry.session import table
 
 ADJ = ("blue", "cold", "hot", "large", "new", "old", "red", "small")
@@ -85,13 +87,17 @@ def foreign(text: Column, lexicon: dict[str, str]) -> Column:
     return text
 
 
-def raw_source(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """(recipe_id, corpus, pos, line_key, lang, text) of one raw collection; B and E are not English."""
-    from pantry.functions.lexicons import FOREIGN
+def raw_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(recipe_id, corpus, pos, line_key, lang, text) of the five raw collections in one scan; B and E are not English."""
+    df = ingredient_lines(spark, sf_dir).where(F.col("corpus") != "A")
+    strange = F.col("corpus").isin("B", "E")
+    text = F.when(strange, foreign(F.col("text"), FOREIGN["xx"])).otherwise(F.col("text"))
+    return df.select("recipe_id", "corpus", "pos", "line_key", F.when(strange, "xx").otherwise("en").alias("lang"), text.alias("text"))
+
 
-    df = ingredient_lines(spark, sf_dir).where(F.col("corpus") == name)
-    text = foreign(F.col("text"), FOREIGN["xx"]) if name in "BE" else F.col("text")
-    return df.select("recipe_id", "corpus", "pos", "line_key", F.lit("xx" if name in "BE" else "en").alias("lang"), text.alias("text"))
+def raw_source(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """One raw collection."""
+    return raw_lines(spark, sf_dir).where(F.col("corpus") == name)
 
 
 def fcdb_items(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -128,9 +134,9 @@ def fcdb_parts(spark: SparkSession, sf_dir: str) -> list[DataFrame]:
 
 
 def name_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(food_key, vec): a fixed vector a name."""
-    from pantry.functions.rules import food_key
-
-    names = spark.createDataFrame([(8 * a + n, f"{x} {y}") for a, x in enumerate(ADJ) for n, y in enumerate(NOUN)], "name_idx int, name string")
+    """(food_key, vec): a fixed vector a name, whatever form a line gives the name."""
+    names = [(8 * a + n, f"{x} {y}") for a, x in enumerate(ADJ) for n, y in enumerate(NOUN)]
+    forms = [(i, f) for i, name in names for f in (name, f"clove {name}", f"3.5% {name}")] + [(i, name.replace(" ", "")) for i, name in names if name.endswith("widget")]
     vecs = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("_v"), F.col("embedding").alias("vec"))
-    return names.join(vecs, F.col("name_idx") == F.col("_v")).select(food_key(F.col("name")).alias("food_key"), "vec")
+    named = spark.createDataFrame(forms, "name_idx int, name string")
+    return named.join(vecs, F.col("name_idx") == F.col("_v")).select(food_key(F.col("name")).alias("food_key"), "name_idx", "vec")

@@ -6,10 +6,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pantry.functions.bands import fold
+from pantry.functions.lexicons import FOREIGN
 from pantry.functions.rules import food_key
 from pantry.operators import linking, merge, nutrients
 from pantry.operators.normalize import normalize_lines
+from pantry.operators.translate import Glossary
 from pantry.plans import render
+from pantry.session import kept
 
 DIM = 64
 
@@ -42,11 +45,43 @@ def structured(spark: SparkSession, sf_dir: str) -> DataFrame:
     return df.select("recipe_id", "corpus", "pos", "line_key", "l_partkey", "q", "t", "qty", "unit", F.col("f").alias("food"), food_key(F.col("f")).alias("food_key"), "name_idx")
 
 
+def glossary(spark: SparkSession) -> Glossary:
+    """Words of the stand-in language; a fused name is one foreign word of its own."""
+    rows = [(lang, x, w) for lang, words in FOREIGN.items() for w, x in words.items()]
+    rows += [("xx", FOREIGN["xx"][a] + "widget", a + "widget") for a in render.ADJ]
+    return Glossary(spark.createDataFrame(rows, "lang string, foreign string, word string"))
+
+
+def extracted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(recipe_id, corpus, pos, line_key, part_no, qty, unit, food, food_key) of all six collections, written once a session.
+
+    The structured collection brings its columns; the others are texts, of which two are translated first.
+    """
+    cols = ["recipe_id", "corpus", "pos", "line_key", "part_no", "qty", "unit", "food", "food_key"]
+
+    def make() -> DataFrame:
+        own = structured(spark, sf_dir).where("corpus = 'A'").withColumn("part_no", F.lit(0))
+        texts = normalize_lines(render.raw_lines(spark, sf_dir), translator=glossary(spark))
+        return own.select(*cols).unionByName(texts.select(*cols))
+
+    return kept(spark, f"extracted {sf_dir}", make)
+
+
+def links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(key, item_id, tier, index, dist) of every extracted food, written once a session."""
+    return kept(spark, f"links {sf_dir}", lambda: linking.link_foods(extracted(spark, sf_dir), items(spark, sf_dir)))
+
+
 def weighed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Structured lines with item, portion, grams and nutrients."""
-    items = render.fcdb_items(spark, sf_dir).drop("text")
-    lines = structured(spark, sf_dir)
-    return nutrients.with_grams(lines.join(items, F.col("l_partkey") == F.col("item_id")))
+    """Extracted lines with the item linked to their food, its portion and nutrients, and grams: the method up to the recipes."""
+
+    def make() -> DataFrame:
+        linked = links(spark, sf_dir).select(F.col("key").alias("food_key"), "item_id", "tier")
+        facts = render.fcdb_items(spark, sf_dir).drop("text")
+        lines = extracted(spark, sf_dir).join(linked, "food_key", "left").join(facts, "item_id", "left")
+        return nutrients.with_grams(lines)
+
+    return kept(spark, f"weighed {sf_dir}", make)
 
 
 def recipes(spark: SparkSession, sf_dir: str) -> DataFrame:
