@@ -121,7 +121,7 @@ def ridge_path(s: Stats, penalties: tuple[float, ...]) -> list[tuple[np.ndarray,
 def squared_errors(s: Stats, b0: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Squared error a target of linear models on these rows, without reading them."""
     c = np.vstack([-b0[None, :], -b, np.eye(len(b0))])
-    return np.einsum("it,ij,jt->t", c, s.m, c)
+    return ((s.m @ c) * c).sum(0)
 
 
 def tuned_ridge(stats: dict, held: tuple = (), penalties: tuple[float, ...] = GRID["lambda"]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -138,6 +138,14 @@ def tuned_ridge(stats: dict, held: tuple = (), penalties: tuple[float, ...] = GR
     return np.array([path[k][0][t] for t, k in zip(at, best)]), np.stack([path[k][1][:, t] for t, k in zip(at, best)], 1), np.array(penalties)[best]
 
 
+def searched(stats: dict, penalties: tuple[float, ...] = GRID["lambda"]) -> dict[str, tuple[np.ndarray, np.ndarray]]:
+    """The model of each cell from all others, with the penalty a target that is best over all cells: one decomposition a cell."""
+    paths = {c: ridge_path(total(stats, (c,)), penalties) for c in stats}
+    best = sum(np.stack([squared_errors(stats[c], *m) for m in paths[c]]) for c in stats).argmin(0)
+    pick = lambda path: (np.array([path[k][0][t] for t, k in enumerate(best)]), np.stack([path[k][1][:, t] for t, k in enumerate(best)], 1))
+    return {c: pick(path) for c, path in paths.items()}
+
+
 @dataclass
 class Model:
     """Linear models of all targets by cell; without a setting a constant."""

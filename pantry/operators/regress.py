@@ -101,14 +101,16 @@ def fit_linear(s: Stats, target: int) -> tuple[float, np.ndarray]:
 def fit_enet(s: Stats, target: int, lam: float, alpha: float, sweeps: int = 500, tol: float = 1e-8) -> tuple[float, np.ndarray]:
     """Cyclic coordinate descent on the centred products."""
     xx, xy, mx, my = s.centred(target)
-    b = np.zeros(s.dim)
+    b, left = np.zeros(s.dim), xy.copy()  # left = xy - xx b
+    down = np.diag(xx) + lam * (1 - alpha)
     for _ in range(sweeps):
         moved = 0.0
         for j in range(s.dim):
-            rho = xy[j] - xx[j] @ b + xx[j, j] * b[j]
-            down = xx[j, j] + lam * (1 - alpha)
-            new = np.sign(rho) * max(abs(rho) - lam * alpha, 0.0) / down if down > 0 else 0.0
-            moved, b[j] = max(moved, abs(new - b[j])), new
+            rho = left[j] + xx[j, j] * b[j]
+            new = float(np.sign(rho) * max(abs(rho) - lam * alpha, 0.0) / down[j]) if down[j] > 0 else 0.0
+            if new != b[j]:
+                left -= xx[j] * (new - b[j])
+                moved, b[j] = max(moved, abs(new - b[j])), new
         if moved < tol:
             break
     return float(my - mx @ b), b
@@ -163,8 +165,8 @@ def average_accuracy(df: DataFrame, targets=TARGETS, prefix: str = "hat_", by: t
     return each.select(*by, "fold", "_e.*").groupBy(*by, "target").agg(F.avg("a").alias("accuracy"))
 
 
-def with_constant(df: DataFrame, how: str, targets=TARGETS, by: tuple[str, ...] = (), exact: bool = True) -> DataFrame:
-    """Add the mean or median of the training folds as the prediction of every target."""
+def with_constant(df: DataFrame, how: str, targets=TARGETS, by: tuple[str, ...] = (), exact: bool = False) -> DataFrame:
+    """Add the mean or median of the training folds as the prediction of every target; exact medians keep every different value of a group, others are sketches."""
     if how == "mean":
         sums = df.groupBy(*by, "fold").agg(F.count("*").alias("_n"), *(F.sum(t).alias(f"_{t}") for t in targets))
         names = ["_n", *(f"_{t}" for t in targets)]
@@ -172,10 +174,11 @@ def with_constant(df: DataFrame, how: str, targets=TARGETS, by: tuple[str, ...]
         joined = sums.join(whole, list(by)) if by else sums.crossJoin(whole)
         guess = joined.select(*by, "fold", *(((F.col(f"_all_{t}") - F.col(f"_{t}")) / (F.col("_all_n") - F.col("_n"))).alias(f"hat_{t}") for t in targets))
     else:
-        folds = df.select("fold").distinct().withColumnRenamed("fold", "_out")
+        # a median a fold left out, all by filters of one aggregation: rows are not copied
+        folds = [r[0] for r in df.select("fold").distinct().collect()]
         middle = (lambda t: F.percentile(t, F.lit(0.5))) if exact else (lambda t: F.percentile_approx(t, 0.5, 10000).cast("double"))
-        rest = df.join(F.broadcast(folds), F.col("fold") != F.col("_out"))
-        guess = rest.groupBy(*by, F.col("_out").alias("fold")).agg(*(middle(t).alias(f"hat_{t}") for t in targets))
+        cut = [F.struct(F.lit(k).alias("fold"), *(middle(F.when(F.col("fold") != k, F.col(t))).alias(f"hat_{t}") for t in targets)) for k in folds]
+        guess = (df.groupBy(*by).agg(F.array(*cut).alias("_a")).select(*by, F.explode("_a").alias("_g")) if by else df.agg(F.array(*cut).alias("_a")).select(F.explode("_a").alias("_g"))).select(*by, "_g.*")
     return df.join(F.broadcast(guess), [*by, "fold"])
 
 
@@ -201,37 +204,36 @@ def fit_forest(df: DataFrame, x: str, target: str, depth: int = 5, trees: int =
     return RandomForestRegressor(featuresCol="_v", labelCol=target, maxDepth=depth, numTrees=trees, seed=seed).fit(df.withColumn("_v", array_to_vector(x)))
 
 
-def grid_search_tree(df: DataFrame, x: str, target: str, depths=GRID["depth"], folds: int = 5, parallelism: int = 4) -> list[tuple[int, float]]:
-    """(depth, mean RMSE over the given folds) for every depth; folds are trained side by side."""
-    from pyspark.ml.evaluation import RegressionEvaluator
-    from pyspark.ml.functions import array_to_vector
-    from pyspark.ml.regression import DecisionTreeRegressor
-    from pyspark.ml.tuning import CrossValidator, ParamGridBuilder
+def in_parallel(jobs: list, at_once: int = 4) -> list:
+    """Results of functions that start Spark jobs of their own, side by side."""
+    from multiprocessing.pool import ThreadPool
 
-    tree = DecisionTreeRegressor(featuresCol="_v", labelCol=target, seed=1)
-    grid = ParamGridBuilder().addGrid(tree.maxDepth, list(depths)).build()
-    search = CrossValidator(estimator=tree, estimatorParamMaps=grid, evaluator=RegressionEvaluator(labelCol=target), numFolds=folds, foldCol="fold", parallelism=parallelism)
-    return list(zip(depths, search.fit(df.withColumn("_v", array_to_vector(x))).avgMetrics))
+    with ThreadPool(at_once) as pool:
+        return pool.map(lambda f: f(), jobs)
 
 
-def random_search_forest(df: DataFrame, x: str, target: str, n: int, seed: int = 1, space: dict[str, tuple] | None = None) -> list[tuple[int, int, float]]:
-    """(trees, depth, RMSE on fold 0) of ``n`` candidates trained on the other folds."""
+def rmse(model, df: DataFrame, x: str, target: str) -> float:
     from pyspark.ml.evaluation import RegressionEvaluator
 
-    out = []
-    for c in random_candidates(space or {"trees": (5, 10, 20), "depth": (3, 5, 8)}, n, seed):
-        model = fit_forest(df.where("fold <> 0"), x, target, c["depth"], c["trees"])
-        out.append((c["trees"], c["depth"], RegressionEvaluator(labelCol=target).evaluate(model.transform(_as_vector(df.where("fold = 0"), x)))))
+    return RegressionEvaluator(labelCol=target).evaluate(model.transform(_as_vector(df, x)))
+
+
+def grid_search_tree(df: DataFrame, x: str, targets, depths=GRID["depth"], test: int = 0, valid: int = 1) -> list[tuple[int, str, float]]:
+    """(depth, target, RMSE on the validation fold) of every depth; the test fold is not read."""
+    train, held = df.where(~F.col("fold").isin(test, valid)).cache(), df.where(F.col("fold") == valid)
+    jobs = [lambda d=d, t=t: (d, t, rmse(fit_tree(train, x, t, d), held, x, t)) for t in targets for d in depths]
+    out = in_parallel(jobs)
+    train.unpersist()
     return out
 
 
-def random_search_mlp(df: DataFrame, x: str, target: str, stats: dict[int, Stats], at: int, n: int, seed: int = 1, epochs: int = 20) -> list[tuple[int, float, float]]:
-    """(hidden units, rate, last training loss in units of the target's variance) of ``n`` candidates."""
-    train = total(stats, (0,))
-    out = []
-    for c in random_candidates({"hidden": (8, 16, 32), "rate": (0.01, 0.05, 0.1)}, n, seed):
-        losses = fit_mlp(df.where("fold <> 0"), x, target, train, at, c["hidden"], epochs, c["rate"])[1]
-        out.append((c["hidden"], c["rate"], losses[-1]))
+def random_search_forest(df: DataFrame, x: str, targets, n: int, seed: int = 1, space: dict[str, tuple] | None = None, test: int = 0, valid: int = 1) -> list[tuple[int, int, str, float]]:
+    """(trees, depth, target, RMSE on the validation fold) of ``n`` candidates; the test fold is not read."""
+    train, held = df.where(~F.col("fold").isin(test, valid)).cache(), df.where(F.col("fold") == valid)
+    some = random_candidates(space or {"trees": (5, 10, 20), "depth": (3, 5, 8)}, n, seed)
+    jobs = [lambda c=c, t=t: (c["trees"], c["depth"], t, rmse(fit_forest(train, x, t, c["depth"], c["trees"]), held, x, t)) for t in targets for c in some]
+    out = in_parallel(jobs)
+    train.unpersist()
     return out
 
 
@@ -247,43 +249,121 @@ def predict_ml(model, df: DataFrame, x: str, out: str) -> DataFrame:
     return model.transform(df.withColumn("_v", array_to_vector(x))).withColumnRenamed("prediction", out).drop("_v")
 
 
-def fit_mlp(df: DataFrame, x: str, target: str, stats: Stats, at: int, hidden: int = 16, epochs: int = 30, rate: float = 0.05, seed: int = 1) -> tuple[dict[str, np.ndarray], list[float]]:
-    """One hidden layer, full-batch Adam: partitions give gradients, the driver steps. (weights, loss an epoch)."""
-    spark = df.sparkSession
-    xx, _, mx, my = stats.centred(at)
-    sx = np.sqrt(np.maximum(np.diag(xx), 1e-12))
-    t = 1 + stats.dim + at
-    sy = np.sqrt(max(stats.m[t, t] / stats.n - my**2, 1e-12))
-    rng = np.random.default_rng(seed)
-    w = {"a": rng.normal(size=(stats.dim, hidden)) / np.sqrt(stats.dim), "b": np.zeros(hidden), "c": rng.normal(size=hidden) / np.sqrt(hidden), "d": np.zeros(1)}
-    first, second = ({k: np.zeros_like(v) for k, v in w.items()} for _ in range(2))
-    slim = df.select(F.col(x).alias("_x"), F.col(target).alias("_y"))
-    losses = []
-    for epoch in range(1, epochs + 1):
-        sent = spark.sparkContext.broadcast(w)
-
-        def grads(parts, sent=sent):
-            m, total_, loss = sent.value, None, 0.0
-            for b in parts:
-                z = (np.stack(b["_x"].to_numpy()) - mx) / sx
-                h = np.maximum(z @ m["a"] + m["b"], 0)
-                e = h @ m["c"] + m["d"] - (b["_y"].to_numpy() - my) / sy
-                back = np.outer(e, m["c"]) * (h > 0)
-                g = np.concatenate([(z.T @ back).ravel(), back.sum(0), h.T @ e, [e.sum()]])
-                total_, loss = g if total_ is None else total_ + g, loss + float((e**2).sum())
-            if total_ is not None:
-                yield pd.DataFrame({"g": [total_], "loss": [loss]})
-
-        parts = slim.mapInPandas(grads, "g array<double>, loss double").collect()  # one gradient a partition
-        g = sum(np.asarray(r["g"]) for r in parts) / stats.n
-        losses.append(sum(r["loss"] for r in parts) / stats.n)
-        at_ = 0
-        for k, v in w.items():
-            mine = g[at_ : at_ + v.size].reshape(v.shape)
-            at_ += v.size
-            first[k], second[k] = 0.9 * first[k] + 0.1 * mine, 0.999 * second[k] + 0.001 * mine**2
-            w[k] = v - rate * (first[k] / (1 - 0.9**epoch)) / (np.sqrt(second[k] / (1 - 0.999**epoch)) + 1e-8)
-    return w, losses
+@dataclass
+class Network:
+    """One hidden layer for one target, trained on the folds that are not in ``without``; inputs and target are scaled."""
+
+    target: str
+    hidden: int
+    rate: float
+    without: tuple[int, ...] = ()
+    seed: int = 1
+    scale: tuple | None = None
+    weights: tuple[np.ndarray, ...] | None = None
+    loss: float = float("nan")
+
+    def start(self, stats: dict, targets) -> None:
+        at = list(targets).index(self.target)
+        s = total(stats, self.without)
+        xx, _, mx, my = s.centred(at)
+        t = 1 + s.dim + at
+        self.scale = mx, np.sqrt(np.maximum(np.diag(xx), 1e-12)), my, float(np.sqrt(max(s.m[t, t] / s.n - my**2, 1e-12)))
+        rng = np.random.default_rng(self.seed)
+        self.weights = rng.normal(size=(s.dim, self.hidden)) / np.sqrt(s.dim), np.zeros(self.hidden), rng.normal(size=self.hidden) / np.sqrt(self.hidden), np.zeros(1)
+
+    def predict(self, x: np.ndarray) -> np.ndarray:
+        mx, sx, my, sy = self.scale
+        a, b, c, d = self.weights
+        return (np.maximum((x - mx) / sx @ a + b, 0) @ c + d) * sy + my
+
+    def passes(self, x: np.ndarray, y: np.ndarray, n: int, batch: int, seed: int) -> tuple[list[np.ndarray], float]:
+        """Weights after ``n`` passes of Adam over these rows in batches, and the squared error of the last."""
+        mx, sx, my, sy = self.scale
+        z, r = (x - mx) / sx, (y - my) / sy
+        w = [v.copy() for v in self.weights]
+        first, second = ([np.zeros_like(v) for v in w] for _ in range(2))
+        rng, step, loss = np.random.default_rng(seed), 0, 0.0
+        for _ in range(n):
+            order, loss = rng.permutation(len(z)), 0.0
+            for k in range(0, len(z), batch):
+                i, step = order[k : k + batch], step + 1
+                pre = z[i] @ w[0] + w[1]
+                h = np.maximum(pre, 0)
+                e = h @ w[2] + w[3] - r[i]
+                back = np.outer(e, w[2]) * (pre > 0)
+                loss += float((e**2).sum())
+                for j, g in enumerate((z[i].T @ back, back.sum(0), h.T @ e, np.array([e.sum()]))):
+                    g = g / len(i)
+                    first[j], second[j] = 0.9 * first[j] + 0.1 * g, 0.999 * second[j] + 0.001 * g**2
+                    w[j] -= self.rate * (first[j] / (1 - 0.9**step)) / (np.sqrt(second[j] / (1 - 0.999**step)) + 1e-8)
+        return w, loss
+
+
+def fit_networks(df: DataFrame, x: str, nets: list[Network], stats: dict, targets=TARGETS, rounds: int = 4, passes: int = 6, batch: int = 128, most_rows: int = 200_000) -> list[list[float]]:
+    """Train all networks in the same scans; their losses a round.
+
+    In a round every partition takes some passes over its rows (``most_rows`` at a time), and the weights are averaged
+    by rows. Candidates, targets and folds are networks side by side, so a search costs no further scan.
+    """
+    spark, losses = df.sparkSession, [[] for _ in nets]
+    for n in nets:
+        n.start(stats, targets)
+    slim = df.select(F.col(x).alias("_x"), "fold", *targets)
+    for turn in range(rounds):
+        sent = spark.sparkContext.broadcast(nets)
+
+        def learn(parts, sent=sent, turn=turn):
+            held, sums = [], {}
+
+            def flush():
+                t = pd.concat(held)
+                m, fold = np.stack(t["_x"].to_numpy()), t["fold"].to_numpy()
+                for i, net in enumerate(sent.value):
+                    mine = ~np.isin(fold, net.without)
+                    if mine.any():
+                        w, loss = net.passes(m[mine], t[net.target].to_numpy(float)[mine], passes, batch, turn)
+                        flat = np.concatenate([v.ravel() for v in w]) * mine.sum()
+                        old = sums.get(i, (0.0, 0.0, 0))
+                        sums[i] = old[0] + flat, old[1] + loss, old[2] + int(mine.sum())
+
+            for t in parts:
+                held.append(t)
+                if sum(map(len, held)) >= most_rows:
+                    flush()
+                    held = []
+            if held and sum(map(len, held)):
+                flush()
+            if sums:
+                yield pd.DataFrame({"net": list(sums), "w": [v[0].tobytes() for v in sums.values()], "loss": [v[1] for v in sums.values()], "n": [v[2] for v in sums.values()]})
+
+        got = slim.mapInPandas(learn, "net int, w binary, loss double, n long").collect()  # the weights once a partition and network
+        for i, net in enumerate(nets):
+            mine = [r for r in got if r["net"] == i]
+            n = sum(r["n"] for r in mine)
+            if n:
+                flat, at, new = sum(np.frombuffer(bytes(r["w"])) for r in mine) / n, 0, []
+                for v in net.weights:
+                    new.append(flat[at : at + v.size].reshape(v.shape))
+                    at += v.size
+                net.weights, net.loss = tuple(new), sum(r["loss"] for r in mine) / n
+                losses[i].append(net.loss)
+    return losses
+
+
+def apply_networks(df: DataFrame, x: str, nets: dict[str, Network], keep: tuple[str, ...]) -> DataFrame:
+    """(keep, name, target, hat) of named networks."""
+    sent = df.sparkSession.sparkContext.broadcast(nets)
+    kinds = dict(df.dtypes)
+
+    def run(parts):
+        for t in parts:
+            if len(t):
+                m = np.stack(t["_x"].to_numpy())
+                for name, net in sent.value.items():
+                    yield t[list(keep)].assign(name=name, target=net.target, hat=net.predict(m))
+
+    shape = ", ".join([*(f"{c} {kinds[c]}" for c in keep), "name string, target string, hat double"])
+    return df.select(*keep, F.col(x).alias("_x")).mapInPandas(run, shape)
 
 
 def registry() -> list[tuple[str, str, int, int, str, str, int]]:

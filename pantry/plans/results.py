@@ -229,13 +229,7 @@ def grid_accuracy(spark: SparkSession, sf_dir: str) -> DataFrame:
     models = []
     for s in corpora.GRID:
         for kind, column in (("dh", "dh"), ("avg", "no_dh")):
-            mine = stats[s.name, kind]
-            penalty = experiment.tuned_ridge(mine)[2]
-            cells = {}
-            for c in mine:
-                path = dict(zip(regress.GRID["lambda"], experiment.ridge_path(regress.total(mine, (c,)), regress.GRID["lambda"])))
-                cells[c] = np.array([path[p][0][t] for t, p in enumerate(penalty)]), np.stack([path[p][1][:, t] for t, p in enumerate(penalty)], 1)
-            models.append(experiment.Model(f"{s.name}|{column}", s.name, kind, cells))
+            models.append(experiment.Model(f"{s.name}|{column}", s.name, kind, experiment.searched(stats[s.name, kind])))
     a = experiment.accuracy(experiment.measure(bags, v, models, "fold"))
     parts = F.split("model", r"\|")
     a = a.select(F.get(parts, F.lit(0)).alias("setting"), F.get(parts, F.lit(1)).alias("column"), "target", "accuracy")
@@ -300,3 +294,157 @@ def predict_by_food(spark: SparkSession, sf_dir: str) -> DataFrame:
     scores = views.vectors(spark, sf_dir).select("food_key", embed.dot(F.col("vec"), coef).alias("score"))
     direct = views.recipe_features(spark, sf_dir).select("recipe_id", F.round(F.lit(b0) + embed.dot(F.col("dh"), coef), 3).alias("direct"))
     return regress.predict_by_food(lines, scores, b0).withColumn("hat", F.round("hat", 3)).join(direct, "recipe_id")
+
+
+def _features(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return kept(spark, f"features {sf_dir}", lambda: views.recipe_features(spark, sf_dir).select("recipe_id", "fold", "dh", *TARGETS))
+
+
+def _long(df: DataFrame, name: str, hats: dict[str, str]) -> DataFrame:
+    """(name, target, recipe_id, y, hat) from a column a target."""
+    rows = F.explode(F.array(*(F.struct(F.lit(t).alias("target"), F.col(t).alias("y"), F.col(h).alias("hat")) for t, h in hats.items()))).alias("r")
+    return df.select(F.lit(name).alias("name"), "recipe_id", rows).select("name", "r.target", "recipe_id", "r.y", "r.hat")
+
+
+LINEAR = ("linear", "ridge", "lasso", "enet")
+
+
+def _linear(stats: dict, model: str, test: str = "0") -> tuple[dict, list]:
+    """({target: (intercept, coefficients)}, [(model, target, lambda, alpha)]): searched and fitted without the test fold."""
+    fits, chosen = {}, []
+    for i, t in enumerate(TARGETS):
+        c = regress.grid_search(stats, model, i, (test,))
+        fits[t] = regress.FIT[model](regress.total(stats, (test,)), i, **c)
+        chosen.append((model, t, float(c.get("lam", 0)), float(c.get("alpha", 0))))
+    return fits, chosen
+
+
+def _networks(spark: SparkSession, sf_dir: str, nets: list[regress.Network], **options) -> list[list[float]]:
+    return regress.fit_networks(_features(spark, sf_dir), "dh", nets, {int(k): v for k, v in _given_stats(spark, sf_dir).items()}, **options)
+
+
+def _searched_networks(spark: SparkSession, sf_dir: str, n: int = 3) -> list[tuple[int, float, str, float]]:
+    """(hidden units, rate, target, RMSE on fold 1) of random candidates trained on folds 2 to 4, all side by side."""
+    some = regress.random_candidates({"hidden": (8, 16, 32), "rate": (0.003, 0.01, 0.03)}, n, 1)
+    nets = [regress.Network(t, c["hidden"], c["rate"], (0, 1)) for t in TARGETS for c in some]
+    _networks(spark, sf_dir, nets)
+    f = _features(spark, sf_dir).where("fold = 1")
+    hats = regress.apply_networks(f, "dh", {str(i): m for i, m in enumerate(nets)}, ("recipe_id",))
+    truth = _long(f, "", {t: t for t in TARGETS}).select("recipe_id", "target", "y")
+    err = {int(r["name"]): r["e"] for r in hats.join(truth, ["recipe_id", "target"]).groupBy("name").agg(F.sqrt(F.avg((F.col("y") - F.col("hat")) ** 2)).alias("e")).collect()}
+    return [(m.hidden, m.rate, m.target, float(err[i])) for i, m in enumerate(nets)]
+
+
+def _best(rows: list, target_at: int) -> dict[str, tuple]:
+    """The row of the least error (the last field) for each target."""
+    return {t: min((r for r in rows if r[target_at] == t), key=lambda r: r[-1]) for t in TARGETS}
+
+
+def _tested(spark: SparkSession, sf_dir: str, model: str) -> DataFrame:
+    """(name, target, recipe_id, y, hat) on fold 0 of one regressor, tuned and refitted on the other folds."""
+    f = _features(spark, sf_dir)
+    test, rest = f.where("fold = 0"), f.where("fold <> 0")
+    if model in LINEAR:
+        fits, _ = _linear(_given_stats(spark, sf_dir), model)
+        for t, (b0, b) in fits.items():
+            test = test.withColumn(f"hat_{t}", F.lit(float(b0)) + embed.dot(F.col("dh"), F.array(*(F.lit(float(x)) for x in b))))
+        return _long(test, model, {t: f"hat_{t}" for t in TARGETS})
+    if model == "mlp":
+        best = _best(_searched_networks(spark, sf_dir), 2)
+        nets = [regress.Network(t, best[t][0], best[t][1], (0,)) for t in TARGETS]
+        _networks(spark, sf_dir, nets, rounds=8)
+        hats = regress.apply_networks(test, "dh", {m.target: m for m in nets}, ("recipe_id",)).drop("name")
+        truth = _long(test, model, {t: t for t in TARGETS}).drop("hat")
+        return truth.join(hats, ["recipe_id", "target"]).select("name", "target", "recipe_id", "y", "hat")
+    if model == "tree":
+        best = _best(regress.grid_search_tree(f, "dh", TARGETS), 1)
+        jobs = [lambda t=t: regress.fit_tree(rest, "dh", t, best[t][0]) for t in TARGETS]
+    else:
+        best = _best(regress.random_search_forest(f, "dh", TARGETS, 2), 2)
+        jobs = [lambda t=t: regress.fit_forest(rest, "dh", t, best[t][1], best[t][0]) for t in TARGETS]
+    for t, m in zip(TARGETS, regress.in_parallel(jobs)):
+        test = regress.predict_ml(m, test, "dh", f"hat_{t}")
+    return _long(test, model, {t: f"hat_{t}" for t in TARGETS})
+
+
+for _m in ("tree", "forest", "mlp"):
+    Q[_m] = lambda spark, sf_dir, m=_m: _tested(spark, sf_dir, m)
+
+
+@query()
+def regressor_accuracy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seven regressors x five targets on a fold that neither tuning nor fitting saw: accuracy within the bands, and error."""
+    out = None
+    for m in regress.REGRESSORS:
+        out = (rows := _tested(spark, sf_dir, m)) if out is None else out.unionByName(rows := _tested(spark, sf_dir, m))
+    hit = F.lit(0.0)
+    for t in TARGETS:
+        hit = F.when(F.col("target") == t, bands.hit(t, F.col("y"), F.col("hat"))).otherwise(hit)
+    return out.groupBy(F.col("name").alias("regressor"), "target").agg((100 * F.avg(hit)).alias("accuracy"), F.sqrt(F.avg((F.col("y") - F.col("hat")) ** 2)).alias("rmse"), F.count("*").alias("n"))
+
+
+@query()
+def grid_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The chosen point of every exhaustive search of the linear family, by cross-validation over folds 1 to 4."""
+    stats = _given_stats(spark, sf_dir)
+    return spark.createDataFrame([r for m in LINEAR for r in _linear(stats, m)[1]], "model string, target string, lambda double, alpha double")
+
+
+@query()
+def nested_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Tuning inside each fold's training part: the outer fold never sees its own choice."""
+    stats, rows = _given_stats(spark, sf_dir), []
+    for f in stats:
+        b0, b, penalty = experiment.tuned_ridge(stats, (f,))
+        error = experiment.squared_errors(stats[f], b0, b) / stats[f].n
+        rows += [(int(f), t, float(penalty[i]), float(error[i])) for i, t in enumerate(TARGETS)]
+    return spark.createDataFrame(rows, "fold int, target string, lambda double, mse double")
+
+
+@query()
+def random_candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    space = {"trees": (10, 20, 50), "depth": (3, 5, 8), "hidden": (8, 16, 32)}
+    return spark.createDataFrame([tuple(c.values()) for c in regress.random_candidates(space, 10, 7)], "trees int, depth int, hidden int")
+
+
+@query()
+def tree_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.createDataFrame(regress.grid_search_tree(_features(spark, sf_dir), "dh", TARGETS), "depth int, target string, rmse double")
+
+
+@query()
+def forest_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.createDataFrame(regress.random_search_forest(_features(spark, sf_dir), "dh", TARGETS, 2), "trees int, depth int, target string, rmse double")
+
+
+@query()
+def mlp_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.createDataFrame(_searched_networks(spark, sf_dir), "hidden int, rate double, target string, rmse double")
+
+
+@query()
+def refit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The linear family with the best parameters, fitted to all folds."""
+    stats, rows = _given_stats(spark, sf_dir), []
+    for m in LINEAR:
+        for i, t in enumerate(TARGETS):
+            b0, b = regress.FIT[m](regress.total(stats), i, **regress.grid_search(stats, m, i))
+            rows.append((m, t, float(b0), [float(v) for v in b]))
+    return spark.createDataFrame(rows, "model string, target string, intercept double, coefficients array<double>")
+
+
+@query()
+def quality_from_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Reuse of ready vectors elsewhere: documents' quality from the average of their words' vectors.
+
+    Words take vectors by their place in the vocabulary, as far as the ready vectors go; a document is merged from them.
+    """
+    docs = table(spark, sf_dir, "documents").select("doc_id", F.split(F.lower("text"), r"\s+").alias("tokens"))
+    ready = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("word_id"), F.col("embedding").alias("vec"))
+    known = vocab.vocabulary(docs).join(ready, "word_id").select("word", "vec")
+    x = merge.combine_words(docs, known, views.DIM, "avg", key="doc_id")
+    f = x.where("vec is not null").join(table(spark, sf_dir, "labels"), "doc_id").select("doc_id", F.col("vec").alias("x"), F.col("quality").cast("double").alias("quality"), bands.fold(F.col("doc_id")).alias("fold"))
+    f = materialize(f, "reuse")
+    stats = regress.collect_stats(regress.gram(f, "x", views.DIM, ("quality",)), views.DIM)
+    models = {k: {"quality": regress.fit_ridge(regress.total(stats, (k,)), 0, 1e-3)} for k in stats}
+    return regress.cross_predict(f, "x", models).groupBy("quality").agg(F.count("*").alias("n"), F.avg("hat_quality").alias("mean_score"))
