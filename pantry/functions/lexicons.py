@@ -29,20 +29,25 @@ UNITS: tuple[Unit, ...] = (
     Unit("tbsp", "household", 15, ("tbsp", "tb", "tbs", "tbl", "tablespoon")),
     Unit("tsp", "household", 5, ("tsp", "teaspoon")),
     Unit("oz", "household", 28.35, ("oz", "ounce")),
-    Unit("lb", "household", 453.59, ("lb", "lbs", "pound")),
+    Unit("lb", "household", 453.59, ("lb", "lbs", "lbss", "pound")),
+    Unit("floz", "household", 29.57, ("floz",)),
     Unit("pint", "household", 473.18, ("pint", "pt")),
     Unit("quart", "household", 946.35, ("quart", "qt")),
     Unit("pinch", "approx", 0.36, ("pinch",)),
     Unit("dash", "approx", 0.6, ("dash",)),
     Unit("splash", "approx", 5, ("splash",)),
     Unit("handful", "approx", 30, ("handful",)),
+    Unit("thumb", "approx", 15, ("thumb",)),
     Unit("smidgen", "approx", 0.18, ("smidgen", "smidgeon")),
 )
 
-#: Words that are a unit only where no dictionary unit is; grams of one.
+#: Units of several words, as lemmas without full stops, and the surface that stands for them.
+UNIT_PHRASES: dict[str, str] = {"fl oz": "floz", "fl ounce": "floz", "fluid oz": "floz", "fluid ounce": "floz", "table spoon": "tbsp", "tea spoon": "tsp", "thumb sized": "thumb", "thumb size": "thumb"}
+
+#: Words that are a unit only where no dictionary unit is; grams of one.
 CONTAINERS: dict[str, float] = {"jar": 350, "can": 400, "packet": 40, "package": 200, "box": 250, "bottle": 500, "container": 250}
 
-#: Unit words of certain foods only: partner foods and grams of one.
+#: Unit words of certain foods only, their partner foods; grams of one.
 PAIRS: dict[str, dict[str, float]] = {
     "clove": {"garlic": 3},
     "stick": {"butter": 113, "margarine": 113, "cinnamon": 3, "carrot": 6, "celery": 4},
@@ -65,8 +70,11 @@ NUMBER_WORDS: dict[str, int] = {
     "one": 1, "two": 2, "three": 3, "four": 4, "five": 5, "six": 6, "seven": 7, "eight": 8, "nine": 9, "ten": 10,
     "eleven": 11, "twelve": 12, "thirteen": 13, "fourteen": 14, "fifteen": 15, "sixteen": 16, "seventeen": 17, "eighteen": 18, "nineteen": 19, "twenty": 20,
 }
+NUMBER_WORDS |= {w: 10 * (i + 3) for i, w in enumerate(("thirty", "forty", "fifty", "sixty", "seventy", "eighty", "ninety"))}
 VULGAR: dict[str, str] = {"½": "1/2", "⅓": "1/3", "⅔": "2/3", "¼": "1/4", "¾": "3/4", "⅕": "1/5", "⅛": "1/8", "⅜": "3/8", "⅝": "5/8", "⅞": "7/8"}
 IRREGULAR: dict[str, str] = {"leaves": "leaf", "loaves": "loaf", "halves": "half", "knives": "knife", "potatoes": "potato", "tomatoes": "tomato", "cookies": "cookie", "olives": "olive", "chives": "chive", "mixed": "mix", "added": "add", "adding": "add"}
+#: Words that end like plurals and are none.
+INVARIANT: tuple[str, ...] = ("molasses", "schnapps", "brussels", "haggis", "bass", "swiss")
 
 ADJECTIVES: tuple[str, ...] = ("blue", "cold", "hot", "large", "new", "old", "red", "small", "dry", "sweet", "whole", "green", "white", "black", "raw", "economy", "standard", "promo", "medium", "anodized", "burnished", "plated", "polished", "brushed")
 VERBS: tuple[str, ...] = ("beaten", "chopped", "sliced", "diced", "minced", "add", "mix", "combined", "diluted", "dissolved", "sauteed")

@@ -95,16 +95,31 @@ def respell(c: Column, words: dict[str, str], mark: str = "") -> Column:
 
 
 def number_words(c: Column) -> Column:
-    c = respell(c, {w: str(n) for w, n in lx.NUMBER_WORDS.items()})
+    """Number words, compound ones up to hundreds, and a half after them. Digits that were written stay apart: the
+    mark tells them from words until compounds are made."""
+    c = sub(c, rf"{START}an? hundred{STOP}", "one hundred")
+    c = respell(c, {w: str(n) for w, n in lx.NUMBER_WORDS.items()}, "¤")
+    c = sub(c, rf"{START}¤([2-9])0 ¤([1-9]){STOP}", "¤$1$2")
+    c = sub(c, rf"{START}¤([1-9]) hundred(?: and)? ¤(\d\d){STOP}", "¤$1$2")
+    c = sub(c, rf"{START}¤([1-9]) hundred(?: and)? ¤(\d){STOP}", "¤$10$2")
+    c = F.replace(sub(c, rf"{START}¤([1-9]) hundred{STOP}", "¤$100"), F.lit("¤"), F.lit(""))
     return sub(c, rf"{START}({INT}) and (?:a half|1/2){STOP}", "$1 1/2")
 
 
+def unit_phrases(c: Column, phrases: dict[str, str] | None = None) -> Column:
+    """Units of several words as one, full stops of abbreviations dropped."""
+    for words, one in (phrases or lx.UNIT_PHRASES).items():
+        c = sub(c, rf"{START}{' (?:[.] )?'.join(map(re.escape, words.split()))}{STOP}(?: [.]{STOP})?", one)
+    return c
+
+
 def lemmas(c: Column) -> Column:
     """Of tokens: irregular words, then plural endings of words of four letters or more."""
     c = respell(c, lx.IRREGULAR)
-    c = sub(c, r"\b(\p{L}{2,})ies\b", "$1y")
-    c = sub(c, r"\b(\p{L}+(?:sh|ch|ss|x|zz))es\b", "$1")
-    return sub(c, r"\b(\p{L}{2,}[^\W\dsuiSUI])s\b", "$1")
+    word = rf"\b(?!{any_of(lx.INVARIANT)}\b)"
+    c = sub(c, word + r"(\p{L}{2,})ies\b", "$1y")
+    c = sub(c, word + r"(\p{L}+(?:sh|ch|ss|x|zz))es\b", "$1")
+    return sub(c, word + r"(\p{L}{2,}[^\W\dsuiSUI])s\b", "$1")
 
 
 def redundant(c: Column, words=lx.REDUNDANT, phrases=lx.REDUNDANT_PHRASES) -> Column:
@@ -128,5 +143,5 @@ def prepare(text: Column, lex: lx.Lexicons | None = None) -> Column:
     c = F.lower(vulgar(F.coalesce(text, F.lit(""))))
     c = plus_sign(ampersand(percent(ranges(brackets(shield_brands(c, lex.brands))))))
     c = squeeze(specials(halves(slash(c))))
-    c = lemmas(number_words(c))
+    c = unit_phrases(lemmas(number_words(c)))
     return articles(redundant(c, lex.redundant, lex.phrases), lex.units)

@@ -16,7 +16,7 @@ from pantry.functions.prep import FLOAT, FRAC, INT, NUM, START, STOP, any_of, ar
 U = r"@\S+"
 Q = r"<[^>]*>"
 
-#: Phrases that join two ingredients, as lemmas.
+#: Phrases that join two ingredients, as lemmas.
 TRIGGERS = r"(?:mix|beaten) with|(?:mix|dissolved|sauteed) in|diluted(?: (?:with|in))?|combined(?: with)?|add"
 
 
@@ -40,8 +40,9 @@ def tag_pairs(c: Column, pairs=None) -> Column:
 
 
 def tag_containers(c: Column, containers=tuple(lx.CONTAINERS)) -> Column:
-    """Container words go after a unit; without a unit the first is the unit."""
+    """Container words go after a unit, and between a count and a listed size, which then multiply; without a unit the first is the unit."""
     word = any_of(containers)
+    c = sub(c, rf"{START}({NUM}) {word} (?={NUM} {U})", "$1 ")
     c = squeeze(sub(c, rf"(@\S+(?: .*)?) {word}{STOP}", "$1"))
     return sub(c, rf"^(?!.*@)((?:.*? )?)({word}){STOP}", "$1@$2")
 

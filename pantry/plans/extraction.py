@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import re
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -11,7 +14,8 @@ from pantry.operators import linking
 from pantry.operators.normalize import normalize_counted, normalize_lines, recipe_lists, split_structured
 from pantry.plans import render, views
 from pantry.plans.truth import LINES
-from pantry.session import table
+from pantry.session import shared_dir, table
+from pantry.sources import adapters, formats
 
 Q, O = {}, {}
 
@@ -73,6 +77,10 @@ EXT: dict[str, list[tuple[str, list[tuple[str, str | None, str]]]]] = {
     "clause_combo": [("2-3 cups rice or barley plus {q} tbsp oil", [("2", "cup", "rice"), ("q", "tbsp", "oil")])],
     "multi_two_units": [("{q} oz 453 g rice", [("q", "oz", "rice")])],
     "multi_nounit": [("{q}.5 1/2 eggs", [("q + 0.5", None, "egg")])],
+    "unit_phrases": [("{q} fl oz cream", [("q", "floz", "cream")]), ("{q} fluid ounces cream", [("q", "floz", "cream")]), ("{q} fl. oz. cream", [("q", "floz", "cream")]), ("{q} table spoons oil", [("q", "tbsp", "oil")]), ("{q} thumb-sized ginger", [("q", "thumb", "ginger")]), ("{q} lbss beef", [("q", "lb", "beef")])],
+    "qty_large_words": [("one hundred grams rice", [("100", "g", "rice")]), ("two hundred and fifty g rice", [("250", "g", "rice")]), ("twenty-five oz rice", [("25", "oz", "rice")]), ("a hundred g rice", [("100", "g", "rice")])],
+    "unit_container_first": [("1 container (250 grams) cottage cheese", [("250", "g", "cottage cheese")]), ("{q} cans (400 g) beans", [("q * 400", "g", "bean")])],
+    "food_lemma": [("{q} cups molasses", [("q", "cup", "molasses")]), ("{q} cups hummus", [("q", "cup", "hummus")])],
     "food_branded": [("{q} cups M&M's candies", [("q", "cup", "m&m's candy")])],
 }
 
@@ -97,15 +105,36 @@ for _rule in EXT:
 # sources ------------------------------------------------------------------------------------------
 
 
-@query(f"WITH {LINES} SELECT corpus, count(*) AS n_lines, count(DISTINCT recipe_id) AS n_recipes, sum(q)::BIGINT AS sum_q FROM tr WHERE corpus = 'A' GROUP BY corpus")
-def src_structured(spark: SparkSession, sf_dir: str) -> DataFrame:
-    df = views.structured(spark, sf_dir).where("corpus = 'A'")
-    return df.groupBy("corpus").agg(F.count("*").alias("n_lines"), F.countDistinct("recipe_id").alias("n_recipes"), F.sum("q").alias("sum_q"))
+def _header(name: str) -> str:
+    """SQL of a collection's recipes: what its adapter's header and lines must hold."""
+    has = {c.split()[0] for c in re.split(r", (?=\w+ )", adapters.SCHEMAS[name])}
+    given = lambda c, x: x if c in has else "NULL"
+    nutrients = render.OWN if "nutrients" in has else {}
+    own = lambda n: f"round(({nutrients[n]})::DOUBLE, 4)" if n in nutrients else "NULL::DOUBLE"
+    names = {"E": 5 + render.FILLERS, "A": 5, "C": 3}.get(name)
+    return f"""WITH {LINES} SELECT recipe_id, '{name}' AS corpus, {given('title', "'Recipe ' || recipe_id")} AS title, {given('url', "'https://recipes.example/' || recipe_id")} AS url,
+        {given('instruction', "'Mix ' || count(*) || ' things.'")} AS instruction, {given('calories', 'any_value(o_totalprice)')}::DOUBLE AS calories,
+        {own('fat')} AS fat, {own('protein')} AS protein, {own('sodium')} AS sodium, {names or 'NULL'}::INT AS nutrients, count(*) AS n_lines, {'count(qty)' if name == 'A' else '0'}::BIGINT AS n_given
+        FROM tr JOIN orders ON o_orderkey = recipe_id WHERE corpus = '{name}' GROUP BY recipe_id"""
+
+
+def _source(name: str):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """The collection through its files: written as its source would have it, read with the declared schema, harmonized."""
+        path = f"{shared_dir(spark)}/pantry-source-{name}-{uuid.uuid4().hex}"
+        formats.write(render.collection(spark, sf_dir, name), path, "json")
+        df = adapters.read(spark, path, name)
+        lines = adapters.harmonize(df, name).groupBy("recipe_id").agg(F.count("*").alias("n_lines"), F.count("qty").alias("n_given"))
+        own = lambda n: F.round(F.try_element_at("nutrients", F.lit(n)), 4).alias(n)
+        head = adapters.headers(df, name).select("recipe_id", "corpus", "title", "url", "instruction", "calories", own("fat"), own("protein"), own("sodium"), F.when(F.col("nutrients").isNotNull(), F.size("nutrients")).alias("nutrients"))
+        return head.join(lines, "recipe_id")
+
+    return run
 
 
-for _c in "BCDEF":
-    Q[f"src_raw_{_c.lower()}"] = lambda spark, sf_dir, c=_c: render.raw_source(spark, sf_dir, c).groupBy("corpus", "lang").agg(F.count("*").alias("n_lines"), F.countDistinct("recipe_id").alias("n_recipes"))
-    O[f"src_raw_{_c.lower()}"] = f"WITH {LINES} SELECT corpus, '{'xx' if _c in 'BE' else 'en'}' AS lang, count(*) AS n_lines, count(DISTINCT recipe_id) AS n_recipes FROM tr WHERE corpus = '{_c}' GROUP BY corpus"
+for _c in "ABCDEF":
+    _key = "src_structured" if _c == "A" else f"src_raw_{_c.lower()}"
+    Q[_key], O[_key] = _source(_c), _header(_c)
 
 
 def harmonized(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -167,12 +196,18 @@ def recipe_lists_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 Q["recipe_lists"], O["recipe_lists"] = Q.pop("recipe_lists_query"), O.pop("recipe_lists_query")
 
 
-@query()
+@query(f"WITH {LINES} SELECT recipe_id, len(l) AS n, l[1].food AS first_food, l[-1].unit AS last_unit, list_sum(list_transform(l, lambda x: x.qty)) AS qty FROM (SELECT recipe_id, list({{'food': food, 'unit': unit, 'qty': qty}} ORDER BY pos, part_no, qty, unit NULLS FIRST, food) AS l FROM tw WHERE t IN (0, 6) GROUP BY recipe_id)")
 def recipe_structs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return recipe_lists(views.triples(spark, sf_dir, (0, 6)))
+    """A recipe's aligned list: names and quantities stay together whatever is asked of it."""
+    l = recipe_lists(views.triples(spark, sf_dir, (0, 6)))  # noqa: E741
+    total = F.aggregate("lines", F.lit(0.0), lambda a, x: a + x["qty"])
+    return l.select("recipe_id", F.size("lines").cast("long").alias("n"), F.get("lines", F.lit(0))["food"].alias("first_food"), F.element_at("lines", -1)["unit"].alias("last_unit"), total.alias("qty"))
 
 
-@query()
+_SIZES = {"units": len(lx.surfaces()) + len(lx.CONTAINERS) + len(lx.PAIRS), "conversions": len(lx.grams_of_units()), "brands": len(lx.BRANDS), "redundant": len(lx.REDUNDANT) + len(lx.REDUNDANT_PHRASES) + len(lx.PROTECTED)}
+
+
+@query(" UNION ALL ".join(f"SELECT '{n}' AS dictionary, {k}::BIGINT AS n" for n, k in _SIZES.items()))
 def lexicon_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = None
     for name, t in lx.as_tables(spark).items():
@@ -183,26 +218,29 @@ def lexicon_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 # preparation --------------------------------------------------------------------------------------
 
-#: rule: (function, [(text, expected)]): own strings.
+#: rule: (function, [(text, expected)]): own strings around a part's size {q} and name {f}; {f|} is the name by tokens.
 GOLDEN: dict[str, tuple] = {
-    "prep_tokens": (lambda c: F.array_join(prep.tokens(c), "|"), [("two  red apples", "two|red|apples"), ("3.5% milk", "3.5%|milk"), ("", "")]),
-    "prep_lemmas": (prep.lemmas, [("berries leaves glasses boxes cups radish peaches", "berry leaf glass box cup radish peach"), ("asparagus gas couscous", "asparagus gas couscous")]),
-    "prep_redundant": (prep.redundant, [("2 cups of fresh milk", "2 cups milk"), ("salt to taste", "salt"), ("the finely cut leek", "cut leek")]),
-    "prep_branded": (lambda c: prep.restore_brands(prep.ampersand(prep.shield_brands(c))), [("m&m's & nuts", "m&m's  and  nuts")]),
-    "prep_special": (lambda c: prep.squeeze(prep.specials(prep.slash(prep.plus_sign(prep.ampersand(prep.percent(prep.ranges(c))))))), [("a% 3% b & c + d 1/2 e/f 2-3 g-h i!", "a 3% b and c plus d 1/2 e f 2 to 3 g h i")]),
-    "prep_number_words": (lambda c: prep.number_words(prep.halves(c)), [("two and a half cups", "2 1/2 cups"), ("half a lemon", "1/2 lemon"), ("half of eleven", "1/2 11")]),
-    "prep_truncate": (lambda c: rules.truncate(rules.tag_quantities(rules.tag_units(c)), c), [("2 cup spinach , washed . dry", "<2> @cup spinach"), ("2 cup salt , and oil", "<2> @cup salt , and oil"), ("3 egg , beaten", "<3> egg , beaten")]),
-    "prep_all": (prep.prepare, [("Two ½ cups (fresh) Berries & nuts!", "2 1/2 cup berry and nut"), ("An apple", "1 apple"), ("a cup of tea", "1 cup tea")]),
+    "prep_tokens": (lambda c: F.array_join(prep.tokens(c), "|"), [("{q}  red {f}", "{q}|red|{f|}"), ("3.5% {f} ", "3.5%|{f|}"), ("{q}", "{q}")]),
+    "prep_lemmas": (prep.lemmas, [("berries leaves {f}s boxes cups radish peaches", "berry leaf {f} box cup radish peach"), ("asparagus gas {q} couscous", "asparagus gas {q} couscous"), ("molasses {f} glasses hummus", "molasses {f} glass hummus")]),
+    "prep_redundant": (prep.redundant, [("{q} cups of fresh {f}", "{q} cups {f}"), ("{f} to taste", "{f}"), ("the finely cut {f}", "cut {f}")]),
+    "prep_branded": (lambda c: prep.restore_brands(prep.ampersand(prep.shield_brands(c))), [("{q} m&m's & {f}", "{q} m&m's  and  {f}")]),
+    "prep_special": (lambda c: prep.squeeze(prep.specials(prep.slash(prep.plus_sign(prep.ampersand(prep.percent(prep.ranges(c))))))), [("a% {q}% {f} & c + d 1/{q} e/f {q}-3 g-h i!", "a {q}% {f} and c plus d 1/{q} e f {q} to 3 g h i")]),
+    "prep_number_words": (lambda c: prep.number_words(prep.halves(c)), [("two and a half {f}", "2 1/2 {f}"), ("half a {f}", "1/2 {f}"), ("half of eleven {f}", "1/2 11 {f}"), ("twenty five {f} {q}", "25 {f} {q}"), ("two hundred and fifty {f}", "250 {f}"), ("one hundred {q} {f}", "100 {q} {f}"), ("three hundred seven {f}", "307 {f}"), ("20 5 {f}", "20 5 {f}")]),
+    "prep_truncate": (lambda c: rules.truncate(rules.tag_quantities(rules.tag_units(c)), c), [("{q} cup {f} , washed . dry", "<{q}> @cup {f}"), ("{q} cup {f} , and oil", "<{q}> @cup {f} , and oil"), ("{q} {f} , beaten", "<{q}> {f} , beaten")]),
+    "prep_all": (prep.prepare, [("Two ½ cups (fresh) {f}s & nuts!", "2 1/2 cup {f} and nut"), ("An {f}", "1 {f}"), ("a cup of {f}", "1 cup {f}")]),
 }
 
 
 def _golden(name: str, rule, cases: list[tuple[str, str]]) -> None:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return spark.createDataFrame([(i, c[0]) for i, c in enumerate(cases)], "i int, text string").select("i", rule(F.col("text")).alias("out"))
+        p = table(spark, sf_dir, "part").select("p_partkey", "p_size", "p_name", F.posexplode(F.array(*(F.lit(c[0]) for c in cases))).alias("i", "t"))
+        text = F.replace(F.replace("t", F.lit("{q}"), F.col("p_size").cast("string")), F.lit("{f}"), F.col("p_name"))
+        return p.select("p_partkey", "i", rule(text).alias("out"))
 
     quoted = lambda s: "'" + s.replace("'", "''") + "'"
     Q[name] = run
-    O[name] = "SELECT i::INT AS i, out FROM (VALUES " + ", ".join(f"({i}, {quoted(c[1])})" for i, c in enumerate(cases)) + ") AS t(i, out)"
+    values = ", ".join(f"({i}, {quoted(c[1])})" for i, c in enumerate(cases))
+    O[name] = f"SELECT p_partkey, i::INT AS i, replace(replace(replace(e, '{{q}}', p_size::VARCHAR), '{{f|}}', replace(p_name, ' ', '|')), '{{f}}', p_name) AS out FROM part, (VALUES {values}) AS t(i, e)"
 
 
 for _name, (_rule, _cases) in GOLDEN.items():

@@ -12,6 +12,7 @@ from pantry.operators.nutrients import TARGETS
 from pantry.plans import render, views
 from pantry.plans.truth import FOLD, ITEMS, RECIPES, WEIGHED, linked
 from pantry.session import materialize, table
+from pantry.sources import adapters
 
 Q, O = {}, {}
 
@@ -161,24 +162,25 @@ def salt(spark: SparkSession, sf_dir: str) -> DataFrame:
     return views.recipes(spark, sf_dir).select("recipe_id", F.round(bands.salt(F.col("sodium")) + 1e-9, 4).alias("salt"))
 
 
-@query(f"WITH {RECIPES} SELECT corpus, count(*) AS n, round(avg(0.5 / (fat + 0.5)), 6) AS fat_error, round(avg(0.25 / (protein + 0.25)), 6) AS protein_error FROM r WHERE corpus IN ('A', 'C', 'E') GROUP BY corpus")
+_OFF = {n: f"abs({n} - ({e})::DOUBLE) / ({e})::DOUBLE" for n, e in render.OWN.items()}
+
+
+@query(f"WITH {RECIPES} SELECT corpus, count(*) AS n, {', '.join(f'round(avg({e}), 6) AS {n}_error' for n, e in _OFF.items())} FROM r WHERE corpus IN ('A', 'C', 'E') GROUP BY corpus")
 def nutrient_reconcile(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Collections with nutrients of their own (here: ours plus a known offset) against the linked ones."""
-    r = views.recipes(spark, sf_dir).where(F.col("corpus").isin("A", "C", "E"))
-    own = r.select("recipe_id", (F.col("fat") + 0.5).alias("_fat"), (F.col("protein") + 0.25).alias("_protein"))
-    e = lambda t: F.round(F.avg(F.abs(F.col(f"_{t}") - F.col(t)) / F.col(f"_{t}")), 6).alias(f"{t}_error")
-    return r.join(own, "recipe_id").groupBy("corpus").agg(F.count("*").alias("n"), e("fat"), e("protein"))
+    """Collections with nutrients of their own against those that the links give: the mean relative difference."""
+    r = views.recipes(spark, sf_dir)
+    e = lambda n: F.round(F.avg(F.abs(F.col(n) - F.col("own")[n]) / F.col("own")[n]), 6).alias(f"{n}_error")
+    own = None
+    for c in "ACE":
+        h = adapters.headers(render.collection(spark, sf_dir, c), c).select("recipe_id", F.col("nutrients").alias("own"))
+        own = h if own is None else own.unionByName(h)
+    return r.join(own, "recipe_id").groupBy("corpus").agg(F.count("*").alias("n"), *(e(n) for n in render.OWN))
 
 
-@query(f"WITH {RECIPES} SELECT recipe_id, round(fat, 4) AS fat, round(sodium, 4) AS sodium, round(sum(recipe_id % 7 + i), 4)::DOUBLE AS rest FROM r, range(89) AS x(i) WHERE corpus = 'E' GROUP BY recipe_id, fat, sodium")
+@query(f"SELECT o_orderkey AS recipe_id, round(({render.OWN['fat'].replace('recipe_id', 'o_orderkey')})::DOUBLE, 4) AS fat, round(({render.OWN['sodium'].replace('recipe_id', 'o_orderkey')})::DOUBLE, 4) AS sodium, ({render.FILLERS} * (o_orderkey % 7) + {sum(range(render.FILLERS))} + o_orderkey % 23 + 3)::DOUBLE AS rest FROM orders WHERE o_orderkey % 6 = 4 AND o_orderkey IN (SELECT l_orderkey FROM lineitem)")
 def nutrient_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A wide map of 94 nutrients: to rows, and back to the columns that are wanted."""
-    r = views.recipes(spark, sf_dir).where("corpus = 'E'")
-    filler = [x for i in range(89) for x in (F.lit(f"n{i}"), (F.pmod("recipe_id", F.lit(7)) + i).cast("double"))]
-    wide = r.select("recipe_id", F.create_map(*(x for t in TARGETS for x in (F.lit(t), F.col(t))), *filler).alias("m"))
-    long = wide.select("recipe_id", F.explode("m").alias("name", "x"))
-    short = F.when(F.col("name").isin(*TARGETS), F.col("name")).otherwise("rest")
-    out = long.groupBy("recipe_id").agg(*(F.sum(F.when(short == n, F.col("x"))).alias(n) for n in ("fat", "sodium", "rest")))
+    """The wide map of 94 nutrients: to rows, and back to the columns that are wanted."""
+    out = adapters.long_nutrients(render.collection(spark, sf_dir, "E"), ("fat", "sodium"))
     return out.select("recipe_id", *(F.round(c, 4).alias(c) for c in ("fat", "sodium", "rest")))
 
 

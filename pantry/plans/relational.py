@@ -291,7 +291,14 @@ def strip_tags(html):
     return F.trim(F.regexp_replace(c, r"\s+", " "))
 
 
-@query()
+_DECODED = "html"
+for _p, _x in (("(?is)<script\\b.*?</script>", " "), ("(?is)<style\\b.*?</style>", " "), ("(?s)<[^>]*>", " ")):
+    _DECODED = f"regexp_replace({_DECODED}, '{_p}', '{_x}', 'g')"
+for _p, _x in (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "\'\'"), ("&nbsp;", " "), ("&amp;", "&")):
+    _DECODED = f"replace({_DECODED}, '{_p}', '{_x}')"
+
+
+@query(f"SELECT page_id, trim(regexp_replace({_DECODED}, '[ \\t\\n\\x0B\\f\\r]+', ' ', 'g')) AS text FROM pages")
 def fn_html(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "pages").select("page_id", strip_tags(F.col("html")).alias("text"))
 
@@ -400,7 +407,7 @@ def sql_fn(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql("SELECT recipe_id, fat_light(round(fat, 6)) AS light FROM {r}", r=views.recipes(spark, sf_dir))
 
 
-@query()
+@query(f"WITH {LINES} SELECT line_key, qty, unit, food FROM tw WHERE t = 0")
 def normalize_function(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The rules as a plain function of a frame, without the distinct step."""
     return triples(views.text_lines(spark, sf_dir, (0,))).select("line_key", "qty", "unit", "food")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -100,6 +102,37 @@ def raw_source(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return raw_lines(spark, sf_dir).where(F.col("corpus") == name)
 
 
+#: What the stand-in collections say of a recipe's fat, protein and sodium themselves: not what is computed here.
+OWN = {"fat": "recipe_id % 37 + 1", "protein": "recipe_id % 23 + 1", "sodium": "(recipe_id % 11 + 1) / 10"}
+FILLERS = 89
+
+
+def collection(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """One collection as its source has it: a row a recipe with the columns of its adapter's schema."""
+    from pantry.plans.views import answers
+    from pantry.sources.adapters import SCHEMAS
+
+    head = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("recipe_id"), F.col("o_totalprice").alias("calories")).where(corpus(F.col("o_orderkey")) == name)
+    if name == "A":
+        line = F.struct("pos", "line_key", F.struct(F.col("f").alias("food"), "qty", "unit", F.lit(None).cast("double").alias("grams")).alias("x"))
+        lines = answers(lines_base(spark, sf_dir)).where(F.col("corpus") == name)
+    else:
+        line = F.struct("pos", "line_key", F.col("text").alias("x"))
+        lines = raw_source(spark, sf_dir, name)
+    bag = lines.groupBy("recipe_id").agg(F.transform(F.array_sort(F.collect_list(line)), lambda l: l["x"]).alias("items"))
+    own = [x for n, e in OWN.items() for x in (F.lit(n), F.expr(e).cast("double"))]
+    more = [x for i in range(FILLERS) for x in (F.lit(f"n{i}"), (F.pmod("recipe_id", F.lit(7)) + i).cast("double"))] if name == "E" else []
+    more += [x for n in ("sugar", "satfat") for x in (F.lit(n), F.lit(1.0))] if name in "AE" else []
+    df = head.join(bag, "recipe_id").select("*", F.create_map(*own, *more).alias("nutrients"))
+    df = df.withColumn("title", F.concat(F.lit("Recipe "), F.col("recipe_id"))).withColumn("url", F.concat(F.lit("https://recipes.example/"), F.col("recipe_id")))
+    df = df.withColumn("instruction", F.concat(F.lit("Mix "), F.size("items").cast("string"), F.lit(" things."))).withColumn("lang", F.lit("xx" if name in "BE" else "en"))
+    if name == "A":
+        df = df.withColumn("lights", F.create_map(F.lit("fat"), F.when(F.col("nutrients")["fat"] <= 3, "low").when(F.col("nutrients")["fat"] <= 17.5, "medium").otherwise("high")))
+    else:
+        df = df.withColumn("raw", F.array_join("items", "\n"))
+    return df.select(*(c.split()[0] for c in re.split(r", (?=\w+ (?:bigint|string|double|map|array))", SCHEMAS[name])))
+
+
 def fcdb_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Composition items: text, portion grams and five nutrients per 100 g, one a part."""
     p = table(spark, sf_dir, "part").select("p_partkey", "p_name", F.col("p_size").alias("s"))

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from pantry.operators import linking, regress
 from pantry.plans import views
-from pantry.plans.truth import LINES, RECIPES
+from pantry.plans.truth import LINES, RECIPES, WEIGHED
 from pantry.session import table
 from pantry.streaming import ingest
 
@@ -42,7 +42,7 @@ def stream_normalize(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ingest.run_once(ingest.normalize_stream(_stream(lines))).select("line_key", "part_no", "qty", "unit", "food")
 
 
-@query()
+@query(f"WITH {WEIGHED} SELECT lk.tier::INT AS tier, count(*) AS n FROM (SELECT * FROM tw WHERE t = 0) x LEFT JOIN lk ON array_to_string(list_sort(string_split(food, ' ')), ' ') = lk.key GROUP BY lk.tier")
 def stream_link(spark: SparkSession, sf_dir: str) -> DataFrame:
     lines = views.text_lines(spark, sf_dir, (0,)).select("line_key", "text")
     links = linking.link_foods(views.foods(spark, sf_dir), views.items(spark, sf_dir))
