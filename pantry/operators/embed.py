@@ -19,6 +19,8 @@ from pantry.operators.vocab import cooccurrence, vocabulary
 from pantry.session import materialize
 
 MOST_MB = 512
+#: Lines that a partition trains on, and partitions whose parameters are averaged.
+LINES_A_PART, MOST_PARTS = 50_000, 256
 DIMS, WINDOWS, COMBINE = (50, 100, 200), (2, 3, 5, 10), ("sum", "avg")
 
 
@@ -31,7 +33,8 @@ def embedding_grid() -> list[tuple[str, str, int, int, str]]:
 
 
 def word2vec_sg(df: DataFrame, dim: int, window: int, seed: int = 1, epochs: int = 1) -> DataFrame:
-    model = Word2Vec(vectorSize=dim, windowSize=window, minCount=1, seed=seed, maxIter=epochs, numPartitions=1, inputCol="tokens", outputCol="vec").fit(df.select("tokens"))
+    parts = max(1, min(MOST_PARTS, df.count() // LINES_A_PART))
+    model = Word2Vec(vectorSize=dim, windowSize=window, minCount=1, seed=seed, maxIter=epochs, numPartitions=parts, inputCol="tokens", outputCol="vec").fit(df.select("tokens"))
     return model.getVectors().select("word", vector_to_array("vector").alias("vec"))
 
 
@@ -71,7 +74,7 @@ def negative_sampling(df: DataFrame, dim: int, window: int, mode: str, epochs: i
     cumulative = _sampler(words["n"].to_numpy(float))
     rng = np.random.default_rng(seed)
     w_in, w_out = (rng.random((len(words), dim)) - 0.5) / dim, np.zeros((len(words), dim))
-    lines = materialize(df.select("food_key", "tokens").repartition(4, "food_key").sortWithinPartitions("food_key").withColumn("vec", F.lit(None).cast("array<double>")), "lines")
+    lines = materialize(df.select("food_key", "tokens").repartition(max(4, min(MOST_PARTS, df.count() // LINES_A_PART)), "food_key").sortWithinPartitions("food_key").withColumn("vec", F.lit(None).cast("array<double>")), "lines")
     losses: list[float] = []
     for epoch in range(epochs):
         sent = spark.sparkContext.broadcast((id_of, cumulative, w_in, w_out))

@@ -2,8 +2,8 @@
 
 Both sides are reduced to classes first: items with the same lemma set are one class, named by its
 least item, since every test sees the lemma set only. Each tier joins what is left on an equality (lemma
-key, noun key, shared token, block) and keeps the best class by a combining minimum, so pairs are never
-shuffled; foods found leave before the next tier.
+key, noun key, shared token, shared letters) and keeps the best class by a combining minimum, so pairs are
+never shuffled; foods found leave before the next tier.
 """
 
 from __future__ import annotations
@@ -78,14 +78,41 @@ def every_token(suffix: str = "") -> Column:
 def _best(pairs: DataFrame, tier: int, score: Column) -> DataFrame:
     """The best class of each food: score, then distance, then least item."""
     order = F.struct((-score).alias("s"), F.col("dist"), F.col("item_id"))
-    rows = pairs.withColumn("dist", distance()).withColumn("_o", order)
+    rows = (pairs if "dist" in pairs.columns else pairs.withColumn("dist", distance())).withColumn("_o", order)
     found = rows.groupBy("key").agg(F.min_by(F.struct("item_id", "index", "dist"), "_o").alias("_b"))
     return found.select("key", "_b.item_id", F.lit(tier).alias("tier"), "_b.index", "_b.dist")
 
 
-def _posting(foods: DataFrame, items: DataFrame, tokens: Column, tokens_j: Column) -> DataFrame:
-    """Pairs with a common token, through an equality join on it; a pair may come once for each."""
-    return foods.withColumn("_w", F.explode(tokens)).join(items.withColumn("_w", F.explode(tokens_j)), "_w").drop("_w")
+def _posting(foods: DataFrame, items: DataFrame, tokens: Column, tokens_j: Column, salts: int = 8) -> DataFrame:
+    """Pairs with a common token, through an equality join on it; a pair may come once for each.
+
+    The items of a token are dealt over ``salts``, and the foods go to each: a common noun is several tasks.
+    """
+    left = foods.withColumn("_w", F.explode(tokens)).withColumn("_s", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    right = items.withColumn("_w", F.explode(tokens_j)).withColumn("_s", F.pmod(F.xxhash64("key_j"), F.lit(salts)).cast("int"))
+    return left.join(right, ["_w", "_s"]).drop("_w", "_s")
+
+
+def _pieces(text: Column) -> Column:
+    """The different pairs of neighbouring letters, with a mark at both ends."""
+    marked = F.concat(F.lit("^"), text, F.lit("$"))
+    return F.array_distinct(F.transform(F.sequence(F.lit(1), F.length(text) + 1), lambda i: F.substring(marked, i, F.lit(2))))
+
+
+def nearest_by_edits(foods: DataFrame, items: DataFrame, eq2: str = "symmetric") -> DataFrame:
+    """The last tier without all pairs: the item of the least edit distance, if that is below the food's length.
+
+    An edit changes at most two of the n + 1 pairs of neighbouring letters of a name of n, so names without a common
+    pair are at least (n + 1) / 2 edits apart. A food whose best item among those with a common pair is nearer than
+    that is done; only the others are compared with all items, in blocks.
+    """
+    near = _posting(foods, items, _pieces(F.col("joined")), _pieces(F.col("joined_j"))).dropDuplicates(["key", "item_id"])
+    limit = F.length("joined") - 1
+    near = near.where(F.abs(F.length("joined") - F.length("joined_j")) <= limit).withColumn("dist", distance()).where(F.col("dist") <= limit).withColumn("index", index(eq2))
+    found = materialize(_best(near, 5, F.lit(0.0)).join(foods.select("key", F.length("joined").alias("_n")), "key").withColumn("sure", 2 * F.col("dist") < F.col("_n") + 1).drop("_n"), "near")
+    sure = found.where("sure").drop("sure")
+    pairs, score = candidates(foods.join(sure, "key", "left_anti"), items, 5, eq2)
+    return sure.unionByName(_best(pairs, 5, score))
 
 
 def candidates(foods: DataFrame, items: DataFrame, tier: int, eq2: str = "symmetric", tier4: str = "relaxed", block: int = 5000) -> tuple[DataFrame, Column]:
@@ -105,8 +132,8 @@ def candidates(foods: DataFrame, items: DataFrame, tier: int, eq2: str = "symmet
     blocks = max(1, -(-items.count() // block))
     left = foods.withColumn("_b", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
     right = items.withColumn("_b", F.pmod(F.xxhash64("key_j"), F.lit(blocks)).cast("int"))
-    near = left.join(right, "_b").where(F.length("joined_j") < 2 * F.length("joined")).withColumn("index", index(eq2))
-    return near.where(distance() < F.length("joined")).drop("_b"), F.lit(0.0)
+    near = left.join(right, "_b").where(F.length("joined_j") < 2 * F.length("joined")).withColumn("dist", distance())
+    return near.where(F.col("dist") < F.length("joined")).withColumn("index", index(eq2)).drop("_b"), F.lit(0.0)
 
 
 def link_foods(foods: DataFrame, items: DataFrame, eq2: str = "symmetric", tier4: str = "relaxed", order: tuple[int, ...] = TIERS) -> DataFrame:
@@ -115,8 +142,12 @@ def link_foods(foods: DataFrame, items: DataFrame, eq2: str = "symmetric", tier4
     classes = materialize(item_classes(items), "items")
     out = None
     for tier in order:
-        pairs, score = candidates(rest, classes, tier, eq2, tier4)
-        found = materialize(_best(pairs, tier, score), f"tier{tier}")
+        if tier == 5:
+            best = nearest_by_edits(rest, classes, eq2)
+        else:
+            pairs, score = candidates(rest, classes, tier, eq2, tier4)
+            best = _best(pairs, tier, score)
+        found = materialize(best, f"tier{tier}")
         out = found if out is None else out.unionByName(found)
         rest = rest.join(found, "key", "left_anti")
     none = rest.select("key", F.lit(None).cast("long").alias("item_id"), F.lit(None).cast("int").alias("tier"), F.lit(None).cast("double").alias("index"), F.lit(None).cast("int").alias("dist"))

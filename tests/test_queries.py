@@ -21,7 +21,7 @@ def test_equals_sql(spark, sf_dir, con, name):
 
 
 #: The rest: iterative ones are covered by their properties elsewhere.
-LIGHT = ("lexicon_counts", "recipe_structs", "agg_approx", "fn_html", "sample", "stream_late", "random_candidates", "layer_provider", "lsh_topk", "tree", "forest")
+LIGHT = ("agg_approx", "sample", "stream_late", "random_candidates", "layer_provider", "lsh_topk", "quality_from_vectors", "w2v_sg")
 
 
 @pytest.mark.parametrize("name", LIGHT)
