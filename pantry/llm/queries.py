@@ -70,8 +70,49 @@ def quality_ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.ablations(quality_rules.ledger(table(spark, sf_dir, "documents")))
 
 
+# What SQL can say of the operators whose whole rows it cannot: the same operators' columns, over whole tables.
+
+
+def lm_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = op1_lm_scoring(spark, sf_dir)
+    return out.select("doc_id", "held_out", "n_tokens", "n_known", "train_tokens", F.round("base_score", 4).alias("base_score"))
+
+
+def mix_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each document's columns, and whether its source's mix ends within half of its largest document of the target."""
+    out = op2_mixing(spark, sf_dir).join(table(spark, sf_dir, "documents").select("doc_id", "source"), "doc_id")
+    by = out.groupBy("source").agg(F.sum("taken").alias("all"), F.max("size").alias("most")).withColumnRenamed("source", "s")
+    met = out.join(by, F.col("source").eqNullSafe(F.col("s")))
+    return met.select("doc_id", "size", "source_size", F.round("target", 4).alias("target"), (F.abs(F.col("all") - F.col("target")) <= F.col("most")).alias("near"), (F.col("taken") <= 3 * F.col("size")).alias("allowed"))
+
+
+def toxicity_split(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op5_toxicity(spark, sf_dir).select("doc_id", "held_out", F.col("score").between(0, 1).alias("in_range"), ((F.col("score") >= 0.5).cast("int") == F.col("predicted")).alias("consistent"))
+
+
+def packing_padding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The padding of the chosen buckets, which no other choice of as many makes less, and documents by whether they fit."""
+    out = op7_packing(spark, sf_dir)
+    fits = out.groupBy("bucket", "batch").agg(F.count("*").alias("n"), F.max("bucket_len").alias("w")).where((F.col("n") > 1) & (F.col("n") * F.col("w") > 65536))
+    return out.agg(F.count("*").alias("documents"), F.sum("padding").alias("padding"), F.countDistinct("bucket").alias("buckets")).crossJoin(fits.agg(F.count("*").alias("overfull")))
+
+
+def shard_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each document's columns, and whether its shard holds as many bytes as the law asks, within two documents' size."""
+    out = op8_sharding(spark, sf_dir)
+    by = out.groupBy("shard").agg(F.sum("size").alias("b"), F.count("*").alias("n"), F.max("slot").alias("last"))
+    whole = out.agg(F.sum("size").alias("all"), F.max("size").alias("most"))
+    met = out.join(by, "shard").crossJoin(F.broadcast(whole))  # one row
+    return met.select("doc_id", "size", "text_crc32", (F.abs(F.col("b") - F.col("all") / 16) <= 2 * F.col("most")).alias("near"), (F.col("last") + 1 == F.col("n")).alias("gapless"))
+
+
+def secrets_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op9_secrets(spark, sf_dir).select("doc_id", "n_assign", "n_access", "n_hex")
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_lm_scoring, op2_mixing, op3_simhash, op4_topk, op5_toxicity, op6_line_dedup, op7_packing, op8_sharding, op9_secrets, op10_quality_rules, quality_ablations)}
+    own = (op1_lm_scoring, op2_mixing, op3_simhash, op4_topk, op5_toxicity, op6_line_dedup, op7_packing, op8_sharding, op9_secrets, op10_quality_rules)
+    return {f.__name__: f for f in (*own, quality_ablations, lm_base, mix_targets, toxicity_split, packing_padding, shard_sizes, secrets_base)}
 
 
 _STRIP = "' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)"
@@ -95,8 +136,45 @@ _LEDGER = rf"""
 """
 
 
+#: crc32 of a text in SQL: the table by its rule, then a step a byte.
+_CRC_TABLE = "crc AS MATERIALIZED (SELECT list(c ORDER BY n) AS tab FROM (SELECT n, list_reduce(range(8), lambda c, k: CASE WHEN c & 1 = 1 THEN xor(3988292384, c >> 1) ELSE c >> 1 END, n) AS c FROM range(256) AS t(n)))"
+
+
+def _crc_of(text: str) -> str:
+    octets = f"list_transform(regexp_extract_all(hex(encode({text})), '..'), lambda x: ('0x' || x)::BIGINT)"
+    return f"xor(4294967295::BIGINT, list_reduce({octets}, lambda c, b: xor(c >> 8, tab[(xor(c, b) & 255) + 1]), 4294967295::BIGINT))"
+
+
+_SIZE = f"len({_WORDS})"
+_TOKENS = rf"list_append(regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+'), chr(10))"
+_EXACT = 2048
+_BODY = "coalesce(text, '')"
+
+
 def oracle_sql() -> dict[str, str]:
     return {
+        "lm_base": f"""WITH {_CRC_TABLE}, d AS (SELECT doc_id, {_crc_of('doc_id::VARCHAR')} % 7 = 2 AS held_out, {_TOKENS} AS w FROM documents, crc),
+            e AS (SELECT doc_id, held_out, unnest(w) AS t FROM d), c AS (SELECT t, count(*) AS c FROM e WHERE NOT held_out GROUP BY t), n AS (SELECT sum(c) AS n, count(*) AS v FROM c)
+            SELECT doc_id, held_out, count(*)::BIGINT AS n_tokens, count(c.c)::BIGINT AS n_known, any_value(n.n)::BIGINT AS train_tokens, round(sum(log10((coalesce(c.c, 0) + 1) / (n.n + n.v + 1)::DOUBLE)), 4) AS base_score
+            FROM e LEFT JOIN c USING (t), n GROUP BY doc_id, held_out""",
+        "mix_targets": f"""WITH RECURSIVE d AS (SELECT doc_id, source, {_SIZE}::BIGINT AS size FROM documents),
+            s AS (SELECT source, sum(size)::BIGINT AS source_size, [5, 2, 1][((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1)::INT] AS w FROM d GROUP BY source),
+            r AS (SELECT *, row_number() OVER (ORDER BY 3.0::DOUBLE * source_size / w, source NULLS LAST) AS k, sum(source_size) OVER () AS total FROM s),
+            f AS (SELECT 0 AS k, any_value(total)::DOUBLE AS free, sum(w)::DOUBLE AS ws FROM r UNION ALL  -- the sources that are full, one after the other
+                  SELECT r.k::INT, f.free - 3 * r.source_size, f.ws - r.w FROM f JOIN r ON r.k = f.k + 1 WHERE f.free * r.w / f.ws > 3 * r.source_size),
+            l AS (SELECT free / nullif(ws, 0) AS level, k FROM f ORDER BY k DESC LIMIT 1)
+            SELECT doc_id, size, source_size, round(CASE WHEN r.k <= l.k THEN 3.0::DOUBLE * source_size ELSE r.w * level END, 4) AS target, true AS near, true AS allowed
+            FROM d JOIN r ON d.source IS NOT DISTINCT FROM r.source, l""",
+        "toxicity_split": f"WITH {_CRC_TABLE} SELECT doc_id, {_crc_of('doc_id::VARCHAR')} % 5 = 0 AS held_out, true AS in_range, true AS consistent FROM documents, crc",
+        "packing_padding": f"""WITH RECURSIVE d AS (SELECT {_SIZE} + 1 AS n FROM documents),
+            b AS (SELECT max(n)::BIGINT AS n, count(*) AS c, sum(n)::BIGINT AS s FROM (SELECT n, CASE WHEN n <= {_EXACT} THEN n ELSE ceil(n / power(2, floor(log2(n)) - 6)) * power(2, floor(log2(n)) - 6) END AS bin FROM d) GROUP BY bin),
+            o AS (SELECT n, row_number() OVER (ORDER BY n) AS j, sum(c) OVER (ORDER BY n) AS c, sum(s) OVER (ORDER BY n) AS s FROM b),
+            p AS (SELECT 1 AS k, j, (n * c - s)::DOUBLE AS pad FROM o UNION ALL
+                  SELECT k + 1, o.j, min(p.pad + o.n * (o.c - i.c) - (o.s - i.s)) FROM p JOIN o i ON i.j = p.j JOIN o ON o.j > p.j WHERE k < 12 GROUP BY k, o.j)
+            SELECT (SELECT count(*) FROM d) AS documents, min(pad)::BIGINT AS padding, least(12, (SELECT count(*) FROM o))::BIGINT AS buckets, 0::BIGINT AS overfull FROM p WHERE j = (SELECT max(j) FROM o)""",
+        "shard_sizes": f"WITH {_CRC_TABLE} SELECT doc_id, (octet_length(encode(coalesce(text, ''))) + 1)::BIGINT AS size, {_crc_of(_BODY)} AS text_crc32, true AS near, true AS gapless FROM documents, crc",
+        "secrets_base": r"""SELECT doc_id, len(list_filter(regexp_extract_all(coalesce(text, ''), '(?i:password|passwd|secret|token|api_?key)["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)', 1), lambda x: length(x) >= 8))::BIGINT AS n_assign,
+            len(list_filter(regexp_extract_all(coalesce(text, ''), 'AKIA[A-Z0-9]+'), lambda x: length(x) >= 16))::BIGINT AS n_access, len(list_filter(regexp_extract_all(coalesce(text, ''), '[0-9a-f]+'), lambda x: length(x) >= 32))::BIGINT AS n_hex FROM documents""",
         "op4_topk": """
             WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)::BIGINT) AS e FROM embeddings),
             p AS (SELECT q.vec_id AS query_id, v.vec_id, list_sum(list_transform(list_zip(q.e, v.e), lambda z: z[1] * z[2]))::BIGINT AS score

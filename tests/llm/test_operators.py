@@ -390,6 +390,19 @@ def test_machine_learns_pairs_that_weights_cannot():
     assert m.v[m.place[3]] @ m.v[m.place[9]] > 0.5
 
 
+def test_scores_equal_all_pairs(spark, docs, rows):
+    """Scores of the table by the formula's double sum over each text's terms."""
+    labels = spark.createDataFrame([(i, int(i % 3 == 0)) for i, *_ in rows if i is not None], "doc_id long, toxic int").distinct()
+    m = toxicity.train(docs, labels, F.lit(True), least_chi2=0.0, steps=20)
+    assert len(m.w) > 10
+    for r in toxicity.score(docs.where("doc_id is not null").dropDuplicates(["doc_id"]), m).collect():
+        text = next(t for i, t, *_ in rows if i == r.doc_id)
+        used = {w.strip(toxicity.EDGES) or w for w in (text or "").encode().lower().split()}
+        at = sorted({int(m.place[xxhash.xxh64_intdigest(w, 5) >> (64 - m.hash_bits)]) for w in used} - {-1})
+        z = m.b + sum(m.w[i] for i in at) + sum(m.v[i] @ m.v[j] for i, j in itertools.combinations(at, 2))
+        assert r.score == pytest.approx(1 / (1 + math.exp(-z)), abs=1e-9)
+
+
 def test_toxicity_on_held_out(spark, sf_dir):
     sf = sf_dir.replace("sf0.001", "sf0.1")
     got = q.op5_toxicity(spark, sf).join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").where("held_out").toPandas()
