@@ -39,13 +39,18 @@ def bags(lines: DataFrame, foods: list[str], by: tuple[str, ...] = ("corpus",),
     return out.select(recipe, *by, bands.fold(F.col(recipe)).alias("fold"), F.col("_l.i").alias("ids"), F.col("_l.g").alias("grams"), *TARGETS)
 
 
-def merged(t: pd.DataFrame, vectors: np.ndarray, kind: str) -> np.ndarray:
-    """The recipes' vectors: gram-weighted, averaged or summed."""
-    sizes = t["ids"].str.len().to_numpy()
-    ids, grams = np.concatenate(t["ids"].to_numpy()), np.concatenate(t["grams"].to_numpy())
-    begin = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-    weight = {"dh": lambda: grams / np.repeat(np.add.reduceat(grams, begin), sizes), "avg": lambda: np.repeat(1 / sizes, sizes), "sum": lambda: np.ones(len(ids))}[kind]()
-    return np.add.reduceat(vectors[ids] * weight[:, None], begin)
+class Bags:
+    """The foods and weights of a batch of recipes, flat: made once a batch for all settings."""
+
+    def __init__(self, t: pd.DataFrame):
+        sizes = np.fromiter(map(len, t["ids"]), np.int64, len(t))
+        self.ids, grams = np.concatenate(t["ids"].to_numpy()), np.concatenate(t["grams"].to_numpy())
+        self.begin = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+        self.weight = {"dh": grams / np.repeat(np.add.reduceat(grams, self.begin), sizes), "avg": np.repeat(1 / sizes, sizes), "sum": np.ones(len(self.ids))}
+
+    def merged(self, vectors: np.ndarray, kind: str) -> np.ndarray:
+        """The recipes' vectors: gram-weighted, averaged or summed."""
+        return np.add.reduceat(vectors[self.ids] * self.weight[kind][:, None], self.begin)
 
 
 def _sent(spark, vectors: dict[str, np.ndarray]):
@@ -80,10 +85,10 @@ def statistics(recipes: DataFrame, vectors: dict[str, np.ndarray], kinds: tuple[
                 if not len(t):
                     continue
                 y = t[list(TARGETS)].to_numpy(float)
-                cell = t["cell"].to_numpy()
+                cell, bag = t["cell"].to_numpy(), Bags(t)
                 for name, v in sent.value.items():
                     for kind in kinds:
-                        m = np.hstack([np.ones((len(t), 1)), merged(t, v, kind), y])
+                        m = np.hstack([np.ones((len(t), 1)), bag.merged(v, kind), y])
                         for c in np.unique(cell):
                             mine = m[cell == c]
                             key = name, kind, c
@@ -165,13 +170,13 @@ def measure(recipes: DataFrame, vectors: dict[str, np.ndarray], models: list[Mod
         for t in parts:
             if not len(t):
                 continue
-            y, cell = t[list(TARGETS)].to_numpy(float), t["cell"].to_numpy()
+            y, cell, bag = t[list(TARGETS)].to_numpy(float), t["cell"].to_numpy(), Bags(t)
             width = scale * np.stack([bands.width(name, y[:, i]) for i, name in enumerate(TARGETS)], 1)
             x: dict = {}
             for m in known.value:
                 key = m.setting, m.merge
                 if m.setting and key not in x:
-                    x = {key: merged(t, sent.value[m.setting], m.merge)}  # models of a merge follow each other
+                    x = {key: bag.merged(sent.value[m.setting], m.merge)}  # models of a merge follow each other
                 for c in np.unique(cell):
                     if c not in m.cells:
                         continue
