@@ -4,8 +4,9 @@ score = sigmoid(b + sum_i w_i x_i + sum_{i<j} <v_i, v_j> x_i x_j), x_i = 1 if a
 to i. The pair term learns what single weights miss, such as an insult beside a mention of a group.
 
 Training reads at most ``max_rows`` labelled documents a class, chosen by a hash of the id, and takes
-their whole texts; class weights restore the labels' proportions. Terms without a relation to the label
-(chi-square below ``least_chi2``) have no weights. The model has at most 2**hash_bits terms, whatever
+their whole texts; class weights restore the labels' proportions. A term has weights if it relates to the label
+by itself (chi-square of ``least_chi2``) or together with another term (``interacting``), so that a pair of two
+terms that say nothing alone is learned too. The model has at most 2**hash_bits terms, whatever
 the input; scoring is one pass without a shuffle.
 
 Defined results: null and empty texts have no terms and get the score of the intercept; a document
@@ -62,6 +63,46 @@ def sigmoid(z: np.ndarray) -> np.ndarray:
     return 0.5 * (1 + np.tanh(z / 2))
 
 
+def interacting(row: np.ndarray, term: np.ndarray, y: np.ndarray, size: int, least_rows: int = 40, least_chi2: float = 40.0, block: int = 512) -> np.ndarray:
+    """Whether each term is in a pair that meets in ``least_rows`` rows and there differs in label from the sum of both.
+
+    The sum of both: the log-odds of one term's rows plus the other's, less those of all rows. All pairs of terms
+    that are in enough rows are counted, by products of blocks of the matrix rows x terms.
+    """
+    out = np.zeros(size, bool)
+    of = np.flatnonzero(np.bincount(term, minlength=size) >= least_rows)
+    place = np.full(size, -1)
+    place[of] = np.arange(len(of))
+    row, at = row[place[term] >= 0], place[term[place[term] >= 0]]
+    order = np.argsort(at, kind="stable")
+    row, at = row[order], at[order]
+    odds = lambda hit, n: np.log((hit + 0.5) / (n - hit + 0.5))
+    own = odds(np.bincount(at, y[row], len(of)), np.bincount(at, minlength=len(of)))
+    rank = np.empty(len(y), np.int64)  # rows of label 1 first
+    rank[np.argsort(-y, kind="stable")] = np.arange(len(y))
+    ones = int(y.sum())
+
+    def dense(a: int) -> np.ndarray:
+        lo, hi = np.searchsorted(at, [a, a + block])
+        x = np.zeros((len(y), min(block, len(of) - a)), np.float32)
+        x[rank[row[lo:hi]], at[lo:hi] - a] = 1
+        return x
+
+    for a in range(0, len(of), block):
+        left = dense(a)
+        for b in range(a, len(of), block):
+            right = left if a == b else dense(b)
+            hit = left[:ones].T @ right[:ones]
+            n = hit + left[ones:].T @ right[ones:]
+            r = sigmoid(own[a : a + block, None] + own[None, b : b + block] - odds(ones, len(y)))
+            far = (n >= least_rows) & ((hit - n * r) ** 2 >= least_chi2 * (n * r * (1 - r) + 1))
+            if a == b:
+                np.fill_diagonal(far, False)
+            out[of[a : a + block]] |= far.any(1)
+            out[of[b : b + block]] |= far.any(0)
+    return out
+
+
 def fit(row: np.ndarray, term: np.ndarray, y: np.ndarray, weight: np.ndarray, hash_bits: int, factors: int = 8, least_chi2: float = 12.0, l2: float = 0.0005, steps: int = 600, rate: float = 0.05, seed: int = 7) -> Model:
     """Adam over all rows at once; the same rows in the same order give the same model."""
     size, n = 1 << hash_bits, len(y)
@@ -71,7 +112,7 @@ def fit(row: np.ndarray, term: np.ndarray, y: np.ndarray, weight: np.ndarray, ha
     p = y.mean()
     with np.errstate(all="ignore"):
         chi2 = (hit - all_ * p) ** 2 / (all_ * p * (1 - p)) * n / np.maximum(n - all_, 1)
-    chosen = np.flatnonzero((all_ >= 3) & (chi2 >= least_chi2))
+    chosen = np.flatnonzero(((all_ >= 3) & (chi2 >= least_chi2)) | interacting(row, term, y, size))
     place[chosen] = np.arange(len(chosen))
     m = Model(hash_bits, place, float(np.log(share / (1 - share))), np.zeros(len(chosen)), np.random.default_rng(seed).normal(0, 0.05, (len(chosen), factors)))
     at = place[term]

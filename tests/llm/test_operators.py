@@ -228,8 +228,8 @@ def test_links_keep_all_components(spark, bits):
             fps.add(x)
     signed = [x - (1 << 64) if x >> 63 else x for x in sorted(fps)]
     df = spark.createDataFrame([(x,) for x in signed], "fp long")
-    for block in (8192, 5):  # whole anchors, and a grid of small blocks
-        got = components.components(simhash.links(df, bits, block)).collect()
+    for block, joint in ((8192, False), (5, False), (8192, True), (5, True)):  # whole anchors and a grid of small blocks; one block and two
+        got = components.components(simhash.links(df, bits, block, joint)).collect()
         mine = {r.node: r.component for r in got}
         want = _groups({x: x & (1 << 64) - 1 for x in signed}, bits)
         parts, other = defaultdict(set), defaultdict(set)
@@ -245,6 +245,24 @@ def test_every_block_value_has_one_home():
     assert len(row) == len(v) and np.all(np.bitwise_count(word ^ v) <= 3) and not simhash._remainder(word).any()
 
 
+@pytest.mark.parametrize("joint", [False, True])
+@pytest.mark.parametrize("bits", [2, 4, 5, 7])
+def test_near_fingerprints_meet_at_a_home(bits, joint):
+    """Each pair within the radius shares an anchor that is the home of one; far fewer others do in the joint index."""
+    rng = np.random.default_rng(bits)
+    x = rng.integers(0, 2**63, 400, dtype=np.uint64) * np.uint64(2) + rng.integers(0, 2, 400, dtype=np.uint64)
+    flips = np.array([sum(1 << int(i) for i in rng.choice(64, rng.integers(0, bits + 1), replace=False)) for _ in x], np.uint64)
+    mine, theirs = set(), defaultdict(set)
+    for anchor, row, home in simhash._replicas(x, bits, joint):
+        mine |= set(zip(row.tolist(), anchor.tolist()))
+    for anchor, row, home in simhash._replicas(x ^ flips, bits, joint):
+        for r, a in zip(row[home].tolist(), anchor[home].tolist()):
+            theirs[r].add(a)
+    assert all(len(theirs[r]) == 3 and any((r, a) in mine for a in theirs[r]) for r in range(len(x)))
+    others = sum((r, a) in mine for r in range(len(x)) for a in theirs[(r + 1) % len(x)])
+    assert not joint or others <= 4
+
+
 def test_dense_group_gives_a_forest():
     x = np.array([1 << i for i in range(60)], np.uint64)
     out = simhash.forest(x, x, 2)
@@ -390,6 +408,39 @@ def test_machine_learns_pairs_that_weights_cannot():
     assert m.v[m.place[3]] @ m.v[m.place[9]] > 0.5
 
 
+def test_machine_learns_pairs_of_terms_that_say_nothing_alone():
+    rng = np.random.default_rng(4)
+    n = 3000
+    a, b = rng.integers(0, 2, n), rng.integers(0, 2, n)
+    y = (a == b).astype(float)
+    noise = rng.integers(20, 400, (n, 15))
+    row = np.concatenate([np.flatnonzero(a), np.flatnonzero(b), np.repeat(np.arange(n), 15)])
+    term = np.concatenate([np.full(a.sum(), 3), np.full(b.sum(), 9), noise.ravel()])
+    row, term = np.divmod(np.unique(row * 512 + term), 512)
+    assert np.flatnonzero(toxicity.interacting(row, term, y, 512, block=7)).tolist() == [3, 9]
+    m = toxicity.fit(row, term, y, np.ones(n), 9)
+    assert m.place[3] >= 0 and m.place[9] >= 0
+    assert ((toxicity.sigmoid(toxicity.logits(m, n, row, term)) >= 0.5) == (y > 0)).mean() > 0.99
+
+
+@pytest.mark.parametrize("block", [3, 512])
+def test_interacting_terms_equal_a_plain_count(block):
+    rng = np.random.default_rng(6)
+    n = 600
+    x = rng.random((n, 12)) < np.linspace(0.05, 0.6, 12)
+    y = ((x[:, 9] & x[:, 10]) | (rng.random(n) < 0.2)).astype(float)
+    row, term = np.nonzero(x)
+    odds = lambda of: np.log((y[of].sum() + 0.5) / ((1 - y[of]).sum() + 0.5))
+    want = set()
+    for i, j in itertools.combinations(range(12), 2):
+        both = x[:, i] & x[:, j]
+        r = 1 / (1 + math.exp(-(odds(x[:, i]) + odds(x[:, j]) - odds(np.ones(n, bool)))))
+        if both.sum() >= 30 and (y[both].sum() - both.sum() * r) ** 2 >= 10 * (both.sum() * r * (1 - r) + 1):
+            want |= {i, j}
+    got = np.flatnonzero(toxicity.interacting(row, term, y, 12, least_rows=30, least_chi2=10.0, block=block))
+    assert want and set(got.tolist()) == want
+
+
 def test_scores_equal_all_pairs(spark, docs, rows):
     """Scores of the table by the formula's double sum over each text's terms."""
     labels = spark.createDataFrame([(i, int(i % 3 == 0)) for i, *_ in rows if i is not None], "doc_id long, toxic int").distinct()
