@@ -15,11 +15,12 @@ from itertools import product
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pantry.functions.bands import hit
 from pantry.operators.nutrients import TARGETS
+from pantry.session import materialize
 
 GRID = {"lambda": tuple(10.0**e for e in range(-4, 3)), "alpha": (0.1, 0.5, 0.9), "depth": (3, 5, 8)}
 REGRESSORS = ("linear", "ridge", "lasso", "enet", "tree", "forest", "mlp")
@@ -166,22 +167,58 @@ def average_accuracy(df: DataFrame, targets=TARGETS, prefix: str = "hat_", by: t
 
 
 def with_constant(df: DataFrame, how: str, targets=TARGETS, by: tuple[str, ...] = (), exact: bool = False) -> DataFrame:
-    """Add the mean or median of the training folds as the prediction of every target; exact medians keep every different value of a group, others are sketches."""
+    """Add the mean or median of the training folds as the prediction of every target; medians are exact or sketches."""
     if how == "mean":
         sums = df.groupBy(*by, "fold").agg(F.count("*").alias("_n"), *(F.sum(t).alias(f"_{t}") for t in targets))
         names = ["_n", *(f"_{t}" for t in targets)]
         whole = sums.groupBy(*by).agg(*(F.sum(n).alias(f"_all{n}") for n in names)) if by else sums.agg(*(F.sum(n).alias(f"_all{n}") for n in names))
         joined = sums.join(whole, list(by)) if by else sums.crossJoin(whole)
         guess = joined.select(*by, "fold", *(((F.col(f"_all_{t}") - F.col(f"_{t}")) / (F.col("_all_n") - F.col("_n"))).alias(f"hat_{t}") for t in targets))
+    elif exact:
+        df = materialize(df, "medians")
+        guess = left_out_medians(df, targets, by)
     else:
         # a median a fold left out, all by filters of one aggregation: rows are not copied
         folds = [r[0] for r in df.select("fold").distinct().collect()]
-        middle = (lambda t: F.percentile(t, F.lit(0.5))) if exact else (lambda t: F.percentile_approx(t, 0.5, 10000).cast("double"))
+        middle = lambda t: F.percentile_approx(t, 0.5, 10000).cast("double")
         cut = [F.struct(F.lit(k).alias("fold"), *(middle(F.when(F.col("fold") != k, F.col(t))).alias(f"hat_{t}") for t in targets)) for k in folds]
         guess = (df.groupBy(*by).agg(F.array(*cut).alias("_a")).select(*by, F.explode("_a").alias("_g")) if by else df.agg(F.array(*cut).alias("_a")).select(F.explode("_a").alias("_g"))).select(*by, "_g.*")
     return df.join(F.broadcast(guess), [*by, "fold"])
 
 
+def left_out_medians(df: DataFrame, targets=TARGETS, by: tuple[str, ...] = (), halves: tuple[float, ...] = (2e-4, 2e-2, 0.5)) -> DataFrame:
+    """(by, fold, hat_target): the exact median of the other folds, without holding a group's values.
+
+    Sketches a little below and above the middle enclose it; one scan counts what lies below and keeps the few values
+    between, whose order decides. Where a sketch did not enclose it the next width is taken, the last from least to largest.
+    """
+    spark = df.sparkSession
+    folds = sorted(r[0] for r in df.select("fold").distinct().collect())
+    cases = [(k, t) for k in folds for t in targets]
+    if not cases:
+        return spark.createDataFrame([], ", ".join([*(f"{c} {dict(df.dtypes)[c]}" for c in by), f"fold {dict(df.dtypes)['fold']}", *(f"hat_{t} double" for t in targets)]))
+    own = [F.when(F.col("fold") != k, F.col(t).cast("double")) for k, t in cases]
+    for half in halves:
+        edge = lambda c: F.array(F.min(c), F.max(c)) if half >= 0.5 else F.percentile_approx(c, F.array(F.lit(0.5 - half), F.lit(0.5 + half)), 10_000)  # noqa: B023, E731
+        edges = df.groupBy(*by).agg(*(edge(c).alias(f"_e{i}") for i, c in enumerate(own)))
+        edges = F.broadcast(spark.createDataFrame(edges.collect(), edges.schema))  # one row a group
+        met = df.join(edges, list(by)) if by else df.crossJoin(edges)
+        low, high = ([F.get(f"_e{i}", F.lit(j)) for i in range(len(own))] for j in (0, 1))
+        sums = [F.struct(F.lit(i).alias("case"), F.count(c).alias("n"), F.count(F.when(c < low[i], 1)).alias("below")) for i, c in enumerate(own)]
+        sums = met.groupBy(*by).agg(F.array(*sums).alias("_s")).select(*by, F.explode("_s").alias("_s")).select(*by, "_s.*")
+        between = F.filter(F.array(*(F.struct(F.lit(i).alias("case"), F.when((c >= low[i]) & (c <= high[i]), c).alias("v")) for i, c in enumerate(own))), lambda x: x["v"].isNotNull())
+        values = met.select(*by, F.explode(between).alias("_v")).groupBy(*by, "_v.case", "_v.v").agg(F.count("*").alias("k"))
+        upto = F.sum("k").over(Window.partitionBy(*by, "case").orderBy("v"))
+        at = lambda r: F.min(F.when(F.col("below") + F.col("upto") > r, F.col("v")))
+        found = values.withColumn("upto", upto).join(sums, [*by, "case"]).groupBy(*by, "case", "n").agg(at(F.floor((F.col("n") - 1) / 2)).alias("a"), at(F.floor(F.col("n") / 2)).alias("b"), F.min("below").alias("below"))
+        found = found.withColumn("sure", F.col("b").isNotNull() & (F.col("below") <= F.floor((F.col("n") - 1) / 2)))
+        found = materialize(found.select(*by, "case", (0.5 * F.col("a") + 0.5 * F.col("b")).alias("m"), "sure"), "middles")  # a row a group, fold and target
+        if half == halves[-1] or not found.where("not sure").count():
+            break
+    names = spark.createDataFrame([(i, k, t) for i, (k, t) in enumerate(cases)], f"case int, fold {dict(df.dtypes)['fold']}, target string")
+    return found.join(F.broadcast(names), "case").groupBy(*by, "fold").agg(*(F.max(F.when(F.col("target") == t, F.col("m"))).alias(f"hat_{t}") for t in targets))
+
+
 def errors(df: DataFrame, targets=TARGETS) -> DataFrame:
     """(target, rmse, mae, r2)."""
     rows = F.explode(F.array(*(F.struct(F.lit(t).alias("target"), F.col(t).alias("y"), F.col(f"hat_{t}").alias("p")) for t in targets)))
