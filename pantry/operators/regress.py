@@ -336,6 +336,40 @@ class Network:
         return w, loss
 
 
+def passes_together(nets: list[Network], x: np.ndarray, ys: np.ndarray, n: int, batch: int, seed: int) -> list[tuple[list[np.ndarray], float]]:
+    """What ``Network.passes`` gives for each of some networks of one size and the same training folds.
+
+    They take the same rows in the same order, so a batch is one product with all their weights side by side.
+    """
+    g, h, d = len(nets), nets[0].hidden, x.shape[1]
+    mx, sx = nets[0].scale[:2]
+    z, r = (x - mx) / sx, (ys - np.array([m.scale[2] for m in nets])) / np.array([m.scale[3] for m in nets])
+    w = [np.hstack([m.weights[0] for m in nets]), np.concatenate([m.weights[1] for m in nets]), np.stack([m.weights[2] for m in nets]), np.concatenate([m.weights[3] for m in nets])]
+    sizes = np.cumsum([0, *(v.size for v in w)])
+    p = np.concatenate([v.ravel() for v in w])
+    a, b, c, e0 = (p[i:j].reshape(v.shape) for v, i, j in zip(w, sizes, sizes[1:]))  # views: a step moves them
+    rates = np.array([m.rate for m in nets])
+    rate = np.concatenate([np.tile(np.repeat(rates, h), d), np.repeat(rates, h), np.repeat(rates, h), rates])
+    first, second, grad = np.zeros_like(p), np.zeros_like(p), np.empty_like(p)
+    rng, step, loss = np.random.default_rng(seed), 0, np.zeros(g)
+    for _ in range(n):
+        order, loss = rng.permutation(len(z)), np.zeros(g)
+        for k in range(0, len(z), batch):
+            i, step = order[k : k + batch], step + 1
+            zi = z[i]
+            hid = np.maximum(zi @ a + b, 0).reshape(len(i), g, h)
+            e = (hid * c).sum(2) + e0 - r[i]
+            back = (e[:, :, None] * c * (hid > 0)).reshape(len(i), g * h)
+            loss += (e**2).sum(0)
+            np.concatenate([(zi.T @ back).ravel(), back.sum(0), (hid * e[:, :, None]).sum(0).ravel(), e.sum(0)], out=grad)
+            grad /= len(i)
+            first += 0.1 * (grad - first)
+            second += 0.001 * (grad * grad - second)
+            p -= rate * (first / (1 - 0.9**step)) / (np.sqrt(second / (1 - 0.999**step)) + 1e-8)
+    cut = lambda v, i: v[..., i * h : (i + 1) * h].copy()
+    return [([cut(a, i), cut(b, i), c[i].copy(), e0[i : i + 1].copy()], float(loss[i])) for i in range(g)]
+
+
 def fit_networks(df: DataFrame, x: str, nets: list[Network], stats: dict, targets=TARGETS, rounds: int = 4, passes: int = 6, batch: int = 128, most_rows: int = 200_000) -> list[list[float]]:
     """Train all networks in the same scans; their losses a round.
 
@@ -355,13 +389,18 @@ def fit_networks(df: DataFrame, x: str, nets: list[Network], stats: dict, target
             def flush():
                 t = pd.concat(held)
                 m, fold = np.stack(t["_x"].to_numpy()), t["fold"].to_numpy()
+                alike: dict = {}
                 for i, net in enumerate(sent.value):
-                    mine = ~np.isin(fold, net.without)
+                    alike.setdefault((tuple(net.without), net.hidden), []).append(i)
+                for (without, _), some in alike.items():
+                    mine = ~np.isin(fold, without)
                     if mine.any():
-                        w, loss = net.passes(m[mine], t[net.target].to_numpy(float)[mine], passes, batch, turn)
-                        flat = np.concatenate([v.ravel() for v in w]) * mine.sum()
-                        old = sums.get(i, (0.0, 0.0, 0))
-                        sums[i] = old[0] + flat, old[1] + loss, old[2] + int(mine.sum())
+                        together = [sent.value[i] for i in some]
+                        ys = np.stack([t[net.target].to_numpy(float)[mine] for net in together], 1)
+                        for i, (w, loss) in zip(some, passes_together(together, m[mine], ys, passes, batch, turn)):
+                            flat = np.concatenate([v.ravel() for v in w]) * mine.sum()
+                            old = sums.get(i, (0.0, 0.0, 0))
+                            sums[i] = old[0] + flat, old[1] + loss, old[2] + int(mine.sum())
 
             for t in parts:
                 held.append(t)
