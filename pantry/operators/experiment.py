@@ -46,6 +46,7 @@ class Bags:
         sizes = np.fromiter(map(len, t["ids"]), np.int64, len(t))
         self.ids, grams = np.concatenate(t["ids"].to_numpy()), np.concatenate(t["grams"].to_numpy())
         self.begin = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+        self.row, self.rows = np.repeat(np.arange(len(t)), sizes), len(t)
         self.weight = {"dh": grams / np.repeat(np.add.reduceat(grams, self.begin), sizes), "avg": np.repeat(1 / sizes, sizes), "sum": np.ones(len(self.ids))}
 
     def merged(self, vectors: np.ndarray, kind: str) -> np.ndarray:
@@ -53,6 +54,25 @@ class Bags:
         return np.add.reduceat(vectors[self.ids] * self.weight[kind][:, None], self.begin)
 
 
+    def by_food(self, kind: str, foods: int) -> np.ndarray:
+        """The recipes' weights by food: times the vectors of a setting they are its merged vectors."""
+        return np.bincount(self.row * foods + self.ids % foods, self.weight[kind], self.rows * foods).reshape(self.rows, foods)
+
+
+def _few_foods(vectors: dict[str, np.ndarray]) -> bool:
+    """Whether sums by food are smaller than those of all settings together: then they serve every setting."""
+    side = lambda n: (n + 1 + len(TARGETS)) ** 2
+    return bool(vectors) and side(len(next(iter(vectors.values())))) < sum(side(v.shape[1]) for v in vectors.values())
+
+
+def _of_setting(s: Stats, v: np.ndarray) -> Stats:
+    """The sums of a setting from those by food: merged vectors are linear in the foods' weights."""
+    n, d = v.shape
+    t = np.zeros((len(s.m), len(s.m) - n + d))
+    t[0, 0], t[1 : n + 1, 1 : d + 1], t[n + 1 :, d + 1 :] = 1, v, np.eye(len(s.m) - n - 1)
+    return Stats(t.T @ s.m @ t, d)
+
+
 def _sent(spark, vectors: dict[str, np.ndarray]):
     if sum(v.nbytes for v in vectors.values()) > MOST_MB << 20:
         raise ValueError("the vectors are too large for a broadcast: score fewer settings at a time")
@@ -75,6 +95,9 @@ def _groups(vectors: dict[str, np.ndarray], cells: int, kinds: tuple[str, ...])
 def statistics(recipes: DataFrame, vectors: dict[str, np.ndarray], kinds: tuple[str, ...] = ("dh", "avg"), by: str = "fold") -> dict[tuple[str, str], dict[str, Stats]]:
     """{(setting, merge): {cell: sums of products of (1, x, targets)}}; ``by`` is a column of at most some hundred values."""
     out: dict = {}
+    if _few_foods(vectors):
+        once = statistics(recipes, {"": np.eye(len(next(iter(vectors.values()))))}, kinds, by)
+        return {(name, kind): {c: _of_setting(s, v) for c, s in once["", kind].items()} for name, v in vectors.items() for kind in kinds}
     cells = recipes.select(by).distinct().count()
     for some in _groups(vectors, cells, kinds):
         sent = _sent(recipes.sparkSession, some)
@@ -88,7 +111,7 @@ def statistics(recipes: DataFrame, vectors: dict[str, np.ndarray], kinds: tuple[
                 cell, bag = t["cell"].to_numpy(), Bags(t)
                 for name, v in sent.value.items():
                     for kind in kinds:
-                        m = np.hstack([np.ones((len(t), 1)), bag.merged(v, kind), y])
+                        m = np.hstack([np.ones((len(t), 1)), bag.merged(v, kind) if name else bag.by_food(kind, len(v)), y])
                         for c in np.unique(cell):
                             mine = m[cell == c]
                             key = name, kind, c
@@ -163,6 +186,8 @@ class Model:
 
 def measure(recipes: DataFrame, vectors: dict[str, np.ndarray], models: list[Model], by: str = "fold", scale: float = 1.0) -> DataFrame:
     """(model, cell, target, n, hits, squared, absolute): all models applied in one scan, each cell by its own."""
+    if _few_foods({m.setting: vectors[m.setting] for m in models if m.setting}):
+        return _measured_by_food(recipes, vectors, models, by, scale)
     sent, known = _sent(recipes.sparkSession, {k: vectors[k] for k in {m.setting for m in models if m.setting}}), recipes.sparkSession.sparkContext.broadcast(models)
 
     def run(parts):
@@ -194,6 +219,48 @@ def measure(recipes: DataFrame, vectors: dict[str, np.ndarray], models: list[Mod
     return each.groupBy("model", "cell", "target").agg(*(F.sum(c).alias(c) for c in ("n", "hits", "squared", "absolute")))
 
 
+def _measured_by_food(recipes: DataFrame, vectors: dict[str, np.ndarray], models: list[Model], by: str, scale: float) -> DataFrame:
+    """``measure`` from the scores that each model gives the foods: all models of a merge and cell are one product."""
+    foods = len(next(iter(vectors.values())))
+    plans: dict = {}  # (merge, cell): names, intercepts, scores of the foods
+    for m in models:
+        for c, (b0, b) in m.cells.items():
+            names, starts, scores = plans.setdefault((m.merge if m.setting else "sum", c), ([], [], []))
+            names.append(m.name)
+            starts.append(b0)
+            scores.append(vectors[m.setting] @ b if m.setting else np.zeros((foods, len(TARGETS))))
+    packed = {k: (n, np.concatenate(b0), np.hstack(v)) for k, (n, b0, v) in plans.items()}
+    if sum(v.nbytes for _, _, v in packed.values()) > MOST_MB << 20:
+        raise ValueError("the models are too large for a broadcast: score fewer settings at a time")
+    sent = recipes.sparkSession.sparkContext.broadcast(packed)
+
+    def run(parts):
+        sums: dict = {}
+        for t in parts:
+            if not len(t):
+                continue
+            y, cell, bag = t[list(TARGETS)].to_numpy(float), t["cell"].to_numpy(), Bags(t)
+            width = scale * np.stack([bands.width(name, y[:, i]) for i, name in enumerate(TARGETS)], 1)
+            for merge in sorted({k for k, _ in sent.value}):
+                w = bag.by_food(merge, foods)
+                for c in np.unique(cell):
+                    if (merge, c) not in sent.value:
+                        continue
+                    names, b0, scores = sent.value[merge, c]
+                    mine = cell == c
+                    e = (w[mine] @ scores + b0).reshape(-1, len(names), len(TARGETS))
+                    e -= y[mine][:, None, :]
+                    np.abs(e, out=e)
+                    got = np.stack([np.full(e.shape[1:], mine.sum()), (e <= width[mine][:, None, :]).sum(0), np.einsum("nmt,nmt->mt", e, e), e.sum(0)])
+                    sums[merge, c] = sums.get((merge, c), 0) + got
+        rows = [(name, c, t, *map(float, v[:, j, i])) for (merge, c), v in sums.items() for j, name in enumerate(sent.value[merge, c][0]) for i, t in enumerate(TARGETS)]
+        yield pd.DataFrame(rows, columns=["model", "cell", "target", "n", "hits", "squared", "absolute"])
+
+    slim = recipes.select(F.col(by).cast("string").alias("cell"), "ids", "grams", *TARGETS)
+    each = slim.mapInPandas(run, "model string, cell string, target string, n double, hits double, squared double, absolute double")
+    return each.groupBy("model", "cell", "target").agg(*(F.sum(c).alias(c) for c in ("n", "hits", "squared", "absolute")))
+
+
 def constants(stats: dict, cells: list[str], groups: dict[str, list[str]]) -> dict[str, tuple[np.ndarray, np.ndarray]]:
     """The mean predictor of each cell: the targets' means over the other cells of its group."""
     out = {}
