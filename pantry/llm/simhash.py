@@ -245,16 +245,27 @@ def near_duplicates(df: DataFrame, bits: int = 4, shingle: int = 4, seed: int =
     return out.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def keep_one(df: DataFrame, words: int = 5, similarity: float = 0.8, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def candidate_links(texts: DataFrame, words: int = 5, bits: int = 4) -> DataFrame:
+    """(a, b): links of (node, text) by fingerprints, enough of them to keep all components."""
+    prints = materialize(fingerprints(texts, words, once=True, doc_id="node"), "prints")
+    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")), "classes")
+    equal = meet(prints, distinct, ["fp"], "n").where("doc_id <> first").select(F.col("first").alias("a"), F.col("doc_id").alias("b"))
+    name = lambda end: distinct.select(F.col("fp").alias(end), F.col("first").alias(f"{end}_node"))
+    near = links(distinct, bits).join(name("a"), "a").join(name("b"), "b").select(F.col("a_node").alias("a"), F.col("b_node").alias("b"))
+    return materialize(equal.union(near), "near")
+
+
+def keep_one(df: DataFrame, words: int = 5, similarity: float = 0.8, doc_id: str = "doc_id", text: str = "text", bits: int = 4) -> DataFrame:
     """The rows of ``df``, one of each group of near-duplicates: that with the least doc_id.
 
-    A pair counts if the Jaccard similarity of its sets of five-word shingles is 0.8 or more; groups are the
-    components of such pairs. Fingerprints of 64 bits cannot find all of them (a header of a quarter of the
-    text moves nine bits or more), so candidates come from shared shingles: see ``similar.groups``, which
-    misses none. Rows without an id stay; rows that repeat a kept id stay; ids may be numbers or strings.
+    Fingerprints of five-word shingles that differ in at most ``bits`` bits link texts; the components of these links are
+    verified text by text: a pair counts if the Jaccard similarity of its sets of shingles is 0.8 or more, and groups
+    are the components of such pairs. Fingerprints of 64 bits cannot find all of them (a header of a quarter of the
+    text moves nine bits or more), so the rest comes from shared shingles: see ``similar.groups``, which misses none.
+    Rows without an id stay; rows that repeat a kept id stay; ids may be numbers or strings.
     """
     from pantry.llm import similar
 
     lost, same = tx.fresh(df, "lost", "same")
-    gone = similar.groups(df, words, similarity, doc_id, text).where("doc_id <> kept").select(F.col("doc_id").alias(lost), F.col("h").alias(same))
+    gone = similar.groups(df, words, similarity, doc_id, text, lambda texts: candidate_links(texts, words, bits)).where("doc_id <> kept").select(F.col("doc_id").alias(lost), F.col("h").alias(same))
     return df.join(gone, (F.col(f"`{doc_id}`") == F.col(lost)) & (F.xxhash64(tx.whole(F.col(f"`{text}`"))) == F.col(same)), "left_anti")

@@ -6,7 +6,7 @@ by a bound that no pair over the similarity exceeds: the sizes, and sketches of
 What is left is verified on whole texts.
 
 Dense groups never list their pairs. First each cell names one link a document at most, to the first
-near it; the components of these unverified links are families, whose texts meet once (in blocks, each with the
+near it; the components of these unverified links, and of those that a caller brings, are families, whose texts meet once (in blocks, each with the
 family's first document) and are verified until each block's groups are known. Then every pair of a
 cell whose documents are still apart, and have not met in a block, is verified: so no pair is missed.
 
@@ -17,6 +17,8 @@ a document for each text; an empty table gives an empty result.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -346,8 +348,11 @@ def _verify_pairs(pairs: DataFrame, one: DataFrame, words: int, similarity: floa
     return out
 
 
-def groups(df: DataFrame, words: int = 5, similarity: float = 0.8, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, h, kept): every different (id, text) of ``df`` that has an id, h the text's hash, with the least id of its group."""
+def groups(df: DataFrame, words: int = 5, similarity: float = 0.8, doc_id: str = "doc_id", text: str = "text", candidates: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+    """(doc_id, h, kept): every different (id, text) of ``df`` that has an id, h the text's hash, with the least id of its group.
+
+    ``candidates`` makes unverified links (a, b) from different texts (node, text); they join families as those of cells do.
+    """
     spark = df.sparkSession
     known = df.where(F.col(f"`{doc_id}`").isNotNull()).select(F.col(f"`{doc_id}`").alias("doc_id"), tx.whole(F.col(f"`{text}`")).alias("text"))
     hashes = known.select("doc_id", F.xxhash64("text").alias("h1"), F.xxhash64(F.lit(1), "text").alias("h2"))
@@ -366,7 +371,10 @@ def groups(df: DataFrame, words: int = 5, similarity: float = 0.8, doc_id: str =
     release(spark)
     cells = _cells(prefixes)
     release(spark)
-    families = _families(_links_of_cells(cells, prefixes, similarity), prefixes)
+    unverified = _links_of_cells(cells, prefixes, similarity)
+    if candidates is not None:
+        unverified = unverified.union(candidates(one.join(firsts, "node", "left_semi"))).distinct()
+    families = _families(unverified, prefixes)
     release(spark)
     links = _verify_families(families, one, words, similarity)
     release(spark)
