@@ -117,6 +117,33 @@ def fit_enet(s: Stats, target: int, lam: float, alpha: float, sweeps: int = 500,
     return float(my - mx @ b), b
 
 
+def fit_enets(s: Stats, problems: list[tuple[int, float, float]], sweeps: int = 500, tol: float = 1e-8) -> list[tuple[float, np.ndarray]]:
+    """``fit_enet`` of many (target, lambda, alpha) on the same rows, side by side; each stops when it has settled."""
+    at = [s.centred(t) for t in sorted({t for t, _, _ in problems})]
+    xx, mx = at[0][0], at[0][2]
+    xy, my = ({t: c[i] for t, c in zip(sorted({t for t, _, _ in problems}), at)} for i in (1, 3))
+    left = np.stack([xy[t] for t, _, _ in problems])
+    out, b, live = np.zeros_like(left), np.zeros_like(left), np.arange(len(problems))
+    lam, alpha = (np.array(v, float) for v in zip(*(p[1:] for p in problems)))
+    for _ in range(sweeps):
+        moved = np.zeros(len(live))
+        for j in range(s.dim):
+            down = xx[j, j] + lam * (1 - alpha)
+            rho = left[:, j] + xx[j, j] * b[:, j]
+            new = np.where(down > 0, np.sign(rho) * np.maximum(np.abs(rho) - lam * alpha, 0.0) / np.where(down > 0, down, 1.0), 0.0)
+            step = new - b[:, j]
+            left -= step[:, None] * xx[j]
+            np.maximum(moved, np.abs(step), out=moved)
+            b[:, j] = new
+        out[live] = b
+        on = moved >= tol
+        if not on.any():
+            break
+        if not on.all():
+            left, b, live, lam, alpha = left[on], b[on], live[on], lam[on], alpha[on]
+    return [(float(my[t] - mx @ v), v) for (t, _, _), v in zip(problems, out)]
+
+
 def fit_lasso(s: Stats, target: int, lam: float) -> tuple[float, np.ndarray]:
     return fit_enet(s, target, lam, 1.0)
 
@@ -139,6 +166,25 @@ def grid_search(stats: dict[int, Stats], model: str, target: int, without: tuple
     return min(candidates(model), key=error)
 
 
+def fit_all(s: Stats, model: str, cases: list[tuple[int, dict]]) -> list[tuple[float, np.ndarray]]:
+    """The models of (target, candidate) pairs on the same rows."""
+    if model in ("lasso", "enet") and cases:
+        return fit_enets(s, [(t, c["lam"], c.get("alpha", 1.0)) for t, c in cases])
+    return [FIT[model](s, t, **c) for t, c in cases]
+
+
+def grid_searches(stats: dict[int, Stats], model: str, targets: list[int], without: tuple = ()) -> list[dict[str, float]]:
+    """``grid_search`` of several targets: candidates of all of them are fitted together."""
+    some = candidates(model)
+    cases = [(t, c) for t in targets for c in some]
+    error = np.zeros(len(cases))
+    for f in stats:
+        if f not in without:
+            fits = fit_all(total(stats, (*without, f)), model, cases)
+            error += [stats[f].sse(t, *m) for (t, _), m in zip(cases, fits)]
+    return [some[int(k)] for k in error.reshape(len(targets), len(some)).argmin(1)]
+
+
 def random_candidates(space: dict[str, tuple], n: int, seed: int) -> list[dict]:
     """``n`` different points of the cross product, the same for a seed."""
     every = [dict(zip(space, p)) for p in product(*space.values())]
@@ -331,6 +377,17 @@ def predict_ml(model, df: DataFrame, x: str, out: str) -> DataFrame:
     return model.transform(df.withColumn("_v", array_to_vector(x))).withColumnRenamed("prediction", out).drop("_v")
 
 
+@dataclass
+class Linear:
+    """A fitted linear model."""
+
+    b0: float
+    b: np.ndarray
+
+    def predict(self, x: np.ndarray) -> np.ndarray:
+        return x @ self.b + self.b0
+
+
 @dataclass
 class Network:
     """One hidden layer for one target, trained on the folds that are not in ``without``; inputs and target are scaled."""
@@ -487,6 +544,22 @@ def apply_networks(df: DataFrame, x: str, nets: dict[str, Network], keep: tuple[
     return df.select(*keep, F.col(x).alias("_x")).mapInPandas(run, shape)
 
 
+def apply_models(df: DataFrame, x: str, models: list[tuple[str, str, object]], keep: str) -> DataFrame:
+    """(name, target, keep, y, hat) of (name, target, model with ``predict``), all models in one scan."""
+    sent = df.sparkSession.sparkContext.broadcast(models)
+    targets = sorted({t for _, t, _ in models})
+
+    def run(parts):
+        for t in parts:
+            if len(t):
+                m = np.stack(t["_x"].to_numpy()).astype(float)
+                for name, target, model in sent.value:
+                    yield pd.DataFrame({"name": name, "target": target, keep: t[keep], "y": t[target], "hat": model.predict(m)})
+
+    shape = f"name string, target string, {keep} {dict(df.dtypes)[keep]}, y double, hat double"
+    return df.select(keep, F.col(x).alias("_x"), *targets).mapInPandas(run, shape)
+
+
 def registry() -> list[tuple[str, str, int, int, str, str, int]]:
     """Every model of the experiment: settings x targets x the six of the identity."""
     from pantry.operators.embed import embedding_grid
