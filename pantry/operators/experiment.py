@@ -13,6 +13,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -184,10 +185,27 @@ class Model:
     cells: dict[str, tuple[np.ndarray, np.ndarray]]
 
 
+def _loads(models: list[Model], vectors: dict[str, np.ndarray]) -> Iterator[list[Model]]:
+    """Models whose vectors fit a broadcast together."""
+    some, names, used = [], set(), 0
+    for m in models:
+        need = vectors[m.setting].nbytes if m.setting and m.setting not in names else 0
+        if some and need and used + need > MOST_MB << 20:
+            yield some
+            some, names, used, need = [], set(), 0, vectors[m.setting].nbytes
+        some, used = [*some, m], used + need
+        names.add(m.setting)
+    if some:
+        yield some
+
+
 def measure(recipes: DataFrame, vectors: dict[str, np.ndarray], models: list[Model], by: str = "fold", scale: float = 1.0) -> DataFrame:
-    """(model, cell, target, n, hits, squared, absolute): all models applied in one scan, each cell by its own."""
+    """(model, cell, target, n, hits, squared, absolute): all models applied in one scan, each cell by its own. Where the
+    vectors do not fit a broadcast together it is a scan for each load of models."""
     if _few_foods({m.setting: vectors[m.setting] for m in models if m.setting}):
         return _measured_by_food(recipes, vectors, models, by, scale)
+    if len(loads := list(_loads(models, vectors))) > 1:
+        return reduce(DataFrame.unionByName, (measure(recipes, vectors, some, by, scale) for some in loads))
     sent, known = _sent(recipes.sparkSession, {k: vectors[k] for k in {m.setting for m in models if m.setting}}), recipes.sparkSession.sparkContext.broadcast(models)
 
     def run(parts):
