@@ -17,6 +17,7 @@ from functools import reduce
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -43,23 +44,40 @@ def bags(lines: DataFrame, foods: list[str], by: tuple[str, ...] = ("corpus",),
 class Bags:
     """The foods and weights of a batch of recipes, flat: made once a batch for all settings."""
 
-    def __init__(self, t: pd.DataFrame):
-        sizes = np.fromiter(map(len, t["ids"]), np.int64, len(t))
-        self.ids, grams = np.concatenate(t["ids"].to_numpy()), np.concatenate(t["grams"].to_numpy())
+    def __init__(self, t: pd.DataFrame | pa.RecordBatch):
+        if isinstance(t, pa.RecordBatch):
+            sizes = t.column("ids").value_lengths().to_numpy().astype(np.int64)
+            self.ids, grams = (t.column(c).flatten().to_numpy() for c in ("ids", "grams"))
+        else:
+            sizes = np.fromiter(map(len, t["ids"]), np.int64, len(t))
+            self.ids, grams = np.concatenate(t["ids"].to_numpy()), np.concatenate(t["grams"].to_numpy())
         self.begin = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-        self.row, self.rows = np.repeat(np.arange(len(t)), sizes), len(t)
+        self.row, self.rows = np.repeat(np.arange(len(sizes)), sizes), len(sizes)
         self.weight = {"dh": grams / np.repeat(np.add.reduceat(grams, self.begin), sizes), "avg": np.repeat(1 / sizes, sizes), "sum": np.ones(len(self.ids))}
 
     def merged(self, vectors: np.ndarray, kind: str) -> np.ndarray:
         """The recipes' vectors: gram-weighted, averaged or summed."""
         return np.add.reduceat(vectors[self.ids] * self.weight[kind][:, None], self.begin)
 
-
     def by_food(self, kind: str, foods: int) -> np.ndarray:
         """The recipes' weights by food: times the vectors of a setting they are its merged vectors."""
         return np.bincount(self.row * foods + self.ids % foods, self.weight[kind], self.rows * foods).reshape(self.rows, foods)
 
 
+def merged(recipes: DataFrame, vectors: np.ndarray, kind: str, keep: tuple[str, ...]) -> DataFrame:
+    """(keep, vector named as the merge): each recipe's vector, made where its bag lies."""
+    sent, kinds = _sent(recipes.sparkSession, {"": vectors}), dict(recipes.dtypes)
+
+    def run(parts):
+        for t in parts:
+            if t.num_rows:
+                x = Bags(t).merged(sent.value[""], kind)
+                ends = pa.array(np.arange(0, x.size + 1, x.shape[1], dtype=np.int32))
+                yield pa.RecordBatch.from_arrays([*(t.column(c) for c in keep), pa.ListArray.from_arrays(ends, pa.array(x.ravel()))], [*keep, kind])
+
+    return recipes.select(*keep, "ids", "grams").mapInArrow(run, ", ".join([*(f"{c} {kinds[c]}" for c in keep), f"{kind} array<double>"]))
+
+
 def _few_foods(vectors: dict[str, np.ndarray]) -> bool:
     """Whether sums by food are smaller than those of all settings together: then they serve every setting."""
     side = lambda n: (n + 1 + len(TARGETS)) ** 2

@@ -15,6 +15,7 @@ from itertools import product
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -438,45 +439,80 @@ class Network:
         return w, loss
 
 
+def matrix(x: pa.Array) -> np.ndarray:
+    """A column of lists of one length as rows, without an object a row."""
+    return x.flatten().to_numpy(zero_copy_only=False).reshape(len(x), -1)
+
+
+def numbers(x: pa.Array) -> np.ndarray:
+    return x.to_numpy(zero_copy_only=False)
+
+
 def passes_together(nets: list[Network], x: np.ndarray, ys: np.ndarray, n: int, batch: int, seed: int) -> list[tuple[list[np.ndarray], float]]:
     """What ``Network.passes`` gives for each of some networks of one size and the same training folds.
 
-    They take the same rows in the same order, so a batch is one product with all their weights side by side.
+    They take the same rows in the same order, so a batch is one product with all their weights side by side. The
+    arithmetic has the precision of ``x``.
     """
-    g, h, d = len(nets), nets[0].hidden, x.shape[1]
-    mx, sx = nets[0].scale[:2]
-    z, r = (x - mx) / sx, (ys - np.array([m.scale[2] for m in nets])) / np.array([m.scale[3] for m in nets])
+    g, h, d, kind = len(nets), nets[0].hidden, x.shape[1], x.dtype
+    mx, sx = (np.asarray(v, kind) for v in nets[0].scale[:2])
+    z = (x - mx) / sx
+    r = ((ys - np.array([m.scale[2] for m in nets])) / np.array([m.scale[3] for m in nets])).astype(kind)
     w = [np.hstack([m.weights[0] for m in nets]), np.concatenate([m.weights[1] for m in nets]), np.stack([m.weights[2] for m in nets]), np.concatenate([m.weights[3] for m in nets])]
     sizes = np.cumsum([0, *(v.size for v in w)])
-    p = np.concatenate([v.ravel() for v in w])
+    p = np.concatenate([v.ravel() for v in w]).astype(kind)
     a, b, c, e0 = (p[i:j].reshape(v.shape) for v, i, j in zip(w, sizes, sizes[1:]))  # views: a step moves them
     rates = np.array([m.rate for m in nets])
-    rate = np.concatenate([np.tile(np.repeat(rates, h), d), np.repeat(rates, h), np.repeat(rates, h), rates])
-    first, second, grad = np.zeros_like(p), np.zeros_like(p), np.empty_like(p)
+    rate = np.concatenate([np.tile(np.repeat(rates, h), d), np.repeat(rates, h), np.repeat(rates, h), rates]).astype(kind)
+    first, second, grad, step_by = (np.zeros_like(p) for _ in range(4))
+    ga, gb, gc, ge = (grad[i:j].reshape(v.shape) for v, i, j in zip(w, sizes, sizes[1:]))
+    unit, net = np.arange(g * h), np.repeat(np.arange(g), h)
+    out = np.zeros((g * h, g), kind)  # the output weights of each network in a column of its own
     rng, step, loss = np.random.default_rng(seed), 0, np.zeros(g)
     for _ in range(n):
         order, loss = rng.permutation(len(z)), np.zeros(g)
         for k in range(0, len(z), batch):
             i, step = order[k : k + batch], step + 1
-            zi = z[i]
-            hid = np.maximum(zi @ a + b, 0).reshape(len(i), g, h)
-            e = (hid * c).sum(2) + e0 - r[i]
-            back = (e[:, :, None] * c * (hid > 0)).reshape(len(i), g * h)
-            loss += (e**2).sum(0)
-            np.concatenate([(zi.T @ back).ravel(), back.sum(0), (hid * e[:, :, None]).sum(0).ravel(), e.sum(0)], out=grad)
-            grad /= len(i)
-            first += 0.1 * (grad - first)
-            second += 0.001 * (grad * grad - second)
-            p -= rate * (first / (1 - 0.9**step)) / (np.sqrt(second / (1 - 0.999**step)) + 1e-8)
-    cut = lambda v, i: v[..., i * h : (i + 1) * h].copy()
-    return [([cut(a, i), cut(b, i), c[i].copy(), e0[i : i + 1].copy()], float(loss[i])) for i in range(g)]
+            zi = z.take(i, 0)
+            hid = zi @ a
+            hid += b
+            np.maximum(hid, 0, out=hid)
+            out[unit, net] = c.ravel()
+            e = hid @ out
+            e += e0
+            e -= r.take(i, 0)
+            loss += np.einsum("ij,ij->j", e, e)
+            back = e @ out.T
+            back *= hid > 0
+            np.matmul(zi.T, back, out=ga)
+            back.sum(0, out=gb)
+            gc.ravel()[:] = (hid.T @ e)[unit, net]
+            e.sum(0, out=ge)
+            grad *= 1 / len(i)
+            np.subtract(grad, first, out=step_by)
+            step_by *= 0.1
+            first += step_by
+            grad *= grad
+            grad -= second
+            grad *= 0.001
+            second += grad
+            np.sqrt(second, out=step_by)
+            step_by *= (1 - 0.999**step) ** -0.5
+            step_by += 1e-8
+            np.divide(first, step_by, out=step_by)
+            step_by *= rate
+            step_by *= 1 / (1 - 0.9**step)
+            p -= step_by
+    cut = lambda v, i: v[..., i * h : (i + 1) * h].astype(float)
+    return [([cut(a, i), cut(b, i), c[i].astype(float), e0[i : i + 1].astype(float)], float(loss[i])) for i in range(g)]
 
 
 def fit_networks(df: DataFrame, x: str, nets: list[Network], stats: dict, targets=TARGETS, rounds: int = 4, passes: int = 6, batch: int = 128, most_rows: int = 200_000) -> list[list[float]]:
     """Train all networks in the same scans; their losses a round.
 
     In a round every partition takes some passes over its rows (``most_rows`` at a time), and the weights are averaged
-    by rows. Candidates, targets and folds are networks side by side, so a search costs no further scan.
+    by rows. Candidates, targets and folds are networks side by side, so a search costs no further scan. Passes are
+    made in single precision, weights averaged in double.
     """
     spark, losses = df.sparkSession, [[] for _ in nets]
     for n in nets:
@@ -489,8 +525,8 @@ def fit_networks(df: DataFrame, x: str, nets: list[Network], stats: dict, target
             held, sums = [], {}
 
             def flush():
-                t = pd.concat(held)
-                m, fold = np.stack(t["_x"].to_numpy()), t["fold"].to_numpy()
+                m, fold = np.concatenate([t[0] for t in held]), np.concatenate([t[1] for t in held])
+                y = {c: np.concatenate([t[2][c] for t in held]) for c in targets}
                 alike: dict = {}
                 for i, net in enumerate(sent.value):
                     alike.setdefault((tuple(net.without), net.hidden), []).append(i)
@@ -498,23 +534,24 @@ def fit_networks(df: DataFrame, x: str, nets: list[Network], stats: dict, target
                     mine = ~np.isin(fold, without)
                     if mine.any():
                         together = [sent.value[i] for i in some]
-                        ys = np.stack([t[net.target].to_numpy(float)[mine] for net in together], 1)
+                        ys = np.stack([y[net.target][mine] for net in together], 1)
                         for i, (w, loss) in zip(some, passes_together(together, m[mine], ys, passes, batch, turn)):
                             flat = np.concatenate([v.ravel() for v in w]) * mine.sum()
                             old = sums.get(i, (0.0, 0.0, 0))
                             sums[i] = old[0] + flat, old[1] + loss, old[2] + int(mine.sum())
 
             for t in parts:
-                held.append(t)
-                if sum(map(len, held)) >= most_rows:
+                if t.num_rows:
+                    held.append((matrix(t.column("_x")).astype(np.float32), numbers(t.column("fold")), {c: numbers(t.column(c)) for c in targets}))
+                if sum(len(t[1]) for t in held) >= most_rows:
                     flush()
-                    held = []
-            if held and sum(map(len, held)):
+                    held.clear()
+            if held:
                 flush()
             if sums:
-                yield pd.DataFrame({"net": list(sums), "w": [v[0].tobytes() for v in sums.values()], "loss": [v[1] for v in sums.values()], "n": [v[2] for v in sums.values()]})
+                yield pa.RecordBatch.from_pydict({"net": pa.array(list(sums), pa.int32()), "w": [v[0].tobytes() for v in sums.values()], "loss": [v[1] for v in sums.values()], "n": [v[2] for v in sums.values()]})
 
-        got = slim.mapInPandas(learn, "net int, w binary, loss double, n long").collect()  # the weights once a partition and network
+        got = slim.mapInArrow(learn, "net int, w binary, loss double, n long").collect()  # the weights once a partition and network
         for i, net in enumerate(nets):
             mine = [r for r in got if r["net"] == i]
             n = sum(r["n"] for r in mine)
@@ -551,13 +588,13 @@ def apply_models(df: DataFrame, x: str, models: list[tuple[str, str, object]], k
 
     def run(parts):
         for t in parts:
-            if len(t):
-                m = np.stack(t["_x"].to_numpy()).astype(float)
+            if t.num_rows:
+                m, n = matrix(t.column("_x")).astype(float), t.num_rows
                 for name, target, model in sent.value:
-                    yield pd.DataFrame({"name": name, "target": target, keep: t[keep], "y": t[target], "hat": model.predict(m)})
+                    yield pa.RecordBatch.from_arrays([pa.repeat(name, n), pa.repeat(target, n), t.column(keep), t.column(target), pa.array(model.predict(m))], ["name", "target", keep, "y", "hat"])
 
     shape = f"name string, target string, {keep} {dict(df.dtypes)[keep]}, y double, hat double"
-    return df.select(keep, F.col(x).alias("_x"), *targets).mapInPandas(run, shape)
+    return df.select(keep, F.col(x).alias("_x"), *(F.col(t).cast("double").alias(t) for t in targets)).mapInArrow(run, shape)
 
 
 def registry() -> list[tuple[str, str, int, int, str, str, int]]:

@@ -1,9 +1,11 @@
 """Regression trees and forests of many targets and candidates, grown together.
 
-Features are binned once, a byte each; one scan a level adds up, for every open node of all trees, rows and targets by
-feature and bin, and the best splits are chosen where a tree's sums meet. Parameters are those of Spark ML's trees: 32 bins, least
-variance, and for forests a Poisson(1) number of copies of a row and a third of the features at each node. A candidate
-of fewer trees or less depth is the start of a larger forest and the top of its trees: a search grows only the largest.
+Features are binned once, a byte each; one scan a level adds up, for nodes of all trees, rows and targets by feature and
+bin. Of the two sides of a split only the one of fewer rows is read, the other is the node less that side; two features
+are counted together by the pair of their bins. The driver gets these sums, which do not grow with the rows, and chooses
+the splits. Parameters are those of Spark ML's trees: 32 bins, least variance, and for forests a Poisson(1) number of
+copies of a row and a third of the features at each node. A candidate of fewer trees or less depth is the start of a
+larger forest and the top of its trees: a search grows only the largest.
 """
 
 from __future__ import annotations
@@ -13,10 +15,11 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pantry.operators.regress import tree_predictions
+from pantry.operators.regress import matrix, tree_predictions
 
 BINS = 32
 CHUNK = 1 << 16
@@ -36,6 +39,8 @@ class Tree:
     seed: int = 1
     nodes: list[list] = field(default_factory=list)  # as regress.tree_nodes, thresholds are bins
     open: list[int] = field(default_factory=list)
+    read: list[int] = field(default_factory=list)  # nodes of the open level whose rows a scan counts
+    parents: list[tuple[int, int]] = field(default_factory=list)  # of each of these: the parent's place in the level before, and its sibling
 
     def features(self, dim: int) -> np.ndarray:
         """The features that each open node may split by."""
@@ -45,21 +50,22 @@ class Tree:
         return np.stack([np.sort(np.random.default_rng((self.seed, self.number, at)).permutation(dim)[:take]) for at in self.open])
 
     def place(self, bins: np.ndarray, rows: np.ndarray) -> np.ndarray:
-        """The number of each of these rows' open node among the open ones, -1 for rows that ended in a leaf."""
+        """The number of each of these rows' node among those to read, -1 for rows in others."""
         _, _, feature, threshold, left, _ = (np.array(c) for c in zip(*self.nodes))
         leaf = feature < 0
         feature, threshold = np.where(leaf, 0, feature), np.where(leaf, BINS, threshold).astype(np.uint8)
         at, flat, begin = np.zeros(len(rows), np.int64), bins.ravel(), rows * bins.shape[1]
-        for _ in range(self.nodes[self.open[0]][0]):
+        for _ in range(self.nodes[self.read[0]][0]):
             at = left.take(at) + (flat.take(begin + feature.take(at)) > threshold.take(at))  # a leaf is its own left, the right follows the left
         slot = np.full(len(self.nodes), -1)
-        slot[self.open] = np.arange(len(self.open))
+        slot[self.read] = np.arange(len(self.read))
         return slot.take(at)
 
     def grown(self, splits: np.ndarray) -> None:
         """Take the level's splits: (rows, mean, feature or -1, bin, mean and rows of the left, of the right) an open node."""
         level, self.open, was = self.nodes[self.open[0]][0] + 1, [], self.open
-        for at, (_, mean, feature, at_bin, *sides) in zip(was, splits):
+        self.read, self.parents = [], []
+        for place, (at, (_, mean, feature, at_bin, *sides)) in enumerate(zip(was, splits)):
             self.nodes[at][1] = float(mean)
             if feature >= 0:
                 first = len(self.nodes)
@@ -68,6 +74,19 @@ class Tree:
                     self.nodes.append([level, float(value), -1, 0.0, first + k, first + k])
                     if level < self.depth and n > 1:
                         self.open.append(first + k)
+                if self.open and self.open[-1] >= first:
+                    less = int(sides[3] < sides[1])
+                    self.read.append(first + less)
+                    self.parents.append((place, first + 1 - less))
+
+    def completed(self, got: np.ndarray, before: np.ndarray | None) -> np.ndarray:
+        """The sums of the open nodes from those of the nodes that were read, and those of the level before."""
+        if before is None:
+            return got
+        known = {}
+        for i, (at, (parent, sibling)) in enumerate(zip(self.read, self.parents)):
+            known[at], known[sibling] = got[:, i], before[:, parent] - got[:, i]
+        return np.stack([known[at] for at in self.open], 1)
 
 
 @dataclass
@@ -94,13 +113,16 @@ def binned(df: DataFrame, x: str, ends: np.ndarray, targets) -> DataFrame:
 
     def run(parts):
         for t in parts:
-            if len(t):
-                m = np.stack(t["_b"].to_numpy()).astype(float)
-                b = np.stack([np.searchsorted(e, v) for e, v in zip(sent.value, m.T)], 1).astype(np.uint8)
-                yield t.assign(_b=[v.tobytes() for v in b])
+            if t.num_rows:
+                m = matrix(t.column("_b")).astype(float)
+                b = np.empty(m.shape, np.uint8)
+                for j, (e, v) in enumerate(zip(sent.value, m.T)):
+                    b[:, j] = np.searchsorted(e, v)
+                cells = pa.FixedSizeBinaryArray.from_buffers(pa.binary(b.shape[1]), len(b), [None, pa.py_buffer(b)]).cast(pa.binary())
+                yield pa.RecordBatch.from_arrays([cells if c == "_b" else t.column(c) for c in t.schema.names], t.schema.names)
 
     rows = df.where(F.col(x).isNotNull()).select(F.monotonically_increasing_id().alias("_row"), F.col("fold").cast("int").alias("fold"), F.col(x).alias("_b"), *(F.col(t).cast("double").alias(t) for t in targets))
-    return rows.mapInPandas(run, "_row long, fold int, _b binary, " + ", ".join(f"{t} double" for t in targets))
+    return rows.mapInArrow(run, "_row long, fold int, _b binary, " + ", ".join(f"{t} double" for t in targets))
 
 
 def copies(rows: np.ndarray, number: int, seed: int) -> np.ndarray:
@@ -128,34 +150,39 @@ def _chunks(parts) -> Iterator[pd.DataFrame]:
         yield pd.concat(held)
 
 
-def sums(tree: Tree, bins: np.ndarray, fold: np.ndarray, y: np.ndarray, weight: np.ndarray | None) -> np.ndarray:
-    """(2, open nodes, features, bins): rows and the target's sum."""
-    features = tree.features(bins.shape[1])
-    mine = ~np.isin(fold, tree.without) & np.isfinite(y)
-    if weight is not None:
-        mine &= weight > 0
-    rows = np.flatnonzero(mine)
+def paired(bins: np.ndarray) -> np.ndarray:
+    """(pairs of neighbouring features, rows): both bins in one number; an odd last feature is paired with nothing."""
+    even = bins if bins.shape[1] % 2 == 0 else np.hstack([bins, np.zeros((len(bins), 1), np.uint8)])
+    return np.ascontiguousarray((even[:, ::2].astype(np.uint16) * BINS + even[:, 1::2]).T)
+
+
+def sums(tree: Tree, bins: np.ndarray, pairs: np.ndarray, mine: np.ndarray, y: np.ndarray, weight: np.ndarray | None) -> np.ndarray:
+    """(2, nodes to read, features, bins): rows and the target's sum of the rows that are ``mine``."""
+    rows = np.flatnonzero(mine & np.isfinite(y))
     slot = tree.place(bins, rows)
-    rows, slot = rows[slot >= 0], slot[slot >= 0]
+    if (slot < 0).any():
+        rows, slot = rows[slot >= 0], slot[slot >= 0]
     w = None if weight is None else weight[rows]
     wy = y[rows] if weight is None else w * y[rows]
-    (k, m), flat, begin, first = features.shape, bins.ravel(), rows * bins.shape[1], slot * BINS
-    out = np.empty((2, k, m, BINS))
-    for j in range(m):  # a feature at a time: its rows stay in the cache
-        at = first + flat.take(begin + (features[0, j] if weight is None else features[:, j].copy().take(slot)))
-        out[0, :, j] = np.bincount(at, w, k * BINS).reshape(k, BINS)
-        out[1, :, j] = np.bincount(at, wy, k * BINS).reshape(k, BINS)
-    return out
+    k, cell = len(tree.read), BINS * BINS
+    first, out = slot * cell, np.empty((2, k, 2 * len(pairs), BINS))
+    for j, codes in enumerate(pairs):
+        at = first + codes.take(rows)
+        for i, v in enumerate((w, wy)):
+            both = np.bincount(at, v, k * cell).reshape(k, BINS, BINS)
+            out[i, :, 2 * j], out[i, :, 2 * j + 1] = both.sum(2), both.sum(1)
+    return out[:, :, : bins.shape[1]]
 
 
 def best_splits(hist: np.ndarray, features: np.ndarray) -> np.ndarray:
-    """What ``Tree.grown`` takes, from a tree's sums: the split of most variance, the first of equal ones."""
+    """What ``Tree.grown`` takes, from a tree's sums: the split of most variance, the first of those equal but for rounding."""
+    hist = hist[:, np.arange(len(features))[:, None], features]
     n, s = hist[0].cumsum(2), hist[1].cumsum(2)
     all_n, all_s = n[:, :1, -1:], s[:, :1, -1:]
     with np.errstate(divide="ignore", invalid="ignore"):
         gain = s**2 / n + (all_s - s) ** 2 / (all_n - n) - all_s**2 / all_n
         gain = np.where((n > 0) & (n < all_n), gain, -1.0).reshape(len(n), -1)
-        at = gain.argmax(1)
+        at = (gain >= gain.max(1, keepdims=True) - 1e-12 * (all_s**2 / np.maximum(all_n, 1))[:, :, 0]).argmax(1)
         i, (f, b) = np.arange(len(n)), np.unravel_index(at, n.shape[1:])
         nl, sl, n0, s0 = n[i, f, b], s[i, f, b], all_n[:, 0, 0], all_s[:, 0, 0]
         ok = gain[i, at] > 1e-10 * np.abs(s0 * s0 / np.maximum(n0, 1)) + 1e-12
@@ -167,7 +194,7 @@ def _groups(trees: list[Tree], dim: int) -> Iterator[list[Tree]]:
     """Trees whose sums fit a worker together."""
     some, used = [], 0
     for t in trees:
-        need = len(t.open) * (dim if t.number < 0 else -(-dim // 3)) * BINS * 16
+        need = len(t.read) * dim * BINS * 16
         if some and used + need > STATE_MB << 20:
             yield some
             some, used = [], 0
@@ -182,9 +209,11 @@ def grow(df: DataFrame, trees: list[Tree], dim: int) -> None:
     never = set.intersection(*(set(t.without) for t in trees))
     df = df.where(~F.col("fold").isin(*never)) if never else df
     df = df.coalesce(2 * context.defaultParallelism)  # each task gives the sums of a scan's trees once
+    before: dict = {}  # the sums of the level above, by tree
     for t in trees:
-        t.nodes, t.open = [[0, 0.0, -1, 0.0, 0, 0]], [0]
+        t.nodes, t.open, t.read = [[0, 0.0, -1, 0.0, 0, 0]], [0], [0]
     while some := [t for t in trees if t.open]:
+        found = {}
         for group in _groups(sorted(some, key=lambda t: t.number), dim):
             sent = context.broadcast(group)
 
@@ -192,28 +221,29 @@ def grow(df: DataFrame, trees: list[Tree], dim: int) -> None:
                 out: dict = {}
                 for t in _chunks(parts):
                     bins, fold, row = _matrix(t), t["fold"].to_numpy(), t["_row"].to_numpy()
-                    last, weight = None, None
+                    pairs, last, weight, mine = paired(bins), None, None, None
                     for i, tree in enumerate(sent.value):  # noqa: B023
-                        if (key := (tree.number, tree.seed)) != last:  # trees of a number follow each other
-                            last, weight = key, None if tree.number < 0 else copies(row, *key)
-                        out[i] = out.get(i, 0) + sums(tree, bins, fold, t[tree.target].to_numpy(float), weight)
+                        if (key := (tree.number, tree.seed, tree.without)) != last:  # trees of a number follow each other
+                            last, weight, mine = key, None if tree.number < 0 else copies(row, *key[:2]), ~np.isin(fold, tree.without)
+                            mine = mine if weight is None else mine & (weight > 0)
+                        out[i] = out.get(i, 0) + sums(tree, bins, pairs, mine, t[tree.target].to_numpy(float), weight)
                 for i, v in out.items():
                     yield pd.DataFrame({"tree": [i], "sums": [v.tobytes()]})
 
-            def choose(t: pd.DataFrame) -> pd.DataFrame:
-                i = int(t["tree"].iloc[0])
-                features = sent.value[i].features(dim)  # noqa: B023: it is run within this turn
-                hist = sum(np.frombuffer(b) for b in t["sums"]).reshape(2, *features.shape, BINS)
-                return pd.DataFrame({"tree": [i], "splits": [best_splits(hist, features).tobytes()]})
-
-            got = df.mapInPandas(add, "tree int, sums binary").groupBy("tree").applyInPandas(choose, "tree int, splits binary").collect()  # eight numbers a node
-            found = {r["tree"]: np.frombuffer(bytes(r["splits"])).reshape(-1, 8) for r in got}
-            for i, t in enumerate(group):
-                if i in found:
-                    t.grown(found[i])
-                else:
-                    t.open = []
+            def together(t: pd.DataFrame) -> pd.DataFrame:
+                return pd.DataFrame({"tree": t["tree"][:1], "sums": [sum(np.frombuffer(b) for b in t["sums"]).tobytes()]})
+
+            shape = "tree int, sums binary"
+            for r in df.mapInPandas(add, shape).groupBy("tree").applyInPandas(together, shape).toLocalIterator():  # a number a node, feature and bin
+                t = group[r["tree"]]
+                found[id(t)] = t.completed(np.frombuffer(bytes(r["sums"])).reshape(2, -1, dim, BINS), before.get(id(t)))
             sent.unpersist()
+        for t in some:
+            if id(t) in found:
+                t.grown(best_splits(found[id(t)], t.features(dim)))
+            else:
+                t.open = []
+        before = found
 
 
 def planned(targets, candidates: list[tuple[int, int]], without: tuple[int, ...] = (), seed: int = 1) -> list[Tree]:
